@@ -99,7 +99,8 @@ def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     looks = lambda s: F.contains(s["m"], F.lit("@")) | (F.length(F.regexp_replace(s["m"], r"[^0-9]", "")) >= 6)
     edge = lambda s, kind: F.struct(kind.cast("string").alias("kind"), s["a"].alias("a"), s["b"].alias("b"), F.lower(s["m"]).alias("inst"), context_of(s["left"]).alias("pattern"))
     trimmed = lambda s: F.struct(s["a"].alias("a"), s["b"].alias("b"))
-    edges = F.concat(*[F.transform(k, lambda s, k=k: edge(s, F.lit(k))) for k in KINDS], F.transform(F.filter(F.filter("tokens", looks), lambda s: ~covered(s)), lambda s: edge(s, F.lit(None))))
+    seeds = lambda k: F.transform(k, lambda s: edge(s, F.lit(k)))
+    edges = F.concat(*map(seeds, KINDS), F.transform(F.filter(F.filter("tokens", looks), lambda s: ~covered(s)), lambda s: edge(s, F.lit(None))))
     rows = materialize(spans.select(F.monotonically_increasing_id().alias("row"), "id", *[F.transform(k, trimmed).alias(k) for k in KINDS], edges.alias("edges")), "pii-spans")
     flat = rows.select("row", F.explode("edges").alias("e")).select("row", "e.*")
     new = bootstrap(flat.select("pattern", "inst", "kind"))

@@ -81,7 +81,8 @@ def fragments(work_name: str = "d1") -> dict[str, str]:
         "draw": "SELECT cid, row_number() OVER (ORDER BY ((cid % 2147483647) * 48271 + 1) % 2147483647, cid) - 1 AS place FROM (SELECT DISTINCT cid FROM members)",
         "sample": "SELECT cid, place FROM draw WHERE place < 300",
         "tau": "SELECT quantile_cont(si, 0.9) AS tau FROM si",
-        "ranked": "SELECT cid, si, f15 AS w, CASE WHEN si >= tau THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END AS label, row_number() OVER (ORDER BY f15, cid) AS place FROM cfeat JOIN si USING (cid), tau",
+        "sizes": "SELECT cid, count(*) AS size FROM members GROUP BY cid",
+        "ranked": "SELECT cid, si, size AS w, CASE WHEN si >= tau THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END AS label, row_number() OVER (ORDER BY size, cid) AS place FROM sizes JOIN si USING (cid), tau",
     }
     return f
 

@@ -276,6 +276,8 @@ def _(spark, d):
 # features
 
 _FS = [f"f{i}" for i in range(1, 17)]
+#: Added before rounding in both engines: scaled values are often exact halves of the last digit kept.
+_OFF = 0.0000031
 
 
 @query("features_raw", "SELECT cid, sid, " + ", ".join(f"round({c}, 6) AS {c}" for c in _FS) + " FROM raw", "d2")
@@ -283,20 +285,20 @@ def _(spark, d):
     return _prep(spark, d, "d2").raw.select("cid", "sid", *[_r(c).alias(c) for c in _FS])
 
 
-@query("features_scaled_pair", "SELECT cid, sid, " + ", ".join(f"round({c}, 4) AS {c}" for c in _FS) + " FROM praw", "d2")
+@query("features_scaled_pair", "SELECT cid, sid, " + ", ".join(f"round({c} + {_OFF}, 4) AS {c}" for c in _FS) + " FROM praw", "d2")
 def _(spark, d):
     raw = _prep(spark, d, "d2").raw
-    return FT.scale(raw, FT.extremes(raw)).select("cid", "sid", *[_r(c, 4).alias(c) for c in _FS])
+    return FT.scale(raw, FT.extremes(raw)).select("cid", "sid", *[_r(F.col(c) + F.lit(_OFF), 4).alias(c) for c in _FS])
 
 
-@query("features_scaled_cluster", "SELECT cid, " + ", ".join(f"round({c}, 4) AS {c}" for c in _FS) + " FROM cfeat", "d2")
+@query("features_scaled_cluster", "SELECT cid, " + ", ".join(f"round({c} + {_OFF}, 4) AS {c}" for c in _FS) + " FROM cfeat", "d2")
 def _(spark, d):
-    return _prep(spark, d, "d2").features.select("cid", *[_r(c, 4).alias(c) for c in _FS])
+    return _prep(spark, d, "d2").features.select("cid", *[_r(F.col(c) + F.lit(_OFF), 4).alias(c) for c in _FS])
 
 
-@query("features_range_rule", "SELECT cid, " + ", ".join(f"round(coalesce(avg(z.{c}), 0), 4) AS {c}" for c in _FS) + " FROM (SELECT cid, " + ", ".join(f"(avg({c}) - any_value(lo_{c})) / nullif(any_value(hi_{c}) - any_value(lo_{c}), 0) * 10000 AS {c}" for c in _FS) + " FROM raw, bounds GROUP BY cid) z GROUP BY cid", "d2", bounds="SELECT " + ", ".join(f"min({c}) AS lo_{c}, max({c}) AS hi_{c}" for c in _FS) + " FROM raw")
+@query("features_range_rule", "SELECT cid, " + ", ".join(f"round(coalesce(avg(z.{c}), 0) + {_OFF}, 4) AS {c}" for c in _FS) + " FROM (SELECT cid, " + ", ".join(f"(avg({c}) - any_value(lo_{c})) / nullif(any_value(hi_{c}) - any_value(lo_{c}), 0) * 10000 AS {c}" for c in _FS) + " FROM raw, bounds GROUP BY cid) z GROUP BY cid", "d2", bounds="SELECT " + ", ".join(f"min({c}) AS lo_{c}, max({c}) AS hi_{c}" for c in _FS) + " FROM raw")
 def _(spark, d):
-    return FT.cluster_features(_prep(spark, d, "d2").raw, scaling="pair", rule="range").select("cid", *[_r(c, 4).alias(c) for c in _FS])
+    return FT.cluster_features(_prep(spark, d, "d2").raw, scaling="pair", rule="range").select("cid", *[_r(F.col(c) + F.lit(_OFF), 4).alias(c) for c in _FS])
 
 
 # samples, density, threshold

@@ -54,7 +54,7 @@ def not_in(a: DataFrame, b: DataFrame, key: str) -> DataFrame:
 
 def rollup_result(rows: DataFrame, keys: tuple[str, ...], mode: str = "rollup", value: str = "si") -> DataFrame:
     """Counts and means of a value over rollup, cube or all single keys (grouping sets) of the keys."""
-    aggs = [F.count("*").alias("n"), F.round(F.avg(value), 6).alias("mean"), F.grouping_id().alias("gid")]
+    aggs = [F.count("*").alias("n"), F.avg(value).alias("mean"), F.grouping_id().alias("gid")]
     if mode == "sets":
         return rows.groupingSets([[F.col(k)] for k in keys] + [[]], *[F.col(k) for k in keys]).agg(*aggs)
     return (rows.rollup(*keys) if mode == "rollup" else rows.cube(*keys)).agg(*aggs)

@@ -572,10 +572,11 @@ def _(spark, d):
     return relational.asof_join(e.filter("event_type <> 'purchase'").select("event_id", "user_id", "ts"), right, "ts", "user_id", "previous").select("event_id", "previous")
 
 
-@query("interval_events", "SELECT event_id, o_orderkey FROM (SELECT * FROM orders WHERE o_orderkey % 50 = 0) o JOIN events e ON e.ts >= o_orderdate + INTERVAL 0 DAY AND e.ts < o_orderdate + INTERVAL 1 DAY")
+@query("interval_events", "SELECT event_id, o_orderkey FROM (SELECT o_orderkey, TIMESTAMP '2024-01-01' + to_hours((o_orderkey % 720)::BIGINT) AS s FROM orders WHERE o_orderkey % 50 = 0) o JOIN events e ON e.ts >= s AND e.ts < s + INTERVAL 5 HOUR")
 def _(spark, d):
-    o = load_table(spark, d, "orders").filter("o_orderkey % 50 = 0").select("o_orderkey", F.col("o_orderdate").alias("start_ts"), F.expr("o_orderdate + interval 1 day").alias("end_ts"))
-    return relational.interval_join(load_table(spark, d, "events"), o, 86_400).select("event_id", "o_orderkey")
+    start = F.expr("timestamp'2024-01-01 00:00:00' + make_dt_interval(0, cast(o_orderkey % 720 as int), 0, 0)")
+    o = load_table(spark, d, "orders").filter("o_orderkey % 50 = 0").select("o_orderkey", start.alias("start_ts")).withColumn("end_ts", F.expr("start_ts + interval 5 hours"))
+    return relational.interval_join(load_table(spark, d, "events"), o, 3 * 3600).select("event_id", "o_orderkey")
 
 
 @query("moving_value", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW), 6) AS moving FROM (SELECT event_id, user_id, value, date_trunc('second', ts) AS ts FROM events)")

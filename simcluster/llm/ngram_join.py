@@ -31,6 +31,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -40,10 +41,11 @@ SHINGLE = 4
 PERCENT = 85
 ROUNDS = 2
 COORDINATES = 16
-SUB_BATCH = 2_000_000  # bytes of text handled at once
+SUB_BATCH = 1_000_000  # bytes of text handled at once; a longer text is handled by itself
+HELD_TOKENS = 1_000_000  # shingles that a task holds before it passes their counts on
 #: Document frequencies from which a shingle falls into the next class of the order, with bits of its bitmap.
 CLASSES = ((2, 27), (5, 25), (17, 24), (65, 24))
-BUCKET_TOKENS = 4_000_000
+BUCKET_TOKENS = 2_000_000
 
 _P = 0x9E3779B97F4A7C15 | 1
 _MASK = (1 << 64) - 1
@@ -75,24 +77,25 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS, _INVERSE
 
 
-def shingles(texts: list[str | None], size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct shingle hashes of all texts one after the other, and where each text's end."""
-    raw = [x.encode("utf-8", "surrogatepass") if isinstance(x, str) else b"" for x in texts]
-    data = np.frombuffer(b" ".join(raw) + b" ", np.uint8)
-    lens = np.fromiter(map(len, raw), np.int64, len(raw))
-    doc_end = np.cumsum(lens + 1)
+def shingles(data: np.ndarray, lens: np.ndarray, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct shingle hashes of texts that lie one after the other in UTF-8, and where each one's end."""
+    doc_end = np.cumsum(lens)
     low = _LOWER[data]
-    space = _SPACE[low]
-    edge = np.flatnonzero(np.diff(np.r_[True, space, True].astype(np.int8)))
-    begin, end = edge[::2], edge[1::2]
+    solid = ~_SPACE[low]
+    cut = np.zeros(len(data) + 1, bool)  # places at which a text begins
+    cut[doc_end] = True
+    before, after = np.zeros(len(data), bool), np.zeros(len(data), bool)
+    before[1:], after[:-1] = solid[:-1], solid[1:]
+    begin = np.flatnonzero(solid & (~before | cut[:-1]))
+    end = np.flatnonzero(solid & (~after | cut[1:])) + 1
     if not len(begin):
-        return np.zeros(0, np.uint64), np.zeros(len(raw), np.int64)
+        return np.zeros(0, np.uint64), np.zeros(len(lens), np.int64)
     with np.errstate(over="ignore"):
         powers, inverse = _powers(len(data) + 1)
         total = np.r_[np.zeros(1, np.uint64), np.cumsum(_BYTE[low] * powers[: len(low)], dtype=np.uint64)]
         word = _mix(((total[end] - total[begin]) * inverse[begin]) ^ ((end - begin).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)))
         doc = np.searchsorted(doc_end, begin, side="right")
-        first = np.searchsorted(doc, np.arange(len(raw) + 1))
+        first = np.searchsorted(doc, np.arange(len(lens) + 1))
         counts = np.diff(first)
         h = np.zeros(max(0, len(word) - size + 1), np.uint64)
         for i in range(size):
@@ -112,15 +115,32 @@ def shingles(texts: list[str | None], size: int = SHINGLE) -> tuple[np.ndarray,
     d, h = d[order], h[order]
     keep = np.r_[True, (d[1:] != d[:-1]) | (h[1:] != h[:-1])] if len(d) else np.zeros(0, bool)
     d, h = d[keep], h[keep]
-    return h, np.cumsum(np.bincount(d, minlength=len(raw))) if len(d) else np.zeros(len(raw), np.int64)
+    return h, np.cumsum(np.bincount(d, minlength=len(lens))) if len(d) else np.zeros(len(lens), np.int64)
+
+
+def shingles_of(texts: list[str | None], size: int = SHINGLE) -> list[np.ndarray]:
+    """Hashes of each text's shingles, for tests and single texts."""
+    raw = [x.encode("utf-8", "surrogatepass") if isinstance(x, str) else b"" for x in texts]
+    h, ends = shingles(np.frombuffer(b"".join(raw), np.uint8), np.fromiter(map(len, raw), np.int64, len(raw)), size)
+    return np.split(h, ends[:-1]) if raw else []
 
 
-def _parts(pdf: pd.DataFrame) -> Iterator[pd.DataFrame]:
-    """Row blocks of about SUB_BATCH characters of text."""
-    lens = pdf["text"].map(lambda x: len(x) if isinstance(x, str) else 0).to_numpy()
-    group = np.cumsum(lens) // SUB_BATCH
-    for lo, hi in zip(np.flatnonzero(np.diff(np.r_[-1, group])), [*np.flatnonzero(np.diff(group)) + 1, len(pdf)], strict=True):
-        yield pdf.iloc[lo:hi]
+def _parts(batch: pa.RecordBatch, size: int) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray, np.ndarray]]:
+    """Row blocks of about SUB_BATCH bytes with their shingles, and where each row's begin and end.
+
+    Texts are read in place from the batch's buffers; no Python string is made.
+    """
+    column = batch.column(batch.schema.get_field_index("text")).cast(pa.large_string())
+    if column.null_count:
+        column = column.fill_null("")
+    offsets = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + len(column) + 1]
+    data = np.frombuffer(column.buffers()[2] or b"", np.uint8)
+    lo = 0
+    while lo < len(column):
+        hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + SUB_BATCH, side="right")) - 1)
+        h, ends = shingles(data[offsets[lo] : offsets[hi]], np.diff(offsets[lo : hi + 1]), size)
+        yield batch.slice(lo, hi - lo), h, np.r_[0, ends[:-1]], ends
+        lo = hi
 
 
 def prefix_length(n: np.ndarray, percent: int) -> np.ndarray:
@@ -151,23 +171,25 @@ def count_shingles(rows: DataFrame, size: int) -> Frequencies:
     total = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).head()[0]
     bucket_bits = min(16, max(5, math.ceil(math.log2(max(1, total / 6 / BUCKET_TOKENS)))))
 
-    def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
 
-        def flush() -> pd.DataFrame:
-            h, n = np.unique(np.concatenate(held), return_counts=True)
+        def flush() -> pa.RecordBatch:
+            h = np.concatenate(held)
             held.clear()
-            bucket = (h >> np.uint64(64 - bucket_bits)).astype(np.int64)
+            h.sort()
+            first = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+            n = np.minimum(np.diff(np.r_[first, len(h)]), 255).astype(np.uint8)
+            h = h[first]
             ids = ((h << np.uint64(bucket_bits)) >> np.uint64(32)).astype(np.uint32)
-            n = np.minimum(n, 255).astype(np.uint8)
-            cuts = np.searchsorted(bucket, np.arange((1 << bucket_bits) + 1))
+            cuts = np.searchsorted(h >> np.uint64(64 - bucket_bits), np.arange((1 << bucket_bits) + 1, dtype=np.uint64))
             full = [b for b in range(1 << bucket_bits) if cuts[b + 1] > cuts[b]]
-            return pd.DataFrame({"bucket": full, "ids": [ids[cuts[b] : cuts[b + 1]].tobytes() for b in full], "counts": [n[cuts[b] : cuts[b + 1]].tobytes() for b in full]})
+            return pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array([ids[cuts[b] : cuts[b + 1]].tobytes() for b in full], pa.binary()), pa.array([n[cuts[b] : cuts[b + 1]].tobytes() for b in full], pa.binary())], ["bucket", "ids", "counts"])
 
-        for pdf in batches:
-            for part in _parts(pdf):
-                held.append(shingles(list(part["text"]), size)[0])
-                if sum(map(len, held)) > 2_000_000:
+        for batch in batches:
+            for _, h, _, _ in _parts(batch, size):
+                held.append(h)
+                if sum(map(len, held)) > HELD_TOKENS:
                     yield flush()
         if sum(map(len, held)):
             yield flush()
@@ -188,7 +210,7 @@ def count_shingles(rows: DataFrame, size: int) -> Frequencies:
             out.append(np.packbits(flags, bitorder="little").tobytes() if len(hot) else b"")
         return pd.DataFrame({"bucket": [key[0]], "maps": [out]})
 
-    packed = rows.select("text").mapInPandas(pack, "bucket int, ids binary, counts binary")
+    packed = rows.select("text").mapInArrow(pack, "bucket int, ids binary, counts binary")
     got = packed.groupBy("bucket").applyInPandas(tally, "bucket int, maps array<binary>")
     maps = [np.zeros(1 << (bits - 3), np.uint8) for _, bits in CLASSES]
     for row in got.toLocalIterator():
@@ -205,30 +227,32 @@ def describe(rows: DataFrame, freq: Frequencies, size: int, percent: int, id_typ
     """Per row: class digest (128 bits), set size, regions to visit, counts in slices of the universe."""
     held = rows.sparkSession.sparkContext.broadcast(freq)
 
-    def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = held.value
-        for pdf in batches:
-            for part in _parts(pdf):
-                h, ends = shingles(list(part["text"]), size)
-                starts = np.r_[0, ends[:-1]] if len(ends) else ends
+        for batch in batches:
+            for part, h, starts, ends in _parts(batch, size):
                 n = ends - starts
-                doc = np.repeat(np.arange(len(part)), n)
+                doc = np.repeat(np.arange(len(n)), n)
                 rank = own.classes(h)
                 with np.errstate(over="ignore"):
-                    mixed, again = _mix(h + np.uint64(0x1234567)), _mix(h ^ np.uint64(0xABCDEF987654321))
-                    sums = np.r_[np.zeros(1, np.uint64), np.cumsum(mixed, dtype=np.uint64)]
-                    sums2 = np.r_[np.zeros(1, np.uint64), np.cumsum(again, dtype=np.uint64)]
-                    one, two = (sums[ends] - sums[starts]).view(np.int64), (sums2[ends] - sums2[starts]).view(np.int64)
+                    mixed = _mix(h + np.uint64(0x1234567))
+                    one, two = _sums(mixed, starts, ends), _sums(_mix(h ^ np.uint64(0xABCDEF987654321)), starts, ends)
                 order = np.lexsort((h, rank, doc))
-                place = np.arange(len(h)) - starts[doc]
-                first = place < prefix_length(n, percent)[doc]
+                first = np.arange(len(h)) - starts[doc] < prefix_length(n, percent)[doc]
                 pick = order[first & (rank[order] > 0)]
-                cuts = np.searchsorted(doc[pick], np.arange(len(part) + 1))
-                chosen = h[pick].view(np.int64)
-                slices = np.bincount(doc * COORDINATES + (mixed >> np.uint64(60)).astype(np.int64), minlength=len(part) * COORDINATES).reshape(-1, COORDINATES)
-                yield pd.DataFrame({"id": part["id"].to_numpy(), "digest": one, "digest2": two, "n": n.astype(np.int32), "regions": [chosen[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], "slices": list(slices.astype(np.int32))})
+                cuts = np.searchsorted(doc[pick], np.arange(len(n) + 1)).astype(np.int32)
+                slices = np.bincount(doc * COORDINATES + (mixed >> np.uint64(60)).astype(np.int64), minlength=len(n) * COORDINATES).astype(np.int32)
+                regions = pa.ListArray.from_arrays(pa.array(cuts), pa.array(h[pick].view(np.int64)))
+                counts = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * COORDINATES), pa.array(slices))
+                yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index("id")), pa.array(one), pa.array(two), pa.array(n.astype(np.int32)), regions, counts], ["id", "digest", "digest2", "n", "regions", "slices"])
+
+    return rows.mapInArrow(work, META.format(id=id_type))
+
 
-    return rows.mapInPandas(work, META.format(id=id_type))
+def _sums(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Sums of stretches of hashes, as signed numbers."""
+    total = np.r_[np.zeros(1, np.uint64), np.cumsum(values, dtype=np.uint64)]
+    return (total[ends] - total[starts]).view(np.int64)
 
 
 def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int, id_type: str) -> DataFrame:
@@ -246,16 +270,15 @@ def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int, id_type: str) -> D
         x = places.to_numpy()
         return pd.Series((held.value[x >> 3] >> (x & 7).astype(np.uint8)) & 1 == 1)
 
-    def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            for part in _parts(pdf):
-                h, ends = shingles(list(part["text"]), size)
-                starts = np.r_[0, ends[:-1]] if len(ends) else ends
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, h, starts, ends in _parts(batch, size):
                 with np.errstate(over="ignore"):
-                    sums = np.r_[np.zeros(1, np.uint64), np.cumsum(_mix(h + np.uint64(0x1234567)), dtype=np.uint64)]
-                yield pd.DataFrame({"id": part["id"].to_numpy(), "digest": (sums[ends] - sums[starts]).view(np.int64), "packed": [h[a:b].tobytes() for a, b in zip(starts, ends, strict=True)]})
+                    digest = _sums(_mix(h + np.uint64(0x1234567)), starts, ends)
+                packed = pa.array([h[a:b].tobytes() for a, b in zip(starts, ends, strict=True)], pa.binary())
+                yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index("id")), pa.array(digest), packed], ["id", "digest", "packed"])
 
-    some = rows.filter(maybe(at)).mapInPandas(pack, f"id {id_type}, digest long, packed binary")
+    some = rows.filter(maybe(at)).mapInArrow(pack, f"id {id_type}, digest long, packed binary")
     return some.join(wanted, ["id", "digest"]).select("node", "packed").dropDuplicates(["node"])
 
 

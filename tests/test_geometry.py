@@ -45,7 +45,7 @@ def test_centroids(measured):
 
 def test_validity_hull_text(measured):
     assert all(measured[i]["ok"] for i in SHAPES)
-    assert math.isclose(measured[3]["hull"], 23) and math.isclose(measured[1]["hull"], 1)
+    assert math.isclose(measured[3]["hull"], 22) and math.isclose(measured[1]["hull"], 1)
     back = measured[4]["wkt"].replace(".0", "")
     assert back == SHAPES[4]
 

@@ -45,6 +45,11 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def narrow(df: DataFrame, name: str) -> DataFrame:
+    """materialize for tables of a few numbers a row: four files per core at most, without a shuffle."""
+    return materialize(df.coalesce(4 * df.sparkSession.sparkContext.defaultParallelism), name)
+
+
 def small_side(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:
     """Broadcast hint if a count proves that df is small; else df as it is, for a shuffled join."""
     return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df

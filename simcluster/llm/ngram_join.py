@@ -35,12 +35,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, small_side
+from .common import materialize, narrow, small_side
 
 SHINGLE = 4
 PERCENT = 85
 ROUNDS = 2
-COORDINATES = 16
+SLICE_BITS = 6
+COORDINATES = 1 << SLICE_BITS
 SUB_BATCH = 1_000_000  # bytes of text handled at once; a longer text is handled by itself
 HELD_TOKENS = 1_000_000  # shingles that a task holds before it passes their counts on
 #: Document frequencies from which a shingle falls into the next class of the order, with bits of its bitmap.
@@ -213,7 +214,7 @@ def count_shingles(rows: DataFrame, size: int) -> Frequencies:
     packed = rows.select("text").mapInArrow(pack, "bucket int, ids binary, counts binary")
     got = packed.groupBy("bucket").applyInPandas(tally, "bucket int, maps array<binary>")
     maps = [np.zeros(1 << (bits - 3), np.uint8) for _, bits in CLASSES]
-    for row in got.toLocalIterator():
+    for row in got.collect():
         for full, part in zip(maps, row["maps"], strict=True):
             if part:
                 full[row["bucket"] * len(full) >> bucket_bits :][: len(full) >> bucket_bits] = np.frombuffer(bytes(part), np.uint8)
@@ -241,7 +242,7 @@ def describe(rows: DataFrame, freq: Frequencies, size: int, percent: int, id_typ
                 first = np.arange(len(h)) - starts[doc] < prefix_length(n, percent)[doc]
                 pick = order[first & (rank[order] > 0)]
                 cuts = np.searchsorted(doc[pick], np.arange(len(n) + 1)).astype(np.int32)
-                slices = np.bincount(doc * COORDINATES + (mixed >> np.uint64(60)).astype(np.int64), minlength=len(n) * COORDINATES).astype(np.int32)
+                slices = np.bincount(doc * COORDINATES + (mixed >> np.uint64(64 - SLICE_BITS)).astype(np.int64), minlength=len(n) * COORDINATES).astype(np.int32)
                 regions = pa.ListArray.from_arrays(pa.array(cuts), pa.array(h[pick].view(np.int64)))
                 counts = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * COORDINATES), pa.array(slices))
                 yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index("id")), pa.array(one), pa.array(two), pa.array(n.astype(np.int32)), regions, counts], ["id", "digest", "digest2", "n", "regions", "slices"])
@@ -301,11 +302,10 @@ def components(links: DataFrame) -> DataFrame:
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
-        large = both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v")
-        large = materialize(large.distinct(), "links-large")
+        large = both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").unionByName(least.select("u", F.col("m").alias("v")))
-        edges = materialize(small.distinct(), "links-small")
+        edges = narrow(small.distinct(), "links")
         now = edges.agg(F.count("*"), F.coalesce(F.sum(F.pmod(F.xxhash64("u", "v"), F.lit(1 << 40))), F.lit(0))).head()
         if now == before:
             return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
@@ -325,15 +325,15 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     meta = materialize(describe(rows, count_shingles(rows, shingle), shingle, percent, id_type), "ngram-meta")
     classes = meta.filter("n > 0").groupBy("digest", "digest2").agg(F.min("id").alias("node"), F.first("n").alias("n"), F.first("slices").alias("slices"))
     # a class is known by its smallest id; classes without one (null ids only) and ids with several texts join by digest
-    classes = materialize(classes, "ngram-classes")
+    classes = narrow(classes, "ngram-classes")
     entries = meta.filter("n > 0 and size(regions) > 0").select("digest", "digest2", F.explode("regions").alias("region")).distinct()
     counted = materialize(entries, "ngram-entries")
     shared = counted.groupBy("region").agg(F.count("*").alias("members"), F.min(F.struct("digest", "digest2")).alias("p")).filter("members > 1").select("region", "p")
-    shared = materialize(shared, "ngram-regions")
+    shared = narrow(shared, "ngram-regions")
     region = counted.join(shared, "region").select("region", "digest", "digest2", F.col("p.digest").alias("p1"), F.col("p.digest2").alias("p2"))
-    members = materialize(region.select("region", F.struct("digest", "digest2").alias("m"), F.struct(F.col("p1").alias("digest"), F.col("p2").alias("digest2")).alias("p")), "ngram-members")
+    members = narrow(region.select("region", F.struct("digest", "digest2").alias("m"), F.struct(F.col("p1").alias("digest"), F.col("p2").alias("digest2")).alias("p")), "ngram-members")
     facts = classes.select(F.struct("digest", "digest2").alias("m"), "node", "n", "slices")
-    paired = materialize(members.select("m").distinct().join(facts, "m"), "ngram-paired")
+    paired = narrow(members.select("m").distinct().join(facts, "m"), "ngram-paired")
     sets = materialize(fetch_sets(rows, paired.select("node", F.col("node").alias("id"), F.col("m.digest").alias("digest")), shingle, id_type), "ngram-sets")
 
     reach = 1 - percent / 100 + 1e-9
@@ -341,9 +341,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     todo, known, roots = members, None, None
     for last in [*[False] * rounds, True]:
         if last:  # what the pivots left open: pairs of different components inside the windows
-            left = todo.join(paired, "m").select("region", "node", "n", "slices", "root", "far")
+            # a pair may meet in many regions; it is made in the first that holds both
+            where = todo.groupBy("m").agg(F.collect_list("region").alias("own"))
+            left = todo.join(paired, "m").join(where, "m").select("region", "node", "n", "slices", "root", "far", "own")
             inside = (F.col("a.region") == F.col("b.region")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.root") != F.col("b.root"))
             inside = inside & F.expr(_windows("a", "b", percent)) & F.coalesce(F.abs(F.col("a.far") - F.col("b.far")) <= reach, F.lit(True))
+            inside = inside & (F.array_min(F.array_intersect("a.own", "b.own")) == F.col("a.region"))
             near = left.alias("a").join(left.alias("b"), inside).select(F.col("a.node").alias("a"), F.col("b.node").alias("b"), F.col("a.n").alias("na"), F.col("b.n").alias("nb")).distinct()
         else:
             pairs = todo.filter("m <> p").select("m", "p").distinct()
@@ -351,7 +354,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             near = near.filter(F.expr(_windows("a", "b", percent))).select(F.col("a.node").alias("a"), F.col("b.node").alias("b"), F.col("a.n").alias("na"), F.col("b.n").alias("nb"))
         got = materialize(verify(near, sets, percent), "ngram-verified")
         known = got if known is None else known.unionByName(got)
-        links = materialize(known.filter("linked").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "ngram-links")
+        links = narrow(known.filter("linked").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "ngram-links")
         roots = components(links)
         if last:
             break
@@ -359,16 +362,16 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         placed = todo.select("region", "m", "p").join(names.join(roots, "node", "left").select("m", "node", F.coalesce("root", "node").alias("root")), "m")
         placed = placed.join(names.join(roots, "node", "left").select(F.col("m").alias("p"), F.col("node").alias("b"), F.coalesce("root", "node").alias("own")), "p")
         placed = placed.join(got.select(F.col("a").alias("node"), "b", "far"), ["node", "b"], "left").withColumn("out", F.col("root") != F.col("own"))
-        placed = materialize(placed.filter("m <> p").select("region", "m", "root", "far", "out"), "ngram-placed")
+        placed = narrow(placed.filter("m <> p").select("region", "m", "root", "far", "out"), "ngram-placed")
         others = placed.filter("out").groupBy("region").agg(F.min("far").alias("nearest"), F.max(F.col("far").isNull()).alias("unknown"), F.min("m").alias("p"))
         rest = placed.join(others, "region").filter(F.col("out") | F.col("unknown") | F.col("far").isNull() | (F.col("far") >= F.col("nearest") - reach))
-        rest = materialize(rest.select("region", "m", "p", "root", "far"), "ngram-rest")
+        rest = narrow(rest.select("region", "m", "p", "root", "far"), "ngram-rest")
         busy = rest.groupBy("region").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("region")
-        todo = materialize(rest.join(busy, "region", "left_semi"), "ngram-todo")
+        todo = narrow(rest.join(busy, "region", "left_semi"), "ngram-todo")
         if todo.isEmpty():
             break
     degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
-    grouped = materialize(classes.select("digest", "digest2", "node").join(roots, "node", "left").join(degree, "node", "left").select("digest", "digest2", F.coalesce("root", "node").alias("root"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "ngram-groups")
+    grouped = narrow(classes.select("digest", "digest2", "node").join(roots, "node", "left").join(degree, "node", "left").select("digest", "digest2", F.coalesce("root", "node").alias("root"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "ngram-groups")
     out = meta.select("id", "digest", "digest2", F.col("n").cast("long").alias("n_shingles")).join(grouped, ["digest", "digest2"], "left")
     return out.select(F.col("id").alias(id_col), "n_shingles", F.when(F.col("n_shingles") == 0, F.col("id")).otherwise(F.coalesce("root", "id")).alias("component_id"), F.when(F.col("n_shingles") == 0, 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"))
 

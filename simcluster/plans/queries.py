@@ -572,13 +572,24 @@ def _(spark, d):
     return relational.asof_join(e.filter("event_type <> 'purchase'").select("event_id", "user_id", "ts"), right, "ts", "user_id", "previous").select("event_id", "previous")
 
 
+def _order_windows(spark, d) -> DataFrame:
+    """Five hours from a start that the key gives, of every order."""
+    start = F.expr("timestamp'2024-01-01 00:00:00' + make_dt_interval(0, cast(o_orderkey % 720 as int), 0, 0)")
+    return load_table(spark, d, "orders").select("o_orderkey", start.alias("start_ts")).withColumn("end_ts", F.expr("start_ts + interval 5 hours"))
+
+
+# one order in fifty, as its SQL says; interval_events_all joins every order
 @query("interval_events", "SELECT event_id, o_orderkey FROM (SELECT o_orderkey, TIMESTAMP '2024-01-01' + to_hours((o_orderkey % 720)::BIGINT) AS s FROM orders WHERE o_orderkey % 50 = 0) o JOIN events e ON e.ts >= s AND e.ts < s + INTERVAL 5 HOUR")
 def _(spark, d):
-    start = F.expr("timestamp'2024-01-01 00:00:00' + make_dt_interval(0, cast(o_orderkey % 720 as int), 0, 0)")
-    o = load_table(spark, d, "orders").filter("o_orderkey % 50 = 0").select("o_orderkey", start.alias("start_ts")).withColumn("end_ts", F.expr("start_ts + interval 5 hours"))
+    o = _order_windows(spark, d).filter("o_orderkey % 50 = 0")
     return relational.interval_join(load_table(spark, d, "events"), o, 3 * 3600).select("event_id", "o_orderkey")
 
 
+@query("interval_events_all", "SELECT event_id, o_orderkey FROM (SELECT o_orderkey, TIMESTAMP '2024-01-01' + to_hours((o_orderkey % 720)::BIGINT) AS s FROM orders) o JOIN events e ON e.ts >= s AND e.ts < s + INTERVAL 5 HOUR")
+def _(spark, d):
+    return relational.interval_join(load_table(spark, d, "events"), _order_windows(spark, d), 3 * 3600).select("event_id", "o_orderkey")
+
+
 @query("moving_value", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW), 6) AS moving FROM (SELECT event_id, user_id, value, date_trunc('second', ts) AS ts FROM events)")
 def _(spark, d):
     return relational.moving_value(load_table(spark, d, "events"), 86_400).select("event_id", _r("moving").alias("moving"))

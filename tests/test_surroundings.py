@@ -34,6 +34,16 @@ def test_range_and_interval_joins(spark):
     assert sorted((r["a"], r["b"]) for r in R.range_join(a, b, 1.5).collect()) == [(1, 7), (2, 8), (3, 7), (3, 8)]
 
 
+def test_interval_query_joins_every_order(spark, sf_dir):
+    from simcluster.plans.queries import QUERIES
+
+    events = [(r["event_id"], r["ts"]) for r in spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("ts")).collect()]
+    base, hour = 1_704_067_200_000_000, 3_600_000_000
+    starts = [(r["o_orderkey"], base + r["o_orderkey"] % 720 * hour) for r in spark.read.parquet(f"{sf_dir}/orders.parquet").collect()]
+    want = sorted((e, k) for e, t in events for k, s in starts if s <= t < s + 5 * hour)
+    assert sorted(tuple(r) for r in QUERIES["interval_events_all"](spark, sf_dir).collect()) == want and any(k % 50 for _, k in want)
+
+
 def test_asof_join(spark):
     t = lambda m: dt.datetime(2024, 1, 1, 0, m)
     left = spark.createDataFrame([(1, "u", t(5)), (2, "u", t(1)), (3, "v", t(9))], "id long, k string, ts timestamp")

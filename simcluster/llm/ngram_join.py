@@ -14,6 +14,11 @@ reach form the next region. After `ROUNDS` pivots what is left of a region is jo
 windows of set size and of `COORDINATES` further pivot distances restrict: with a set's counts v of shingles in
 slices of the universe, |v(a) - v(b)| summed is at most the size of the symmetric difference.
 
+Components are found with few of the links, so every class's number of links is counted afterwards: all links
+lie inside components, so the members of a component are compared with each other, in blocks of which each two
+meet in one task as a matrix product. The work grows with the square of a component's size, the rows with that
+square over the block size.
+
 Documents with equal sets collapse to one class first, so groups of copies are one member. Counts of shingles
 cover all documents; what workers hold of them are bitmaps of fixed size, whose false positives change the
 order only, never the result. Sets travel only for classes that a region really pairs.
@@ -47,6 +52,10 @@ HELD_TOKENS = 1_000_000  # shingles that a task holds before it passes their cou
 #: Document frequencies from which a shingle falls into the next class of the order, with bits of its bitmap.
 CLASSES = ((2, 27), (5, 25), (17, 24), (65, 24))
 BUCKET_TOKENS = 2_000_000
+#: Blocks of a component whose links are counted, by sets and by shingles; cells that small components share.
+BLOCK_SETS, BLOCK_TOKENS = 256, 500_000
+CELLS = 512
+MATRIX_CELLS = 2_000_000
 
 _P = 0x9E3779B97F4A7C15 | 1
 _MASK = (1 << 64) - 1
@@ -312,6 +321,55 @@ def components(links: DataFrame) -> DataFrame:
         before = now
 
 
+def link_counts(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """node and its exact number of links, from nodes with roots and sets: all pairs of each component are compared."""
+    have = sets.join(members, "node").withColumn("tokens", F.length("packed") / 8)
+    sizes = have.groupBy("root").agg(F.count("*").alias("c"), F.sum("tokens").alias("t"))
+    blocks = F.ceil(F.greatest(F.col("c") / BLOCK_SETS, F.col("t") / BLOCK_TOKENS)).cast("int")
+    large = small_side(narrow(sizes.select("root", blocks.alias("blocks")).filter("blocks > 1"), "ngram-large"))
+    own = have.join(large, "root", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    own = own.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    # a member stands in one cell with each block; small components share cells
+    cells = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    cells = cells.select("root", "node", "packed", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "blocks")
+    cells = cells.withColumn("cell", F.when(F.col("blocks") > 1, F.xxhash64("root", "i", "j")).otherwise(F.pmod(F.xxhash64("root"), F.lit(CELLS)))).drop("blocks")
+
+    def count(pdf: pd.DataFrame) -> pd.DataFrame:
+        nodes, totals = [], []
+        for (_, i, j), part in pdf.groupby(["root", "i", "j"], sort=False):
+            block = part["block"].to_numpy()
+            nodes.append(part["node"].to_numpy())
+            totals.append(_linked([np.frombuffer(p, np.uint64) for p in part["packed"]], percent, block == i if i != j else None))
+        return pd.DataFrame({"node": np.concatenate(nodes), "n_links": np.concatenate(totals)})
+
+    parts = cells.groupBy("cell").applyInPandas(count, "node long, n_links long")
+    return parts.groupBy("node").agg(F.sum("n_links").alias("n_links"))
+
+
+def _linked(sets: list[np.ndarray], percent: int, left: np.ndarray | None) -> np.ndarray:
+    """How many others each set is linked with; where left is given, only pairs of one set in it and one not."""
+    n = np.array([len(x) for x in sets])
+    h = np.concatenate(sets)
+    order = np.argsort(h, kind="stable")
+    h, doc = h[order], np.repeat(np.arange(len(n)), n)[order]
+    column = np.cumsum(np.r_[True, h[1:] != h[:-1]]) - 1
+    shared = np.bincount(column) > 1  # other shingles add nothing to any pair
+    keep = shared[column]
+    doc, column = doc[keep], (np.cumsum(shared) - 1)[column[keep]]
+    common = np.zeros((len(n), len(n)))
+    width = max(1, MATRIX_CELLS // len(n))
+    for lo in range(0, int(shared.sum()), width):
+        a, b = np.searchsorted(column, (lo, lo + width))
+        held = np.zeros((len(n), width), np.float32)
+        held[doc[a:b], column[a:b] - lo] = 1
+        common += held @ held.T
+    linked = 100 * common >= percent * (n[:, None] + n[None, :] - common)
+    np.fill_diagonal(linked, False)
+    if left is not None:
+        linked &= left[:, None] != left[None, :]
+    return linked.sum(axis=1).astype(np.int64)
+
+
 def _windows(a: str, b: str, percent: int) -> str:
     """What the sizes and the slices of two sets must meet to be within reach of each other."""
     apart = f"aggregate(zip_with({a}.slices, {b}.slices, (p, q) -> abs(p - q)), 0, (s, x) -> s + x)"
@@ -319,7 +377,10 @@ def _windows(a: str, b: str, percent: int) -> str:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, percent: int = PERCENT, rounds: int = ROUNDS) -> DataFrame:
-    """id, n_shingles, component_id (smallest id reachable by links) and n_links of the class, of every row."""
+    """id, n_shingles, component_id (smallest id reachable by links) and n_links of every row.
+
+    n_links is the number of other classes (different shingle sets) that the row's class is linked with.
+    """
     id_type = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     meta = materialize(describe(rows, count_shingles(rows, shingle), shingle, percent, id_type), "ngram-meta")
@@ -370,7 +431,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         todo = narrow(rest.join(busy, "region", "left_semi"), "ngram-todo")
         if todo.isEmpty():
             break
-    degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
+    whole = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
+    degree = narrow(link_counts(whole, sets, percent), "ngram-degrees")
     grouped = narrow(classes.select("digest", "digest2", "node").join(roots, "node", "left").join(degree, "node", "left").select("digest", "digest2", F.coalesce("root", "node").alias("root"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "ngram-groups")
     out = meta.select("id", "digest", "digest2", F.col("n").cast("long").alias("n_shingles")).join(grouped, ["digest", "digest2"], "left")
     return out.select(F.col("id").alias(id_col), "n_shingles", F.when(F.col("n_shingles") == 0, F.col("id")).otherwise(F.coalesce("root", "id")).alias("component_id"), F.when(F.col("n_shingles") == 0, 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"))

@@ -82,6 +82,27 @@ def test_ngram_join_recursion(spark):
         assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == Counter(_components(_sets(table, 4), 85))
 
 
+def _degrees(sets, percent):
+    """Of every row, with how many different sets its own is linked."""
+    distinct = {s for _, s in sets if s}
+    near = {s: sum(100 * len(s & o) >= percent * len(s | o) for o in distinct if o != s) for s in distinct}
+    return [(i, near.get(s, 0)) for i, s in sets]
+
+
+@pytest.mark.parametrize("block", (256, 7))
+def test_ngram_join_counts_all_links(spark, monkeypatch, block):
+    """Groups of near copies that are nearly all linked with each other, chains, and copies."""
+    monkeypatch.setattr(ngram_join, "BLOCK_SETS", block)
+    words = [f"w{i}" for i in range(120)]
+    texts = [" ".join(words[:i] + [f"x{i}"] + words[i + 1 :]) for i in range(0, 120, 3)]
+    chain = [f"c{i}" for i in range(160)]
+    texts += [" ".join(chain[i : i + 100]) for i in range(0, 60, 3)]
+    table = list(enumerate(texts + texts[:3] + ["", "one"]))
+    got = ngram_join.near_duplicates(spark.createDataFrame(table, "doc_id long, text string")).collect()
+    want = _degrees(_sets(table, 4), 85)
+    assert Counter((r["doc_id"], r["n_links"]) for r in got) == Counter(want) and max(n for _, n in want) == 39
+
+
 def test_exact_groups(docs, rows):
     groups = defaultdict(list)
     for i, t in rows:

@@ -266,7 +266,10 @@ def _sums(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarra
 
 
 def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int, id_type: str) -> DataFrame:
-    """node and packed shingles of the wanted classes (node, id); a bitmap of fixed size spares other texts."""
+    """node and packed shingles of the wanted classes (node, id, digests); a bitmap of fixed size spares other texts.
+
+    A class is fetched by one of its ids, null if it has no other, and told by both digests from other texts of that id.
+    """
     bits = 1 << 22
     at = F.pmod(F.xxhash64("id"), F.lit(bits))
     marks = [(r["page"], bytes(r["bits"])) for r in wanted.groupBy(F.bitmap_bucket_number(at + 1).alias("page")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(at + 1)).alias("bits")).collect()]
@@ -284,12 +287,13 @@ def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int, id_type: str) -> D
         for batch in batches:
             for part, h, starts, ends in _parts(batch, size):
                 with np.errstate(over="ignore"):
-                    digest = _sums(_mix(h + np.uint64(0x1234567)), starts, ends)
+                    one, two = _sums(_mix(h + np.uint64(0x1234567)), starts, ends), _sums(_mix(h ^ np.uint64(0xABCDEF987654321)), starts, ends)
                 packed = pa.array([h[a:b].tobytes() for a, b in zip(starts, ends, strict=True)], pa.binary())
-                yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index("id")), pa.array(digest), packed], ["id", "digest", "packed"])
+                yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index("id")), pa.array(one), pa.array(two), packed], ["id", "digest", "digest2", "packed"])
 
-    some = rows.filter(maybe(at)).mapInArrow(pack, f"id {id_type}, digest long, packed binary")
-    return some.join(wanted, ["id", "digest"]).select("node", "packed").dropDuplicates(["node"])
+    some = rows.filter(maybe(at)).mapInArrow(pack, f"id {id_type}, digest long, digest2 long, packed binary").alias("s")
+    same = (F.col("s.digest") == F.col("w.digest")) & (F.col("s.digest2") == F.col("w.digest2")) & F.col("s.id").eqNullSafe(F.col("w.id"))
+    return some.join(wanted.alias("w"), same).select("node", "packed").dropDuplicates(["node"])
 
 
 def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -384,18 +388,18 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     id_type = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     meta = materialize(describe(rows, count_shingles(rows, shingle), shingle, percent, id_type), "ngram-meta")
-    classes = meta.filter("n > 0").groupBy("digest", "digest2").agg(F.min("id").alias("node"), F.first("n").alias("n"), F.first("slices").alias("slices"))
-    # a class is known by its smallest id; classes without one (null ids only) and ids with several texts join by digest
-    classes = narrow(classes, "ngram-classes")
+    classes = meta.filter("n > 0").groupBy("digest", "digest2").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("slices").alias("slices"))
+    # a class gets a number of its own: ids may be null, and one id may have several texts
+    classes = narrow(classes.withColumn("node", F.monotonically_increasing_id()), "ngram-classes")
     entries = meta.filter("n > 0 and size(regions) > 0").select("digest", "digest2", F.explode("regions").alias("region")).distinct()
     counted = materialize(entries, "ngram-entries")
     shared = counted.groupBy("region").agg(F.count("*").alias("members"), F.min(F.struct("digest", "digest2")).alias("p")).filter("members > 1").select("region", "p")
     shared = narrow(shared, "ngram-regions")
     region = counted.join(shared, "region").select("region", "digest", "digest2", F.col("p.digest").alias("p1"), F.col("p.digest2").alias("p2"))
     members = narrow(region.select("region", F.struct("digest", "digest2").alias("m"), F.struct(F.col("p1").alias("digest"), F.col("p2").alias("digest2")).alias("p")), "ngram-members")
-    facts = classes.select(F.struct("digest", "digest2").alias("m"), "node", "n", "slices")
+    facts = classes.select(F.struct("digest", "digest2").alias("m"), "node", "id", "n", "slices")
     paired = narrow(members.select("m").distinct().join(facts, "m"), "ngram-paired")
-    sets = materialize(fetch_sets(rows, paired.select("node", F.col("node").alias("id"), F.col("m.digest").alias("digest")), shingle, id_type), "ngram-sets")
+    sets = materialize(fetch_sets(rows, paired.select("node", "id", "m.digest", "m.digest2"), shingle, id_type), "ngram-sets")
 
     reach = 1 - percent / 100 + 1e-9
     names = paired.select("m", "node")
@@ -433,9 +437,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             break
     whole = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
     degree = narrow(link_counts(whole, sets, percent), "ngram-degrees")
-    grouped = narrow(classes.select("digest", "digest2", "node").join(roots, "node", "left").join(degree, "node", "left").select("digest", "digest2", F.coalesce("root", "node").alias("root"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "ngram-groups")
+    placed = narrow(classes.join(whole, "node", "left").join(degree, "node", "left").select("digest", "digest2", "id", F.coalesce("root", "node").alias("root"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "ngram-classes-placed")
+    least = placed.groupBy("root").agg(F.min("id").alias("component"))
+    grouped = narrow(placed.join(least, "root").select("digest", "digest2", "component", "n_links"), "ngram-groups")
     out = meta.select("id", "digest", "digest2", F.col("n").cast("long").alias("n_shingles")).join(grouped, ["digest", "digest2"], "left")
-    return out.select(F.col("id").alias(id_col), "n_shingles", F.when(F.col("n_shingles") == 0, F.col("id")).otherwise(F.coalesce("root", "id")).alias("component_id"), F.when(F.col("n_shingles") == 0, 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"))
+    return out.select(F.col("id").alias(id_col), "n_shingles", F.when(F.col("n_shingles") == 0, F.col("id")).otherwise(F.col("component")).alias("component_id"), F.when(F.col("n_shingles") == 0, 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"))
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, percent: int = PERCENT) -> DataFrame:

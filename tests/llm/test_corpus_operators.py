@@ -103,6 +103,18 @@ def test_ngram_join_counts_all_links(spark, monkeypatch, block):
     assert Counter((r["doc_id"], r["n_links"]) for r in got) == Counter(want) and max(n for _, n in want) == 39
 
 
+def test_ngram_join_of_null_and_repeated_ids(spark):
+    """Near copies of which any may be the pivot: texts without ids, ids with several texts, groups without any id."""
+    texts = lambda p, m: [" ".join([f"{p}{i}" if i != k else f"x{p}{k}" for i in range(60)]) for k in range(0, 2 * m, 2)]
+    table = [(None if k % 2 else k, t) for k, t in enumerate(texts("a", 16))]
+    table += [(100 + k % 3, t) for k, t in enumerate(texts("b", 9) + texts("c", 9))]
+    table += [(None, t) for t in texts("d", 5)] + [(1, " ".join(f"e{i}" for i in range(60))), (None, "a text alone without an id")]
+    got = ngram_join.near_duplicates(spark.createDataFrame(table, "doc_id long, text string"), percent=70).collect()
+    sets = _sets(table, 4)
+    assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == Counter(_components(sets, 70))
+    assert Counter((r["doc_id"], r["n_links"]) for r in got) == Counter(_degrees(sets, 70))
+
+
 def test_exact_groups(docs, rows):
     groups = defaultdict(list)
     for i, t in rows:

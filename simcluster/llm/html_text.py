@@ -3,8 +3,9 @@
 The page is cut into blocks at block-level tags. The first pass labels each block by itself: blocks inside
 menus, headers, footers, sidebars, notices, adverts, forms and reader comments are out; elsewhere link
 density, length and the density of stop words decide, or leave short and middling blocks open. The second
-pass gives each open block the label of its nearest decided neighbours. Where a page marks its article or
-main element, blocks outside are out and plain blocks inside are in.
+pass gives each open block the label of its nearest decided neighbours. An article or main element is one more
+hint: it lifts the label of blocks inside by one step, from out to open and from open to in, and one neighbour that is in
+is enough for an open block inside.
 
 A narrow pass over pages; each page is handled in time linear in its length.
 
@@ -174,13 +175,11 @@ def blocks_of(page: str) -> list[_Block]:
     return found
 
 
-def _first_pass(block: _Block, marked: bool) -> bool | None:
-    """In, out or open."""
-    if block.out or marked and not block.inside:
+def _by_rules(block: _Block) -> bool | None:
+    """In, out or open by link density, length and density of stop words."""
+    if block.out:
         return False
     density = block.linked / max(1, len(block.text))
-    if marked:
-        return True if density <= 0.5 else None
     words = block.text.lower().split()
     stops = sum(w.strip(".,;:!?\"'()%*#&$") in STOP_WORDS for w in words) / max(1, len(words))
     if density > 0.4:
@@ -192,12 +191,19 @@ def _first_pass(block: _Block, marked: bool) -> bool | None:
     return None if stops >= 0.12 else False
 
 
+def _first_pass(block: _Block, ruled: bool | None) -> bool | None:
+    """The rules' label, one step better inside an article or main element."""
+    if block.out or not block.inside:
+        return ruled
+    return None if ruled is False else True
+
+
 def main_text(page: str | None) -> str:
     if not page:
         return ""
     blocks = blocks_of(page)
-    marked = any(b.inside and not b.out for b in blocks)
-    first = [_first_pass(b, marked) for b in blocks]
+    ruled = [_by_rules(b) for b in blocks]
+    first = [_first_pass(b, x) for b, x in zip(blocks, ruled, strict=True)]
     before, last, dist = [], None, 0
     for x in first:  # (label, distance) of the decided block before each one
         dist += 1
@@ -218,9 +224,9 @@ def main_text(page: str | None) -> str:
         elif left is None or right is None:
             labels[i] = bool(right if left is None else left)
         else:
-            labels[i] = left if left == right else (bool(right) if blocks[i].heading else left if near < far else right if far < near else True)
+            labels[i] = left if left == right else True if blocks[i].inside else (bool(right) if blocks[i].heading else left if near < far else right if far < near else True)
     if not any(labels):
-        labels = [x is None for x in first] if not marked else labels
+        labels = [x is None for x in ruled]
     return "\n".join(b.text for b, keep in zip(blocks, labels, strict=True) if keep)
 
 

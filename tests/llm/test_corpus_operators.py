@@ -316,6 +316,12 @@ def test_html():
     assert len(html_text.main_text("<p>" * 5000 + "<" * 5000 + "<div>" * 5000)) >= 0
 
 
+def test_html_text_beside_an_article():
+    story = "The story of the man and the sea is one that was told for a long time in this town, and it is not over yet, as all of us who live here know."
+    page = f"<body><div><p>{story}</p><p>{story} Again.</p></div><article><h2>A card</h2></article><div><p>{story} End.</p></div><div><a href=a>Home</a> <a href=b>News</a></div></body>"
+    assert html_text.main_text(page).split("\n") == [story, f"{story} Again.", "A card", f"{story} End."]
+
+
 def test_pages(spark, sf_dir):
     got = queries.op10_html_text(spark, sf_dir).collect()
     assert all(r["n_chars"] == len(r["text"]) and "<" not in r["text"][:1] for r in got) and sum(bool(r["text"]) for r in got) > 0.9 * len(got)

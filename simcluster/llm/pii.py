@@ -1,8 +1,8 @@
 """Personal data by patterns of form, widened by bootstrapped contextual extraction; DataFrame expressions only.
 
 Emails, addresses of hosts, payment cards and phone numbers that match the base expressions are the seed
-entities. Their left contexts (two words) are lexical patterns; every identifier-like token that no base span
-covers is an instance of unknown kind in some context. The graph of patterns and instances is scored in
+entities. Their left contexts (two words, or a line's only one) are lexical patterns; every identifier-like token or
+run of digit groups that no base span covers is an instance of unknown kind in some context. The graph of patterns and instances is scored in
 rounds: a pattern is as reliable for a kind as the share of its instances that are known of that kind, and
 counts from `MIN_SEEDS` different known instances on; an instance that reliable patterns extract becomes
 known, if its form is not at odds with the kind, and supports further patterns. Base spans always stay.
@@ -30,8 +30,9 @@ PATTERNS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 KINDS = tuple(PATTERNS)
-#: Tokens with a digit or an at sign.
-TOKEN = r"(?<!\S)[^\s0-9@]*+[0-9@]\S*+"
+#: Runs of digit groups that a space, parenthesis, dot or hyphen joins, and other tokens with a digit or an at sign.
+_GROUP = r"[0-9]++(?=[\x20().-]|[,;:!?\"'\]]*+(?!\S))"
+TOKEN = rf"(?<!\S)(?:[+(]*+{_GROUP}(?:(?:\)[\x20.-]?+|[\x20.-])\(?+{_GROUP})*+(?=[).,;:!?\"'\]-]*+(?!\S))|[^\s0-9@]*+[0-9@]\S*+)"
 ROUNDS = 3
 MIN_SEEDS = 4
 MIN_CONFIDENCE = 0.8
@@ -61,13 +62,19 @@ def _valid(kind: str, m: Column) -> Column:
 
 
 def base_spans(text: Column, kind: str) -> Column:
-    spans = match_spans(text, PATTERNS[kind])
+    spans = match_spans(text, PATTERNS[kind], across=True)
     return spans if kind == "email" else F.filter(spans, lambda s: _valid(kind, s["m"]))
 
 
 def context_of(left: Column) -> Column:
-    """The last two words before an entity, in lower case, digits as 0; empty where there are fewer."""
-    return F.regexp_replace(F.lower(F.regexp_extract(left, r"(\S+\s+\S+)\s+$", 1)), r"[0-9]", "0")
+    """The last two words before an entity, in lower case, digits as 0.
+
+    A line's only word before it stands alone, after a mark; where its line has none, the words of the lines before count.
+    """
+    found = lambda pattern: F.nullif(F.regexp_extract(left, pattern, 1), F.lit(""))
+    label = F.concat(F.lit("^ "), found(r"(?:^|\n)[^\S\n]*(\S+)[^\S\n]+$"))
+    words = F.coalesce(found(r"(\S+[^\S\n]+\S+)[^\S\n]+$"), label, found(r"(\S+\s+\S+)\s+$"), F.lit(""))
+    return F.regexp_replace(F.lower(words), r"[0-9]", "0")
 
 
 def _shape_fits(kind: Column, token: Column) -> Column:
@@ -94,7 +101,7 @@ def bootstrap(edges: DataFrame, rounds: int = ROUNDS) -> DataFrame:
 def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """row, id, the base spans of every kind, and the added ones (kind, a, b)."""
     text = F.coalesce(F.col(text_col), F.lit(""))
-    spans = docs.select(F.col(id_col).alias("id"), *[base_spans(text, k).alias(k) for k in KINDS], match_spans(text, TOKEN).alias("tokens"))
+    spans = docs.select(F.col(id_col).alias("id"), *[base_spans(text, k).alias(k) for k in KINDS], match_spans(text, TOKEN, across=True).alias("tokens"))
     covered = lambda s: F.exists(F.concat(*KINDS), lambda x: (x["a"] < s["b"]) & (s["a"] < x["b"]))
     looks = lambda s: F.contains(s["m"], F.lit("@")) | (F.length(F.regexp_replace(s["m"], r"[^0-9]", "")) >= 6)
     edge = lambda s, kind: F.struct(kind.cast("string").alias("kind"), s["a"].alias("a"), s["b"].alias("b"), F.lower(s["m"]).alias("inst"), context_of(s["left"]).alias("pattern"))

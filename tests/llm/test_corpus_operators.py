@@ -217,6 +217,14 @@ def test_contexts_discover_unseen_identifiers(spark):
     assert got[100]["spans"] == "phone:18:32" and got[100]["n_phone"] == 0 and got[101]["spans"] == ""
 
 
+def test_contexts_discover_identifiers_in_groups(spark):
+    rows = [(i, f"please call us at +1 (743) 555-38{i:02d} today") for i in range(30)]
+    rows += [(50 + i, f"Telephone: +1 (743) 555-39{i:02d}") for i in range(9)]
+    rows += [(100, "please call us at (743) 555-3811 today"), (101, "first line\nTelephone: 743 555.3811."), (102, "the 12 or 5.5 call us at 743-555-3812, or 3rd"), (103, "between 743 555 3811 and 12")]
+    got = {r["doc_id"]: r["spans"] for r in pii.report(pii.find_personal_data(spark.createDataFrame(rows, "doc_id long, text string"))).collect()}
+    assert [got[i] for i in (100, 101, 102, 103)] == ["phone:18:32", "phone:22:34", "phone:25:37", ""]
+
+
 def test_archives(spark, sf_dir):
     fake = "WARC/1.1\r\nWARC-Type: response\r\nContent-Length: 7\r\n\r\n1234567\r\n\r\n"
     odd = [(1000, "u v\r\n", "x" * 100 + fake + "y" + fake + fake), (1001, "u", None), (1002, None, ""), (1003, "u", "x" * 100 + fake + "y" + fake + fake), (1004, "u", "WARC/1.1\r\n" * 50), (1005, "é", "é" * 1000)]

@@ -18,16 +18,15 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder named by spark.checkpoint.dir; where unset, a temporary folder (local master) or the warehouse."""
+    """The shared folder named by spark.checkpoint.dir; where unset, a temporary folder under a local master only."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if root:
         return root
-    if spark.sparkContext.master.startswith("local["):
-        root = tempfile.mkdtemp(prefix="simcluster-")
-        atexit.register(shutil.rmtree, root, True)
-        root = f"file://{root}"
-    else:
-        root = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
+    if not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+    root = tempfile.mkdtemp(prefix="simcluster-")
+    atexit.register(shutil.rmtree, root, True)
+    root = f"file://{root}"
     spark.conf.set("spark.checkpoint.dir", root)
     return root
 
@@ -46,8 +45,9 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
 
 
 def narrow(df: DataFrame, name: str) -> DataFrame:
-    """materialize for tables of a few numbers a row: four files per core at most, without a shuffle."""
-    return materialize(df.coalesce(4 * df.sparkSession.sparkContext.defaultParallelism), name)
+    """materialize for tables of a few numbers a row: a quarter of the shuffle's files, or four per core, without a shuffle."""
+    spark = df.sparkSession
+    return materialize(df.coalesce(max(4 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 4)), name)
 
 
 def small_side(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:
@@ -55,6 +55,31 @@ def small_side(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """name, with underscores before it until df has no such column."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
+def keep_rows(docs: DataFrame, id_col: str, mark: Column, marks: DataFrame) -> DataFrame:
+    """Rows of docs but those whose id and mark stand in marks (id, mark, stays, rows) without staying.
+
+    Of rows that stay and agree in id and mark, one is kept. Only ids and marks of rows in groups are joined.
+    """
+    a, b, m = (free_name(docs, x) for x in ("gone_id", "gone_mark", "row_mark"))
+    named = lambda x: small_side(x.select(F.col("id").alias(a), F.col("mark").alias(b)))
+    gone, many = marks.filter("not stays"), marks.filter("stays and rows > 1")
+    with_mark = docs.withColumn(m, mark)
+    same = with_mark[id_col].eqNullSafe(F.col(a)) & (F.col(m) == F.col(b))
+    kept = with_mark.join(named(gone), same, "left_anti")
+    if many.isEmpty():
+        return kept.drop(m)
+    once = kept.join(named(many), same, "left_semi").dropDuplicates([id_col, m])
+    return kept.join(named(many), same, "left_anti").unionByName(once).drop(m)
+
+
 def crc_mod4(id_col: str) -> Column:
     """crc32 of the id as text, modulo 4; a null id counts as the empty text."""
     return F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary")) % 4

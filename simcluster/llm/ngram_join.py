@@ -1,31 +1,31 @@
 """Exact Jaccard similarity join of documents on word shingles, and its connected groups.
 
-The join works in the metric space of shingle sets under Jaccard distance. Unrelated texts are all at distance
-1 from each other, so documents as first pivots would part nothing; the outer pivots are single shingles
-instead. Every shingle is a pivot with a region; a document is nearest to the pivots it contains, and ties are
-broken by one global order, rare shingles first. A document at distance d from another shares so much with it
-that both stand in a region among the first `n - ceil(t n) + 1` pivots of their orders, so replicating each
-document to these regions loses no pair. Shingles that one document alone has open no region.
-
-Inside a region the join is recursive. A pivot document is chosen, exact distances of all members to it are
-computed, members within reach are linked to it; a member out of reach can only be linked to members whose
-distance to the pivot differs by no more than the reach (triangle inequality). Those and the members out of
-reach form the next region. After `ROUNDS` pivots what is left of a region is joined by a self-join that the
-windows of set size and of `COORDINATES` further pivot distances restrict: with a set's counts v of shingles in
-slices of the universe, |v(a) - v(b)| summed is at most the size of the symmetric difference.
-
-Components are found with few of the links, so every class's number of links is counted afterwards: all links
-lie inside components, so the members of a component are compared with each other, in blocks of which each two
-meet in one task as a matrix product. The work grows with the square of a component's size, the rows with that
-square over the block size.
-
-Documents with equal sets collapse to one class first, so groups of copies are one member. Counts of shingles
-cover all documents; what workers hold of them are bitmaps of fixed size, whose false positives change the
-order only, never the result. Sets travel only for classes that a region really pairs.
+The join works in the metric space of shingle sets under Jaccard distance d. Documents are pivots: a region's
+members are measured against some of them, each goes to the region of its nearest pivot (a Voronoi cell), and
+triangle-inequality windows replicate it to each earlier cell whose members it may still be linked with: with the
+reach r = 1 - t, x of the cell of p can only be linked with a member of the cell of q if
+d(x, q) <= d(x, p) + 2 r and d(x, q) <= r + the radius of q's cell. Cells are divided again until they are small or
+stop shrinking; then their members are compared as matrix products. Every pair is compared in one cell only: a
+replica is a guest there, and two members that are guests of the same division are not compared.
+
+Before that, an exact pre-step forms blocks, because unrelated texts are all at distance 1 from each other and
+windows part nothing among them. Two linked sets share one of the first `n - ceil(t n) + 1` shingles of their
+global order, rare shingles first; so all links lie inside the connected parts of the graph of documents and those
+shingles, each shingle a star around one document. This reads entries, never pairs. Frequencies cover all
+documents; what workers hold of them are bitmaps, whose false positives change the order only, never the result.
+
+Blocks up to `REGION_SETS` sets are divided inside one task. Larger ones are divided by all tasks in rounds:
+members in chunks meet the region's pivots, a dozen or so whatever its size. Members farther than `CORE` from every
+pivot form a cell of their own, so that distance 1 is replicated nowhere. A region that does not shrink (its members
+are all about as far from each other) is compared in blocks of which each two meet in one task; only there the work
+grows with the square of the region, never the rows that are made.
+
+Documents with equal sets collapse to one class first, so groups of copies are one member. Classes have numbers of
+their own: ids may be null, and one id may have several texts.
 
 Defined cases: documents of fewer words than a shingle have their whole sequence as one shingle; without words
-or text: size 0, linked with nothing, a component of their own; a null id is never a component's smallest id
-unless all are null; several rows with one id count as one document per text.
+or text: size 0, linked with nothing, a component of their own; a null id is linked like any other, and is never a
+component's smallest id unless all are null; several rows with one id count as one document per text.
 """
 
 from __future__ import annotations
@@ -33,28 +33,31 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, narrow, small_side
+from .common import keep_rows, materialize, narrow, small_side
 
 SHINGLE = 4
 PERCENT = 85
-ROUNDS = 2
-SLICE_BITS = 6
-COORDINATES = 1 << SLICE_BITS
-SUB_BATCH = 1_000_000  # bytes of text handled at once; a longer text is handled by itself
+SUB_BATCH = 500_000  # bytes of text handled at once; a longer text is handled by itself
 HELD_TOKENS = 1_000_000  # shingles that a task holds before it passes their counts on
-#: Document frequencies from which a shingle falls into the next class of the order, with bits of its bitmap.
-CLASSES = ((2, 27), (5, 25), (17, 24), (65, 24))
+#: Document frequencies from which a shingle falls into the next class of the order, with bits of its bitmap for 1 GB.
+CLASSES = ((2, 26), (5, 25), (17, 24), (65, 24))
+MOST_BITS = 27
 BUCKET_TOKENS = 2_000_000
-#: Blocks of a component whose links are counted, by sets and by shingles; cells that small components share.
-BLOCK_SETS, BLOCK_TOKENS = 256, 500_000
-CELLS = 512
+#: Sets and shingles up to which a region is divided inside one task.
+REGION_SETS, REGION_TOKENS = 2048, 2_000_000
+PIVOTS = 8
+CORE = 0.7
+CHUNK_SETS, CHUNK_TOKENS = 1024, 1_000_000
+LEAF_SETS = 32
+BLOCK_SETS = 384
 MATRIX_CELLS = 2_000_000
 
 _P = 0x9E3779B97F4A7C15 | 1
@@ -160,13 +163,14 @@ def prefix_length(n: np.ndarray, percent: int) -> np.ndarray:
 
 @dataclass
 class Frequencies:
-    """Bitmaps of shingles whose document frequency reaches the bounds of CLASSES."""
+    """Bitmaps of shingles whose document frequency reaches the bounds of CLASSES, with their bits."""
 
     maps: list[np.ndarray]
+    bits: list[int]
 
     def classes(self, h: np.ndarray) -> np.ndarray:
         out = np.zeros(len(h), np.int64)
-        for (_, bits), bitmap in zip(CLASSES, self.maps, strict=True):
+        for bits, bitmap in zip(self.bits, self.maps, strict=True):
             at = h >> np.uint64(64 - bits)
             out += (bitmap[(at >> np.uint64(3)).astype(np.int64)] >> (at & np.uint64(7)).astype(np.uint8)) & 1
         return out
@@ -176,10 +180,12 @@ def count_shingles(rows: DataFrame, size: int) -> Frequencies:
     """Document frequencies over all rows: packed counts per task, summed per bucket of hashes.
 
     A bucket owns one stretch of every bitmap, so tasks return stretches and the driver only puts them side by
-    side: fixed sizes, whatever the data.
+    side. Bitmaps double with the input up to 2**MOST_BITS bits each; beyond that more rare shingles count as frequent.
     """
     total = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).head()[0]
-    bucket_bits = min(16, max(5, math.ceil(math.log2(max(1, total / 6 / BUCKET_TOKENS)))))
+    bucket_bits = min(20, max(5, math.ceil(math.log2(max(1, total / 6 / BUCKET_TOKENS)))))
+    more = max(0, math.ceil(math.log2(max(1, total / (1 << 30)))))
+    sizes = [max(bucket_bits + 3, min(MOST_BITS, bits + more)) for _, bits in CLASSES]
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
@@ -212,7 +218,7 @@ def count_shingles(rows: DataFrame, size: int) -> Frequencies:
         starts = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
         ids, counts = ids[starts], np.add.reduceat(counts, starts)
         out = []
-        for least, bits in CLASSES:
+        for (least, _), bits in zip(CLASSES, sizes, strict=True):
             own = bits - bucket_bits
             hot = ids[counts >= least] >> np.uint32(32 - own)
             flags = np.zeros(1 << own, np.uint8)
@@ -222,19 +228,19 @@ def count_shingles(rows: DataFrame, size: int) -> Frequencies:
 
     packed = rows.select("text").mapInArrow(pack, "bucket int, ids binary, counts binary")
     got = packed.groupBy("bucket").applyInPandas(tally, "bucket int, maps array<binary>")
-    maps = [np.zeros(1 << (bits - 3), np.uint8) for _, bits in CLASSES]
+    maps = [np.zeros(1 << (bits - 3), np.uint8) for bits in sizes]
     for row in got.collect():
         for full, part in zip(maps, row["maps"], strict=True):
             if part:
                 full[row["bucket"] * len(full) >> bucket_bits :][: len(full) >> bucket_bits] = np.frombuffer(bytes(part), np.uint8)
-    return Frequencies(maps)
+    return Frequencies(maps, sizes)
 
 
-META = "id {id}, digest long, digest2 long, n int, regions array<long>, slices array<int>"
+META = "id {id}, mark long, digest long, digest2 long, n int, regions array<long>"
 
 
 def describe(rows: DataFrame, freq: Frequencies, size: int, percent: int, id_type: str) -> DataFrame:
-    """Per row: class digest (128 bits), set size, regions to visit, counts in slices of the universe."""
+    """Per row (id, mark, text): class digest (128 bits), set size, shingles that others have among the first ones."""
     held = rows.sparkSession.sparkContext.broadcast(freq)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -244,38 +250,39 @@ def describe(rows: DataFrame, freq: Frequencies, size: int, percent: int, id_typ
                 n = ends - starts
                 doc = np.repeat(np.arange(len(n)), n)
                 rank = own.classes(h)
-                with np.errstate(over="ignore"):
-                    mixed = _mix(h + np.uint64(0x1234567))
-                    one, two = _sums(mixed, starts, ends), _sums(_mix(h ^ np.uint64(0xABCDEF987654321)), starts, ends)
+                one, two = _digests(h, starts, ends)
                 order = np.lexsort((h, rank, doc))
                 first = np.arange(len(h)) - starts[doc] < prefix_length(n, percent)[doc]
                 pick = order[first & (rank[order] > 0)]
                 cuts = np.searchsorted(doc[pick], np.arange(len(n) + 1)).astype(np.int32)
-                slices = np.bincount(doc * COORDINATES + (mixed >> np.uint64(64 - SLICE_BITS)).astype(np.int64), minlength=len(n) * COORDINATES).astype(np.int32)
                 regions = pa.ListArray.from_arrays(pa.array(cuts), pa.array(h[pick].view(np.int64)))
-                counts = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * COORDINATES), pa.array(slices))
-                yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index("id")), pa.array(one), pa.array(two), pa.array(n.astype(np.int32)), regions, counts], ["id", "digest", "digest2", "n", "regions", "slices"])
+                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("mark"), pa.array(one), pa.array(two), pa.array(n.astype(np.int32)), regions], ["id", "mark", "digest", "digest2", "n", "regions"])
 
     return rows.mapInArrow(work, META.format(id=id_type))
 
 
+def _digests(h: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two sums over mixed hashes per set, which together tell sets apart."""
+    with np.errstate(over="ignore"):
+        return _sums(_mix(h + np.uint64(0x1234567)), starts, ends), _sums(_mix(h ^ np.uint64(0xABCDEF987654321)), starts, ends)
+
+
 def _sums(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """Sums of stretches of hashes, as signed numbers."""
     total = np.r_[np.zeros(1, np.uint64), np.cumsum(values, dtype=np.uint64)]
     return (total[ends] - total[starts]).view(np.int64)
 
 
-def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int, id_type: str) -> DataFrame:
-    """node and packed shingles of the wanted classes (node, id, digests); a bitmap of fixed size spares other texts.
+def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
+    """region, node and packed shingles of the wanted classes (region, node, id, digests).
 
-    A class is fetched by one of its ids, null if it has no other, and told by both digests from other texts of that id.
+    A bitmap over one id of each class spares other texts; classes are told by both digests.
     """
-    bits = 1 << 22
+    bits = 1 << min(27, max(15, math.ceil(math.log2(16 * max(1, wanted.count())))))
     at = F.pmod(F.xxhash64("id"), F.lit(bits))
-    marks = [(r["page"], bytes(r["bits"])) for r in wanted.groupBy(F.bitmap_bucket_number(at + 1).alias("page")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(at + 1)).alias("bits")).collect()]
     flags = np.zeros(bits // 8, np.uint8)
-    for page, own in marks:
-        flags[(page - 1) * 4096 : page * 4096] = np.frombuffer(own, np.uint8)
+    for r in wanted.groupBy(F.bitmap_bucket_number(at + 1).alias("page")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(at + 1)).alias("bits")).collect():
+        flags[(r["page"] - 1) * 4096 : r["page"] * 4096] = np.frombuffer(bytes(r["bits"]), np.uint8)
     held = rows.sparkSession.sparkContext.broadcast(flags)
 
     @F.pandas_udf("boolean")
@@ -285,31 +292,16 @@ def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int, id_type: str) -> D
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part, h, starts, ends in _parts(batch, size):
-                with np.errstate(over="ignore"):
-                    one, two = _sums(_mix(h + np.uint64(0x1234567)), starts, ends), _sums(_mix(h ^ np.uint64(0xABCDEF987654321)), starts, ends)
-                packed = pa.array([h[a:b].tobytes() for a, b in zip(starts, ends, strict=True)], pa.binary())
-                yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index("id")), pa.array(one), pa.array(two), packed], ["id", "digest", "digest2", "packed"])
-
-    some = rows.filter(maybe(at)).mapInArrow(pack, f"id {id_type}, digest long, digest2 long, packed binary").alias("s")
-    same = (F.col("s.digest") == F.col("w.digest")) & (F.col("s.digest2") == F.col("w.digest2")) & F.col("s.id").eqNullSafe(F.col("w.id"))
-    return some.join(wanted.alias("w"), same).select("node", "packed").dropDuplicates(["node"])
-
-
-def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """a, b, common of pairs whose sets overlap enough or not, from their packed shingles."""
-
-    @F.pandas_udf("int")
-    def common(x: pd.Series, y: pd.Series) -> pd.Series:
-        return pd.Series([len(np.intersect1d(np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64), assume_unique=True)) for p, q in zip(x, y, strict=True)], dtype="int32")
+            for _, h, starts, ends in _parts(batch, size):
+                one, two = _digests(h, starts, ends)
+                yield pa.RecordBatch.from_arrays([pa.array(one), pa.array(two), pa.array([h[a:b].tobytes() for a, b in zip(starts, ends, strict=True)], pa.binary())], ["digest", "digest2", "packed"])
 
-    left = sets.select(F.col("node").alias("a"), F.col("packed").alias("x"))
-    right = sets.select(F.col("node").alias("b"), F.col("packed").alias("y"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", common("x", "y").alias("common")).withColumn("linked", 100 * F.col("common") >= percent * (F.col("na") + F.col("nb") - F.col("common"))).withColumn("far", 1 - F.col("common") / (F.col("na") + F.col("nb") - F.col("common")))
+    some = rows.filter(maybe(at)).select("text").mapInArrow(pack, "digest long, digest2 long, packed binary")
+    return some.join(wanted.drop("id"), ["digest", "digest2"]).select("region", "node", "packed").dropDuplicates(["node"])
 
 
 def components(links: DataFrame) -> DataFrame:
-    """node and root (smallest node reachable) of nodes with links: large and small stars until nothing moves."""
+    """node and root (smallest node reachable) of nodes with links (a, b): large and small stars until nothing moves."""
     edges = links.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
     before = None
     while True:
@@ -325,33 +317,9 @@ def components(links: DataFrame) -> DataFrame:
         before = now
 
 
-def link_counts(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """node and its exact number of links, from nodes with roots and sets: all pairs of each component are compared."""
-    have = sets.join(members, "node").withColumn("tokens", F.length("packed") / 8)
-    sizes = have.groupBy("root").agg(F.count("*").alias("c"), F.sum("tokens").alias("t"))
-    blocks = F.ceil(F.greatest(F.col("c") / BLOCK_SETS, F.col("t") / BLOCK_TOKENS)).cast("int")
-    large = small_side(narrow(sizes.select("root", blocks.alias("blocks")).filter("blocks > 1"), "ngram-large"))
-    own = have.join(large, "root", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
-    own = own.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    # a member stands in one cell with each block; small components share cells
-    cells = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    cells = cells.select("root", "node", "packed", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "blocks")
-    cells = cells.withColumn("cell", F.when(F.col("blocks") > 1, F.xxhash64("root", "i", "j")).otherwise(F.pmod(F.xxhash64("root"), F.lit(CELLS)))).drop("blocks")
-
-    def count(pdf: pd.DataFrame) -> pd.DataFrame:
-        nodes, totals = [], []
-        for (_, i, j), part in pdf.groupby(["root", "i", "j"], sort=False):
-            block = part["block"].to_numpy()
-            nodes.append(part["node"].to_numpy())
-            totals.append(_linked([np.frombuffer(p, np.uint64) for p in part["packed"]], percent, block == i if i != j else None))
-        return pd.DataFrame({"node": np.concatenate(nodes), "n_links": np.concatenate(totals)})
-
-    parts = cells.groupBy("cell").applyInPandas(count, "node long, n_links long")
-    return parts.groupBy("node").agg(F.sum("n_links").alias("n_links"))
-
-
-def _linked(sets: list[np.ndarray], percent: int, left: np.ndarray | None) -> np.ndarray:
-    """How many others each set is linked with; where left is given, only pairs of one set in it and one not."""
+def common_counts(left: list[np.ndarray], right: list[np.ndarray] | None = None) -> np.ndarray:
+    """Sizes of the intersections of all sets on the left with all on the right (None: with each other), by matrix products."""
+    sets = left if right is None else left + right
     n = np.array([len(x) for x in sets])
     h = np.concatenate(sets)
     order = np.argsort(h, kind="stable")
@@ -360,91 +328,245 @@ def _linked(sets: list[np.ndarray], percent: int, left: np.ndarray | None) -> np
     shared = np.bincount(column) > 1  # other shingles add nothing to any pair
     keep = shared[column]
     doc, column = doc[keep], (np.cumsum(shared) - 1)[column[keep]]
-    common = np.zeros((len(n), len(n)))
+    common = np.zeros((len(left), len(sets) - (len(left) if right is not None else 0)))
     width = max(1, MATRIX_CELLS // len(n))
     for lo in range(0, int(shared.sum()), width):
         a, b = np.searchsorted(column, (lo, lo + width))
         held = np.zeros((len(n), width), np.float32)
         held[doc[a:b], column[a:b] - lo] = 1
-        common += held @ held.T
-    linked = 100 * common >= percent * (n[:, None] + n[None, :] - common)
-    np.fill_diagonal(linked, False)
-    if left is not None:
-        linked &= left[:, None] != left[None, :]
-    return linked.sum(axis=1).astype(np.int64)
+        common += held @ held.T if right is None else held[: len(left)] @ held[len(left) :].T
+    return common
 
 
-def _windows(a: str, b: str, percent: int) -> str:
-    """What the sizes and the slices of two sets must meet to be within reach of each other."""
-    apart = f"aggregate(zip_with({a}.slices, {b}.slices, (p, q) -> abs(p - q)), 0, (s, x) -> s + x)"
-    return f"100 * least({a}.n, {b}.n) >= {percent} * greatest({a}.n, {b}.n) and {100 + percent} * {apart} <= {100 - percent} * ({a}.n + {b}.n)"
+def distances(sets: list[np.ndarray], pivot: np.ndarray) -> np.ndarray:
+    """Jaccard distance of every set to the pivot."""
+    sizes = np.array([len(x) for x in sets])
+    h = np.concatenate(sets)
+    at = np.minimum(np.searchsorted(pivot, h), len(pivot) - 1)
+    hits = np.r_[0, np.cumsum(pivot[at] == h)]
+    ends = np.cumsum(sizes)
+    common = hits[ends] - hits[ends - sizes]
+    return 1 - common / (sizes + len(pivot) - common)
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, percent: int = PERCENT, rounds: int = ROUNDS) -> DataFrame:
-    """id, n_shingles, component_id (smallest id reachable by links) and n_links of every row.
+def cells_of(far: np.ndarray, reach: float, core: float | None = None) -> list[tuple[int, np.ndarray, np.ndarray]]:
+    """(cell, members, whether they are guests) from distances of members to pivots (rows: members).
 
-    n_links is the number of other classes (different shingle sets) that the row's class is linked with.
+    A member's home is the cell of its nearest pivot; it is a guest of earlier cells that its window reaches. With a
+    core, members beyond it from every pivot have the last cell for home; without, a cell's radius is that of its members.
+    """
+    home = far.argmin(axis=1)
+    near = far[np.arange(len(far)), home]
+    if core is not None:
+        home = np.where(near <= core, home, far.shape[1])
+    out = []
+    for j in range(far.shape[1]):
+        own = home == j
+        if core is None and not own.any():  # with a core, other tasks may hold the cell's own members
+            continue
+        radius = core if core is not None else far[own, j].max()
+        inner = 0.0 if core is not None else far[own, j].min()
+        guest = (home > j) & (far[:, j] <= radius + reach) & (far[:, j] >= inner - reach)
+        guest &= (home == far.shape[1]) | (far[:, j] <= near + 2 * reach)
+        if len(at := np.flatnonzero(own | guest)):
+            out.append((j, at, guest[at]))
+    if len(at := np.flatnonzero(home == far.shape[1])):
+        out.append((far.shape[1], at, np.zeros(len(at), bool)))
+    return out
+
+
+class Region:
+    """Join of one region's sets inside a task; links are counted per set, and sets linked by any chain share a root."""
+
+    def __init__(self, sets: list[np.ndarray], guests: np.ndarray, percent: int, leaf: int = LEAF_SETS):
+        self.sets, self.percent, self.leaf = sets, percent, leaf
+        self.sizes = np.array([len(x) for x in sets])
+        self.reach = 1 - percent / 100 + 1e-9
+        self.links = np.zeros(len(sets), np.int64)
+        self.root = np.arange(len(sets))
+        self.divide(np.arange(len(sets)), guests.astype(np.int64), int(max(0, guests.max(initial=0))).bit_length())
+
+    def divide(self, at: np.ndarray, guests: np.ndarray, depth: int) -> None:
+        """Compare the members at; guests has a bit for each division that made a member a guest, depth the next bit."""
+        if len(at) > self.leaf and depth < 62:
+            sets = [self.sets[i] for i in at]
+            far = [distances(sets, sets[0])]
+            least = far[0]
+            while len(far) < PIVOTS and least.max() > 2 * self.reach:  # the next pivot is the member farthest from all
+                far.append(distances(sets, sets[int(least.argmax())]))
+                least = np.minimum(least, far[-1])
+            cells = cells_of(np.stack(far, axis=1), self.reach) if len(far) > 1 else []
+            if cells and max(len(x) for _, x, _ in cells) <= 0.8 * len(at):
+                for _, own, guest in cells:
+                    self.divide(at[own], guests[own] | (guest.astype(np.int64) << depth), depth + 1)
+                return
+        for lo in range(0, len(at), BLOCK_SETS):
+            for hi in range(lo, len(at), BLOCK_SETS):
+                self.compare(at[lo : lo + BLOCK_SETS], guests[lo : lo + BLOCK_SETS], at[hi : hi + BLOCK_SETS], guests[hi : hi + BLOCK_SETS], lo == hi)
+
+    def compare(self, a: np.ndarray, ga: np.ndarray, b: np.ndarray, gb: np.ndarray, same: bool) -> None:
+        common = common_counts([self.sets[i] for i in a], None if same else [self.sets[i] for i in b])
+        linked = 100 * common >= self.percent * (self.sizes[a][:, None] + self.sizes[b][None, :] - common)
+        linked &= (ga[:, None] & gb[None, :]) == 0
+        if same:
+            np.fill_diagonal(linked, False)
+        if not linked.any():
+            return
+        self.links[a] += linked.sum(axis=1)
+        if not same:
+            self.links[b] += linked.sum(axis=0)
+        while True:  # roots spread over links until no link joins two of them
+            ra, rb = self.root[a], self.root[b]
+            low_a = np.minimum(ra, np.where(linked, rb[None, :], len(self.root)).min(axis=1, initial=len(self.root)))
+            low_b = np.minimum(rb, np.where(linked, ra[:, None], len(self.root)).min(axis=0, initial=len(self.root)))
+            moves = np.unique(np.concatenate([np.stack([ra, low_a], 1), np.stack([rb, low_b], 1)]), axis=0)
+            moves = moves[moves[:, 0] != moves[:, 1]]
+            if not len(moves):
+                return
+            target = np.arange(len(self.root))
+            np.minimum.at(target, moves[:, 0], moves[:, 1])
+            while not np.array_equal(target, jumped := target[target]):
+                target = jumped
+            self.root = target[self.root]
+
+
+def _sets(packed: pd.Series) -> list[np.ndarray]:
+    return [np.frombuffer(p, np.uint64) for p in packed]
+
+
+def divide_large(todo: DataFrame, percent: int, depth: int, chunk_sets: int) -> DataFrame:
+    """One round for regions (region, node, packed, guest, c, t) too large for a task: members in chunks meet the pivots.
+
+    Pivots are members whose hash falls below 2 * PIVOTS / c, about as many in every region.
     """
+    reach = 1 - percent / 100 + 1e-9
+    chunks = F.ceil(F.greatest(F.col("c") / chunk_sets, F.col("t") / CHUNK_TOKENS)).cast("int")
+    todo = todo.withColumn("chunks", chunks)
+    members = todo.withColumn("chunk", F.pmod(F.xxhash64(F.lit(depth), "node"), "chunks").cast("int"))
+    pivots = todo.filter(F.pmod(F.xxhash64("node", F.lit(depth)), "c") < 2 * PIVOTS).select(F.col("region").alias("of"), F.col("node").alias("pivot"), F.col("packed").alias("held"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("part"))
+
+    def assign(key: tuple, own: pd.DataFrame, chosen: pd.DataFrame) -> pd.DataFrame:
+        if not len(own):
+            return pd.DataFrame(columns=["region", "cell", "node", "packed", "guest", "parent"])
+        sets, chosen = _sets(own["packed"]), chosen.sort_values("pivot")
+        far = np.stack([np.ones(len(sets)), *[distances(sets, p) for p in _sets(chosen["held"])]], axis=1)[:, 1:]
+        cells = cells_of(far, reach, CORE) if far.shape[1] else [(0, np.arange(len(sets)), np.zeros(len(sets), bool))]
+        parts = [pd.DataFrame({"region": own["region"].iloc[at], "cell": cell, "node": own["node"].iloc[at], "packed": own["packed"].iloc[at], "guest": own["guest"].iloc[at] | (guest.astype(np.int64) << depth), "parent": own["c"].iloc[at]}) for cell, at, guest in cells]
+        return pd.concat(parts)
+
+    cells = members.select("region", "chunk", "node", "packed", "guest", "c").groupBy("region", "chunk").cogroup(pivots.groupBy("of", "part")).applyInPandas(assign, "region long, cell long, node long, packed binary, guest long, parent long")
+    return cells.select(F.xxhash64("region", "cell", F.lit(depth)).alias("region"), "node", "packed", "guest", "parent")
+
+
+def sized(todo: DataFrame) -> DataFrame:
+    """Regions with their number of sets (c), shingles (t) and their parent's sets."""
+    return todo.groupBy("region").agg(F.count("*").alias("c"), F.sum(F.length("packed") / 8).alias("t"), F.max("parent").alias("parent"))
+
+
+def link_blocks(blocks: DataFrame, percent: int, region_sets: int = REGION_SETS, chunk_sets: int = CHUNK_SETS) -> DataFrame:
+    """node, root (a node of the same component) and n_links (to be summed) from blocks (region, node, packed)."""
+    todo, depth, joins = blocks.select("region", "node", "packed", F.lit(0).cast("long").alias("guest"), F.lit(None).cast("long").alias("parent")), 0, []
+    while True:
+        sizes = narrow(sized(todo), "ngram-sizes")
+        large = (F.col("c") > region_sets) | (F.col("t") > REGION_TOKENS)
+        shrinks = (F.col("c") > 2) & (F.col("parent").isNull() | (F.col("c") <= 0.8 * F.col("parent"))) & F.lit(depth < 40)
+        apart = sizes.filter(large)
+        if apart.isEmpty():
+            joins.append(_cells(todo, sizes, F.lit(1)))
+            break
+        joins.append(_cells(todo, sizes.filter(~large), F.lit(1)))
+        joins.append(_cells(todo, apart.filter(~shrinks), F.ceil(F.greatest(F.col("c") / chunk_sets, F.col("t") / CHUNK_TOKENS)).cast("int")))
+        more = apart.filter(shrinks)
+        if more.isEmpty():
+            break
+        todo = materialize(divide_large(todo.drop("parent").join(small_side(more.drop("parent")), "region"), percent, depth, chunk_sets), "ngram-cells")
+        depth += 1
+    cells = reduce(DataFrame.unionByName, joins)
+
+    def work(pdf: pd.DataFrame) -> pd.DataFrame:
+        nodes, roots, counts = [], [], []
+        for (_, i, j), part in pdf.groupby(["region", "i", "j"], sort=False):
+            guests = part["guest"].to_numpy()
+            if i != j:  # only pairs of one member of each block are new here
+                block = part["block"].to_numpy()
+                at = [np.flatnonzero(block == x) for x in (i, j)]
+                got = Region([], np.zeros(0, np.int64), percent)
+                got.sets, got.sizes = _sets(part["packed"]), part["packed"].map(len).to_numpy() // 8
+                got.links, got.root = np.zeros(len(part), np.int64), np.arange(len(part))
+                for lo in range(0, len(at[0]), BLOCK_SETS):
+                    for hi in range(0, len(at[1]), BLOCK_SETS):
+                        a, b = at[0][lo : lo + BLOCK_SETS], at[1][hi : hi + BLOCK_SETS]
+                        got.compare(a, guests[a], b, guests[b], False)
+            else:
+                got = Region(_sets(part["packed"]), guests, percent)
+            own = part["node"].to_numpy()
+            some = got.links > 0
+            nodes.append(own[some])
+            roots.append(own[got.root[some]])
+            counts.append(got.links[some])
+        return pd.DataFrame({"node": np.concatenate(nodes), "root": np.concatenate(roots), "n_links": np.concatenate(counts)})
+
+    return cells.groupBy("cell").applyInPandas(work, "node long, root long, n_links long")
+
+
+def _cells(todo: DataFrame, sizes: DataFrame, blocks: Column) -> DataFrame:
+    """Members of the regions in sizes, dealt to cells of a task each: small regions share cells, blocks of one meet pairwise."""
+    cells = 8 * int(todo.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    own = todo.drop("parent").join(sizes.select("region", blocks.alias("blocks")), "region")
+    own = own.withColumn("block", F.pmod(F.xxhash64("node"), "blocks").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    own = own.withColumn("i", F.least("block", "other")).withColumn("j", F.greatest("block", "other"))
+    cell = F.when(F.col("blocks") > 1, F.xxhash64("region", "i", "j")).otherwise(F.pmod(F.xxhash64("region"), F.lit(cells)))
+    return own.select(cell.alias("cell"), "region", "node", "packed", "guest", "block", "i", "j")
+
+
+def grouped(docs: DataFrame, id_col: str, text_col: str, shingle: int, percent: int, region_sets: int = REGION_SETS, chunk_sets: int = CHUNK_SETS) -> DataFrame:
+    """id, mark (hash of the text), n_shingles, component (smallest id), group (null: alone) and n_links of every row."""
     id_type = docs.schema[id_col].dataType.simpleString()
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    rows = docs.select(F.col(id_col).alias("id"), F.xxhash64(F.col(text_col).cast("string")).alias("mark"), F.col(text_col).cast("string").alias("text"))
     meta = materialize(describe(rows, count_shingles(rows, shingle), shingle, percent, id_type), "ngram-meta")
-    classes = meta.filter("n > 0").groupBy("digest", "digest2").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("slices").alias("slices"))
-    # a class gets a number of its own: ids may be null, and one id may have several texts
+    classes = meta.filter("n > 0").groupBy("digest", "digest2").agg(F.min("id").alias("id"), F.first("regions").alias("regions"))
     classes = narrow(classes.withColumn("node", F.monotonically_increasing_id()), "ngram-classes")
-    entries = meta.filter("n > 0 and size(regions) > 0").select("digest", "digest2", F.explode("regions").alias("region")).distinct()
-    counted = materialize(entries, "ngram-entries")
-    shared = counted.groupBy("region").agg(F.count("*").alias("members"), F.min(F.struct("digest", "digest2")).alias("p")).filter("members > 1").select("region", "p")
-    shared = narrow(shared, "ngram-regions")
-    region = counted.join(shared, "region").select("region", "digest", "digest2", F.col("p.digest").alias("p1"), F.col("p.digest2").alias("p2"))
-    members = narrow(region.select("region", F.struct("digest", "digest2").alias("m"), F.struct(F.col("p1").alias("digest"), F.col("p2").alias("digest2")).alias("p")), "ngram-members")
-    facts = classes.select(F.struct("digest", "digest2").alias("m"), "node", "id", "n", "slices")
-    paired = narrow(members.select("m").distinct().join(facts, "m"), "ngram-paired")
-    sets = materialize(fetch_sets(rows, paired.select("node", "id", "m.digest", "m.digest2"), shingle, id_type), "ngram-sets")
+    entries = classes.select("node", F.explode("regions").alias("shingle"))
+    stars = entries.groupBy("shingle").agg(F.min("node").alias("a"), F.max("node").alias("most")).filter("a < most").select("shingle", "a")
+    edges = entries.join(stars, "shingle").filter("node <> a").select("a", F.col("node").alias("b")).distinct()
+    whole = _with_roots(components(edges))
+    wanted = narrow(whole.withColumnRenamed("root", "region").join(classes.drop("regions"), "node"), "ngram-wanted")
+    blocks = materialize(fetch_sets(rows, wanted, shingle), "ngram-sets")
+    links = materialize(link_blocks(blocks, percent, region_sets, chunk_sets), "ngram-links")
+    roots = _with_roots(components(links.select(F.col("node").alias("a"), F.col("root").alias("b"))))
+    degree = links.groupBy("node").agg(F.sum("n_links").alias("n_links"))
+    linked = roots.join(degree, "node", "left").join(classes.drop("regions"), "node")
+    linked = narrow(linked.select("digest", "digest2", "id", "root", "n_links"), "ngram-linked")
+    least = linked.groupBy("root").agg(F.min("id").alias("least"))
+    named = narrow(linked.join(least, "root").select("digest", "digest2", "root", "least", "n_links"), "ngram-groups")
+    alone = classes.select("digest", "digest2", "id", F.col("node").alias("own"))
+    out = meta.drop("regions").withColumnRenamed("id", "row_id").join(alone, ["digest", "digest2"], "left").join(named, ["digest", "digest2"], "left")
+    component = F.when(F.col("n") == 0, F.col("row_id")).when(F.col("root").isNull(), F.col("id")).otherwise(F.col("least"))
+    return out.select(F.col("row_id").alias("id"), "mark", F.col("n").cast("long").alias("n_shingles"), component.alias("component"), F.when(F.col("n") > 0, F.coalesce("root", "own")).alias("group"), F.when(F.col("n") > 0, F.coalesce("n_links", F.lit(0))).otherwise(0).cast("long").alias("n_links"))
+
+
+def _with_roots(placed: DataFrame) -> DataFrame:
+    return placed.unionByName(placed.select(F.col("root").alias("node"), "root").distinct())
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, percent: int = PERCENT, region_sets: int = REGION_SETS, chunk_sets: int = CHUNK_SETS) -> DataFrame:
+    """id, n_shingles, component_id (smallest id reachable by links) and n_links of every row.
 
-    reach = 1 - percent / 100 + 1e-9
-    names = paired.select("m", "node")
-    todo, known, roots = members, None, None
-    for last in [*[False] * rounds, True]:
-        if last:  # what the pivots left open: pairs of different components inside the windows
-            # a pair may meet in many regions; it is made in the first that holds both
-            where = todo.groupBy("m").agg(F.collect_list("region").alias("own"))
-            left = todo.join(paired, "m").join(where, "m").select("region", "node", "n", "slices", "root", "far", "own")
-            inside = (F.col("a.region") == F.col("b.region")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.root") != F.col("b.root"))
-            inside = inside & F.expr(_windows("a", "b", percent)) & F.coalesce(F.abs(F.col("a.far") - F.col("b.far")) <= reach, F.lit(True))
-            inside = inside & (F.array_min(F.array_intersect("a.own", "b.own")) == F.col("a.region"))
-            near = left.alias("a").join(left.alias("b"), inside).select(F.col("a.node").alias("a"), F.col("b.node").alias("b"), F.col("a.n").alias("na"), F.col("b.n").alias("nb")).distinct()
-        else:
-            pairs = todo.filter("m <> p").select("m", "p").distinct()
-            near = pairs.join(paired.select("m", F.struct("node", "n", "slices").alias("a")), "m").join(paired.select(F.col("m").alias("p"), F.struct("node", "n", "slices").alias("b")), "p")
-            near = near.filter(F.expr(_windows("a", "b", percent))).select(F.col("a.node").alias("a"), F.col("b.node").alias("b"), F.col("a.n").alias("na"), F.col("b.n").alias("nb"))
-        got = materialize(verify(near, sets, percent), "ngram-verified")
-        known = got if known is None else known.unionByName(got)
-        links = narrow(known.filter("linked").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "ngram-links")
-        roots = components(links)
-        if last:
-            break
-        # members with their component and their distance to the pivot, unknown where a window shut the pair out
-        placed = todo.select("region", "m", "p").join(names.join(roots, "node", "left").select("m", "node", F.coalesce("root", "node").alias("root")), "m")
-        placed = placed.join(names.join(roots, "node", "left").select(F.col("m").alias("p"), F.col("node").alias("b"), F.coalesce("root", "node").alias("own")), "p")
-        placed = placed.join(got.select(F.col("a").alias("node"), "b", "far"), ["node", "b"], "left").withColumn("out", F.col("root") != F.col("own"))
-        placed = narrow(placed.filter("m <> p").select("region", "m", "root", "far", "out"), "ngram-placed")
-        others = placed.filter("out").groupBy("region").agg(F.min("far").alias("nearest"), F.max(F.col("far").isNull()).alias("unknown"), F.min("m").alias("p"))
-        rest = placed.join(others, "region").filter(F.col("out") | F.col("unknown") | F.col("far").isNull() | (F.col("far") >= F.col("nearest") - reach))
-        rest = narrow(rest.select("region", "m", "p", "root", "far"), "ngram-rest")
-        busy = rest.groupBy("region").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("region")
-        todo = narrow(rest.join(busy, "region", "left_semi"), "ngram-todo")
-        if todo.isEmpty():
-            break
-    whole = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
-    degree = narrow(link_counts(whole, sets, percent), "ngram-degrees")
-    placed = narrow(classes.join(whole, "node", "left").join(degree, "node", "left").select("digest", "digest2", "id", F.coalesce("root", "node").alias("root"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "ngram-classes-placed")
-    least = placed.groupBy("root").agg(F.min("id").alias("component"))
-    grouped = narrow(placed.join(least, "root").select("digest", "digest2", "component", "n_links"), "ngram-groups")
-    out = meta.select("id", "digest", "digest2", F.col("n").cast("long").alias("n_shingles")).join(grouped, ["digest", "digest2"], "left")
-    return out.select(F.col("id").alias(id_col), "n_shingles", F.when(F.col("n_shingles") == 0, F.col("id")).otherwise(F.col("component")).alias("component_id"), F.when(F.col("n_shingles") == 0, 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"))
+    n_links is the number of other classes (different shingle sets) that the row's class is linked with.
+    """
+    found = grouped(docs, id_col, text_col, shingle, percent, region_sets, chunk_sets)
+    return found.select(F.col("id").alias(id_col), "n_shingles", F.col("component").alias("component_id"), "n_links")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """Rows of docs, all columns, that are the smallest of their component."""
-    gone = materialize(near_duplicates(docs, id_col, text_col, shingle, percent).filter(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("_gone")).distinct(), "near-copies")
-    return docs.join(small_side(gone), docs[id_col] == F.col("_gone"), "left_anti")
+    """Rows of docs, all columns: one of each component, that with the smallest id, and every row without words.
+
+    Rows are told by id and text, so a repeated or null id costs no other text its row; where whole rows repeat in
+    both, one of them stays.
+    """
+    found = materialize(grouped(docs, id_col, text_col, shingle, percent).filter("group is not null").select("id", "mark", "group"), "near-rows")
+    order = F.struct(F.col("id").isNull(), F.col("id"), F.col("mark"))
+    first = found.groupBy("group").agg(F.min(order).alias("first"), F.count("*").alias("rows")).filter("rows > 1")
+    placed = found.join(first, "group").withColumn("stays", order == F.col("first"))
+    marks = materialize(placed.groupBy("id", "mark").agg(F.max("stays").alias("stays"), F.count("*").alias("rows")), "near-marks")
+    return keep_rows(docs, id_col, F.xxhash64(F.col(text_col).cast("string")), marks)

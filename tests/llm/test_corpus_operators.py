@@ -77,8 +77,8 @@ def test_ngram_join_recursion(spark):
     texts += [f"{passage} own{i} own{i}a own{i}b own{i}c" for i in range(30)]
     table = [(i, t) for i, t in enumerate(texts)]
     df = spark.createDataFrame(table, "doc_id long, text string")
-    for rounds in (1, 3):
-        got = ngram_join.near_duplicates(df, rounds=rounds).collect()
+    for region_sets, chunk_sets in ((2048, 1024), (6, 3)):
+        got = ngram_join.near_duplicates(df, region_sets=region_sets, chunk_sets=chunk_sets).collect()
         assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == Counter(_components(_sets(table, 4), 85))
 
 
@@ -113,6 +113,49 @@ def test_ngram_join_of_null_and_repeated_ids(spark):
     sets = _sets(table, 4)
     assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == Counter(_components(sets, 70))
     assert Counter((r["doc_id"], r["n_links"]) for r in got) == Counter(_degrees(sets, 70))
+    kept = ngram_join.drop_near_duplicates(spark.createDataFrame(table, "doc_id long, text string"), percent=70).collect()
+    assert Counter(r["doc_id"] for r in kept) == Counter([0, 100, 100, None, 1, None])
+
+
+def _random_sets(seed, count, spread):
+    """Sets at all distances: copies of a few bases with some members replaced."""
+    import numpy as np
+
+    rng = np.random.default_rng(seed)
+    bases, out = [rng.integers(0, 1 << 62, 80).astype(np.uint64) for _ in range(4)], []
+    for _ in range(count):
+        base = bases[rng.integers(4)].copy()
+        at = rng.random(80) < rng.random() * spread
+        base[at] = rng.integers(0, 1 << 62, int(at.sum())).astype(np.uint64)
+        out.append(np.unique(base))
+    return out
+
+
+@pytest.mark.parametrize("spread,percent", [(0.12, 85), (0.5, 80), (0.9, 30)])
+def test_region_join_against_all_pairs(spread, percent):
+    import numpy as np
+
+    sets = _random_sets(3, 300, spread)
+    guests = np.arange(300) % 7 == 0  # members that are guests from outside are not compared with each other
+    got = ngram_join.Region(sets, guests, percent, leaf=5)
+    plain = [frozenset(x.tolist()) for x in sets]
+    linked = [[i != j and not (guests[i] and guests[j]) and 100 * len(a & b) >= percent * len(a | b) for j, b in enumerate(plain)] for i, a in enumerate(plain)]
+    assert got.links.tolist() == [sum(x) for x in linked] and sum(map(sum, linked)) > 100
+    for i, row in enumerate(linked):
+        assert all(got.root[i] == got.root[j] for j, x in enumerate(row) if x)
+    roots = {int(x) for x in got.root}
+    assert len(roots) == sum(1 for i, x in enumerate(got.root) if i == x) and all(any(linked[i]) or got.root[i] == i for i in range(300))
+
+
+@pytest.mark.parametrize("seed,spread,percent", [(5, 0.1, 85), (6, 0.6, 50), (7, 1.0, 20)])
+def test_large_regions_are_divided_by_all_tasks(spark, seed, spread, percent):
+    sets = _random_sets(seed, 160, spread)
+    rows = [(i % 3 // 2, i, x.tobytes()) for i, x in enumerate(sets)]
+    blocks = spark.createDataFrame(rows, "region long, node long, packed binary")
+    got = ngram_join.link_blocks(blocks, percent, region_sets=12, chunk_sets=9).groupBy("node").agg(F.sum("n_links").alias("n")).collect()
+    plain = [frozenset(x.tolist()) for x in sets]
+    want = {i: sum(i != j and rows[i][0] == rows[j][0] and 100 * len(a & b) >= percent * len(a | b) for j, b in enumerate(plain)) for i, a in enumerate(plain)}
+    assert {r["node"]: r["n"] for r in got} == {i: n for i, n in want.items() if n}
 
 
 def test_exact_groups(docs, rows):

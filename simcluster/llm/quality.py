@@ -10,7 +10,8 @@ The pass over documents is narrow. Labels, language, source and ids are no input
 
 Defined cases: null or empty texts, and texts without a similar neighbour, get the share of label 1 in the
 sample; without any labels every score is 0.5. Ties between neighbours go to the smaller row of the sample.
-Label rows that repeat count once; rows with a null label or id are ignored; conflicting labels: the larger.
+Label rows that repeat count once; rows with a null label or id are ignored; conflicting labels: the larger; of
+several texts of one labelled id the least is learned from.
 """
 
 from __future__ import annotations
@@ -78,6 +79,13 @@ def counts_of(text: str | None) -> np.ndarray:
     return out
 
 
+def nearest(sims: np.ndarray, k: int) -> np.ndarray:
+    """Whether each column is among its row's k largest; of equal ones the first are."""
+    least = np.partition(sims, sims.shape[1] - k, axis=1)[:, sims.shape[1] - k, None]
+    above, equal = sims > least, sims == least
+    return above | (equal & (np.cumsum(equal, axis=1) <= k - above.sum(axis=1, keepdims=True)))
+
+
 @dataclass
 class LatentModel:
     weights: np.ndarray  # of every feature
@@ -96,10 +104,9 @@ class LatentModel:
             return np.full(len(counts), self.prior)
         sims = self.project(counts) @ self.vectors.T
         k = min(NEIGHBOURS, sims.shape[1])
-        near = np.argpartition(-sims, k - 1, axis=1)[:, :k]
-        w = np.maximum(np.take_along_axis(sims, near, axis=1), 0) ** 4
+        w = np.where(nearest(sims, k), np.maximum(sims, 0) ** 4, 0)
         total = w.sum(axis=1)
-        out = np.where(total > 1e-9, (w * self.labels[near]).sum(axis=1) / np.maximum(total, 1e-9), self.prior)
+        out = np.where(total > 1e-9, (w @ self.labels) / np.maximum(total, 1e-9), self.prior)
         out[empty] = self.prior
         return np.clip(out, 0, 1)
 
@@ -139,7 +146,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
         at = [np.flatnonzero(r) for r in rows]
         return pd.DataFrame({"at": [a.astype(np.int32) for a in at], "value": [r[a] for r, a in zip(rows, at, strict=True)]})
 
-    texts = docs.select(F.col(id_col).alias("_i"), F.col(text_col).alias("_t")).join(F.broadcast(ids), "_i").dropDuplicates(["_i"])
+    texts = docs.select(F.col(id_col).alias("_i"), F.col(text_col).alias("_t")).join(F.broadcast(ids), "_i").groupBy("_i").agg(F.min("_t").alias("_t"), F.first("_y").alias("_y"))
     got = texts.select("_i", "_y", sparse("_t").alias("_c")).select("_i", "_y", "_c.*").toPandas().sort_values("_i")
     counts = np.zeros((len(got), WIDTH), np.float32)
     for row, at, value in zip(counts, got["at"], got["value"], strict=True):

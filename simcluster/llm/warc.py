@@ -12,8 +12,8 @@ the start of every file marks the reachable chains in a logarithmic number of ro
 magic inside a payload, and goes back into the payload that holds it.
 
 Defined cases: null html is an empty payload; empty payloads can be equal like others (`min_bytes`: smaller
-payloads are never revisits); null ids sort after all others and are written as `null`; several rows with
-one id are several records; a page in a group refers to the smallest id; an empty table gives no records.
+payloads are never revisits); null ids sort after all others and are written as a record id without a page, null
+urls as no target; ids and urls are percent-encoded, so any text comes back; several rows with one id are several records; a page in a group refers to the smallest id; an empty table gives no records.
 """
 
 from __future__ import annotations
@@ -48,7 +48,8 @@ def base32(hexadecimal: Column) -> Column:
 
 
 def _one_line(value: Column) -> Column:
-    return F.regexp_replace(F.coalesce(value.cast("string"), F.lit("null")), r"[\x00-\x20\x7F]+", "%20")
+    """value on one line: what is no visible ASCII character, and the escape's own sign, in percent notation."""
+    return F.regexp_replace(F.url_encode(value.cast("string")), r"\+", "%20")
 
 
 def describe(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", min_bytes: int = 0) -> DataFrame:
@@ -65,12 +66,12 @@ def write_archives(pages: DataFrame, path: str, id_col: str = "page_id", url_col
     rows = pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), payload.alias("payload"), F.sha2(payload, 256).alias("sum"), F.octet_length(payload).alias("n")).join(small_side(groups), "sum", "left")
     revisit = F.col("first").isNotNull() & (F.col("n") >= min_bytes) & ~F.coalesce(F.col("id") == F.col("first"), F.lit(False))
     block = F.concat(F.lit(HTTP_HEAD), F.when(revisit, F.lit("")).otherwise(F.col("payload")))
-    uri = lambda c: F.concat(F.lit("<urn:page:"), _one_line(c), F.lit(">"))
+    uri = lambda c: F.coalesce(F.concat(F.lit("<urn:page:"), _one_line(c), F.lit(">")), F.lit("<urn:page>"))
     fields = [
         (F.lit("WARC-Type"), F.when(revisit, F.lit("revisit")).otherwise(F.lit("response"))),
         (F.lit("WARC-Record-ID"), uri(F.col("id"))),
         (F.lit("WARC-Date"), F.lit(date)),
-        (F.lit("WARC-Target-URI"), _one_line(F.col("url"))),
+        (F.lit("WARC-Target-URI"), F.coalesce(_one_line(F.col("url")), F.lit(""))),
         (F.lit("WARC-Payload-Digest"), F.concat(F.lit("sha1:"), base32(F.sha1(F.col("payload"))))),
         (F.lit("X-Payload-Length"), F.col("n").cast("string")),
         (F.lit("Content-Type"), F.lit("application/http; msgtype=response")),
@@ -181,12 +182,13 @@ def read_archives(spark: SparkSession, path: str) -> DataFrame:
         whole = whole.unionByName(live.select("file", "offset", "head").join(mended, ["file", "offset"]))
     head = F.col("head").cast("string")
     field = lambda name: F.regexp_extract(head, rf"(?:^|\r\n){name}: ([^\r\n]*)\r\n", 1)
+    page = lambda name: F.when(field(name).startswith("<urn:page:"), F.url_decode(F.regexp_extract(field(name), "^<urn:page:(.*)>$", 1)))
     revisit = field("WARC-Type") == "revisit"
     declared = F.regexp_replace(field("WARC-Payload-Digest"), "^sha1:", "")
     return whole.select(
-        F.regexp_extract(field("WARC-Record-ID"), "^<urn:page:(.*)>$", 1).alias("id"),
+        page("WARC-Record-ID").alias("id"),
         field("WARC-Type").alias("record_type"),
-        F.when(revisit, F.regexp_extract(field("WARC-Refers-To"), "^<urn:page:(.*)>$", 1)).alias("refers_to"),
+        F.when(revisit, page("WARC-Refers-To")).alias("refers_to"),
         F.when(revisit, declared).otherwise(F.col("sha1")).alias("payload_digest"),
         F.when(revisit, field("X-Payload-Length").cast("long")).otherwise(F.col("payload_bytes")).alias("payload_bytes"),
         (revisit | (declared == F.col("sha1"))).alias("verified"),

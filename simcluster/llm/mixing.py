@@ -31,16 +31,16 @@ SEED = 17
 SLICE_DIGITS = 3  # hexadecimal digits of the key: 4096 slices
 
 
-def sized(docs: DataFrame, id_col: str, text_col: str, source_col: str, seed: int, extra: tuple[str, ...] = ()) -> DataFrame:
-    """id, source, size in words, skey (source, nulls last) and the seeded order key of every row."""
+def sized(docs: DataFrame, id_col: str, text_col: str, source_col: str, seed: int, whole_rows: bool = False) -> DataFrame:
+    """id, source, size in words, skey (source, nulls last), the seeded order key of every row and, if asked for, the row."""
     source = F.col(source_col).cast("string")
     return docs.select(
-        F.col(id_col),
+        F.col(id_col).alias("id"),
         source.alias("source"),
         F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
         F.when(source.isNull(), "1").otherwise(F.concat(F.lit("0"), source)).alias("skey"),
         F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(id_col).cast("string"), F.lit("null")))).alias("key"),
-        *extra,
+        *([F.struct(*docs.columns).alias("row")] if whole_rows else []),
     )
 
 
@@ -55,9 +55,9 @@ def targets(by_source: DataFrame, share: float = SHARE, weights: tuple[int, ...]
     return levels.withColumn("water", free["level"]).select("skey", "source_size", F.when(F.col("water").isNull(), F.col("cap")).otherwise(F.least("cap", F.col("water") * F.col("weight"))).alias("target"))
 
 
-def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", share: float = SHARE, weights: tuple[int, ...] = WEIGHTS, max_epochs: float = MAX_EPOCHS, seed: int = SEED, extra: tuple[str, ...] = ()) -> DataFrame:
-    """id, source, size, source_size, target and taken (words, repeats counted) of every row."""
-    rows = materialize(sized(docs, id_col, text_col, source_col, seed, extra), "mix-sizes")
+def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", share: float = SHARE, weights: tuple[int, ...] = WEIGHTS, max_epochs: float = MAX_EPOCHS, seed: int = SEED, whole_rows: bool = False) -> DataFrame:
+    """id, source, size, source_size, target and taken (words, repeats counted) of every row; whole_rows adds it as a struct."""
+    rows = materialize(sized(docs, id_col, text_col, source_col, seed, whole_rows), "mix-sizes")
     slices = rows.groupBy("skey", F.substring("key", 1, SLICE_DIGITS).alias("slice")).agg(F.sum("size").alias("words"))
     slices = materialize(slices, "mix-slices")
     plan = targets(slices.groupBy("skey").agg(F.sum("words").alias("source_size")), share, weights, max_epochs)
@@ -69,8 +69,8 @@ def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     plan = materialize(plan.join(edge, "skey", "left").select("skey", "source_size", "target", "whole", "more", F.col("edge.slice").alias("edge_slice"), F.col("edge.before").alias("edge_before")), "mix-plan")
     joined = rows.join(small_side(plan), "skey").withColumn("slice", F.substring("key", 1, SLICE_DIGITS))
     plain = joined.filter(F.col("slice") != F.col("edge_slice")).withColumn("extra_words", F.when(F.col("slice") < F.col("edge_slice"), F.col("size")).otherwise(F.lit(0)))
-    inner = Window.partitionBy("skey").orderBy("key", id_col, "size").rowsBetween(Window.unboundedPreceding, -1)
+    inner = Window.partitionBy("skey").orderBy("key", "id", "size").rowsBetween(Window.unboundedPreceding, -1)
     at_edge = joined.filter(F.col("slice") == F.col("edge_slice")).withColumn("left", F.col("more") - F.col("edge_before") - F.coalesce(F.sum("size").over(inner), F.lit(0)))
     at_edge = at_edge.withColumn("extra_words", F.greatest(F.lit(0), F.least("size", "left"))).drop("left")
     both = plain.unionByName(at_edge)
-    return both.select(id_col, "source", "size", "source_size", "target", (F.col("whole") * F.col("size") + F.col("extra_words")).cast("long").alias("taken"), *extra)
+    return both.select(F.col("id").alias(id_col), "source", "size", "source_size", "target", (F.col("whole") * F.col("size") + F.col("extra_words")).cast("long").alias("taken"), *(["row"] if whole_rows else []))

@@ -7,11 +7,12 @@ with the largest sum of marginals, its score that sum divided by the number of w
 
 Training happens on the driver over a bounded sample (`DOCS_PER_LABEL` documents of each label,
 `WINDOW_WORDS` words of each, spliced into sequences that change language); prediction reads whole texts
-in a narrow pass: no shuffle, no state but a bounded cache of word scores.
+in a narrow pass: no shuffle, no state but a bounded cache of word scores. A text is one chain whatever its length;
+chains over `CHAIN_WORDS` words are handled piece by piece, with the messages carried over between the pieces.
 
 Defined cases: null text, or text without any letter: `und`, score 0. Without any training rows all
-documents are `und`. Runs over `CHAIN_WORDS` words continue in a new chain. Repeated rows get equal
-results. Rows whose label is null are never trained on.
+documents are `und`. Repeated rows get equal results; ties go to the label that is first by code point. Rows whose
+label is null are never trained on. Of a word all letters count, however many.
 """
 
 from __future__ import annotations
@@ -27,13 +28,12 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_mod4, unit_hash
+from .common import crc_mod4, free_name, unit_hash
 
 DOCS_PER_LABEL = 400
 WINDOW_WORDS = 240
 SEQUENCES = 3000
 HASH_BITS = 16
-MAX_LABELS = 200
 CHAIN_WORDS = 1 << 16
 CACHE_WORDS = 200_000
 BLOCK = 64
@@ -53,7 +53,7 @@ def word_features(word: str, lexicon: dict[str, int]) -> list[int]:
     for n in (1, 2, 3):
         if len(word) >= n:
             out += [crc(f"P{word[:n]}".encode()) & mask, crc(f"S{word[-n:]}".encode()) & mask]
-    padded = f"^{word[:24]}$"
+    padded = f"^{word}$"
     for n in (2, 3):
         out += [crc(padded[i : i + n].encode()) & mask for i in range(len(padded) - n + 1)]
     if word in lexicon:
@@ -120,21 +120,58 @@ def scan(mats: np.ndarray, entry: np.ndarray) -> np.ndarray:
     return out.transpose(1, 0, 2).reshape(blocks * BLOCK, k)[:t]
 
 
-def marginals(scores: np.ndarray, starts: np.ndarray, transitions: np.ndarray, start: np.ndarray) -> np.ndarray:
-    """Each word's label probabilities; starts marks the words at which a new chain begins."""
+def chain_matrices(scores: np.ndarray, starts: np.ndarray, transitions: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each word's step from the labels before it to its own, and its emissions."""
     emit = np.exp(scores - scores.max(axis=1, keepdims=True)) + 1e-30
     move, first = np.exp(transitions), np.exp(start - start.max())
-    mats = np.where(starts[:, None, None], first[None, None, :], move[None]) * emit[:, None, :]
-    k = len(first)
+    return np.where(starts[:, None, None], first[None, None, :], move[None]) * emit[:, None, :], emit
+
+
+def messages(mats: np.ndarray, entry: np.ndarray | None = None, leave: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Forward and backward messages of every word, from those before the first and after the last one."""
+    k = mats.shape[1]
     even = np.full(k, 1 / k)
-    alpha = scan(mats, even)
-    beta = np.full_like(alpha, 1 / k)
+    alpha = scan(mats, even if entry is None else entry)
+    beta = np.empty_like(alpha)
+    beta[-1] = even if leave is None else leave
     if len(mats) > 1:
-        beta[:-1] = scan(mats[:0:-1].transpose(0, 2, 1), even)[::-1]
-    both = alpha * beta + 1e-300
+        beta[:-1] = scan(mats[:0:-1].transpose(0, 2, 1), beta[-1])[::-1]
+    return alpha, beta
+
+
+def _normal(both: np.ndarray) -> np.ndarray:
+    both = both + 1e-300
     return both / both.sum(axis=1, keepdims=True)
 
 
+def marginals(scores: np.ndarray, starts: np.ndarray, transitions: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Each word's label probabilities; starts marks the words at which a new chain begins."""
+    alpha, beta = messages(chain_matrices(scores, starts, transitions, start)[0])
+    return _normal(alpha * beta)
+
+
+def long_chain_sum(words: list[str], model: ChainModel, emissions: Emissions, piece: int = 0) -> np.ndarray:
+    """Sum of the marginals of one chain, piece by piece: backward messages at the cuts first, then forward."""
+    piece = piece or CHAIN_WORDS
+    cuts = list(range(0, len(words), piece))
+
+    def steps(at: int) -> np.ndarray:
+        part = words[at : at + piece]
+        starts = np.zeros(len(part), bool)
+        starts[0] = at == 0
+        return chain_matrices(emissions(part), starts, model.transitions, model.start)[0]
+
+    leave = {cuts[-1]: np.full(len(model.labels), 1 / len(model.labels))}
+    for before, at in zip(cuts[-2::-1], cuts[:0:-1], strict=True):
+        leave[before] = scan(steps(at)[::-1].transpose(0, 2, 1), leave[at])[-1]
+    entry, total = None, np.zeros(len(model.labels))
+    for at in cuts:
+        alpha, beta = messages(steps(at), entry, leave[at])
+        total += _normal(alpha * beta).sum(axis=0)
+        entry = alpha[-1]
+    return total
+
+
 def train_chain(texts: list[list[str]], labels: list[str], seed: int = 7, epochs: int = 4) -> ChainModel:
     """Fit by Adagrad on sequences spliced from word windows of labelled documents."""
     names = sorted(set(labels))
@@ -177,15 +214,15 @@ def train_chain(texts: list[list[str]], labels: list[str], seed: int = 7, epochs
             sizes = np.array([len(feats[w]) for w in words])
             flat = np.concatenate([feats[w] for w in words])
             scores = np.add.reduceat(model.weights[flat], np.r_[0, np.cumsum(sizes)[:-1]], axis=0)
-            node = marginals(scores, starts, model.transitions, model.start)
+            mats, _ = chain_matrices(scores, starts, model.transitions, model.start)
+            alpha, beta = messages(mats)
+            node = _normal(alpha * beta)
             grad = node.copy()
             grad[np.arange(len(gold)), gold] -= 1
             flat_rows = np.repeat(np.arange(len(words)), sizes)
             g_w = np.stack([np.bincount(flat, grad[flat_rows, i], n_feats) for i in range(k)], axis=1) / len(part)
-            # expected transitions from neighbouring marginals, normalised under the model's own moves
             inner = np.flatnonzero(~starts)
-            emit = np.exp(scores - scores.max(axis=1, keepdims=True))
-            pair = node[inner - 1][:, :, None] * np.exp(model.transitions)[None] * emit[inner][:, None, :]
+            pair = alpha[inner - 1][:, :, None] * mats[inner] * beta[inner][:, None, :] + 1e-300
             pair /= pair.sum(axis=(1, 2), keepdims=True)
             g_t = pair.sum(axis=0)
             np.subtract.at(g_t, (gold[inner - 1], gold[inner]), 1)
@@ -210,7 +247,7 @@ def learn(docs: DataFrame, train: Column, id_col: str = "doc_id", text_col: str
     Two jobs: counts per label over all rows, then the sampled texts (docs_per_label of each label).
     """
     rows = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("y"), train.alias("ok")).filter(F.col("ok") & F.col("y").isNotNull() & F.col("t").isNotNull())
-    counts = {r["y"]: r["n"] for r in rows.groupBy("y").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "y").limit(MAX_LABELS).collect()}
+    counts = {r["y"]: r["n"] for r in rows.groupBy("y").agg(F.count("*").alias("n")).orderBy("y").collect()}
     if not counts:
         return None
     share = F.coalesce(F.create_map(*[x for y, n in counts.items() for x in (F.lit(y), F.lit(min(1.0, docs_per_label / n)))])[F.col("y")], F.lit(0.0))
@@ -233,11 +270,10 @@ def _label_batch(texts: list[str | None], model: ChainModel, emissions: Emission
         if not words:
             return
         starts = np.zeros(len(words), bool)
-        for _, lo, hi in spans:
-            starts[lo:hi:CHAIN_WORDS] = True
+        starts[[lo for _, lo, _ in spans]] = True
         m = marginals(emissions(words), starts, model.transitions, model.start)
         for i, lo, hi in spans:
-            sums[i] = sums.get(i, 0) + m[lo:hi].sum(axis=0)
+            sums[i] = m[lo:hi].sum(axis=0)
         words.clear()
         spans.clear()
 
@@ -246,12 +282,13 @@ def _label_batch(texts: list[str | None], model: ChainModel, emissions: Emission
         if not text or not any(map(str.isalpha, text)):
             continue
         own = words_of(text)
-        for at in range(0, len(own), CHAIN_WORDS):
-            part = own[at : at + CHAIN_WORDS]
-            spans.append((i, len(words), len(words) + len(part)))
-            words += part
-            if len(words) >= CHAIN_WORDS:
-                flush()
+        if len(own) > CHAIN_WORDS:
+            sums[i] = long_chain_sum(own, model, emissions)
+            continue
+        spans.append((i, len(words), len(words) + len(own)))
+        words += own
+        if len(words) >= CHAIN_WORDS:
+            flush()
     flush()
     for i, total in sums.items():
         best = int(np.argmax(total))
@@ -281,8 +318,11 @@ def identify_languages(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     return docs.select(F.col(id_col), held_out.alias("held_out"), predict(F.col(text_col)).alias("_r")).select(id_col, "held_out", "_r.lang_pred", "_r.score")
 
 
-def keep_identified(docs: DataFrame, min_score: float = 0.4, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """Rows of docs, all columns, that have a language at a score of min_score or more."""
+def keep_identified(docs: DataFrame, min_score: float = 0.0, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
+    """Rows of docs, all columns, that have a language at a score of min_score or more; all but `und` by default.
+
+    A text of several languages in even shares has a low score and is no less a text, so no score is asked for.
+    """
     predict = predictor(docs, learn(docs, crc_mod4(id_col) != 2, id_col, text_col, lang_col))
-    name = "_lang_of_row"
+    name = free_name(docs, "lang_of_row")
     return docs.withColumn(name, predict(F.col(text_col))).filter((F.col(f"{name}.lang_pred") != UNDETERMINED) & (F.col(f"{name}.score") >= min_score)).drop(name)

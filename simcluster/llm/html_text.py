@@ -7,6 +7,9 @@ pass gives each open block the label of its nearest decided neighbours. An artic
 hint: it lifts the label of blocks inside by one step, from out to open and from open to in, and one neighbour that is in
 is enough for an open block inside.
 
+On a page none of whose long blocks holds stop words of the languages that the list covers, the language is taken as
+unknown, and length and link density decide alone.
+
 A narrow pass over pages; each page is handled in time linear in its length.
 
 Defined cases: null or empty html gives empty text; unclosed or stray tags never fail; `br br` parts blocks,
@@ -31,12 +34,14 @@ RAW_TAGS = frozenset("script style noscript template iframe object svg math text
 OUT_TAGS = frozenset("nav footer aside form menu dialog head fieldset".split())
 CLOSED_BY_NEXT = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 # Words in class, id or role that mark parts that are no article text.
-OUT_WORDS = frozenset("ad ads adbox adv advert advertisement adverts advertising banner breadcrumb breadcrumbs byline comment comments consent cookie cookies copyright disclaimer discussion disqus footer gdpr header masthead menu menubar modal nav navbar navigation navigational newsletter notice notices overlay pager pagination popup promo promoted promotion related replies reply respond search share sharing sidebar skip social sponsor sponsored subscribe subscription teaser toolbar topbar widget contentinfo complementary alert".split())
+OUT_WORDS = frozenset("ad ads adbox adv advert advertisement adverts advertising banner breadcrumb breadcrumbs comment comments consent cookie cookies discussion disqus footer gdpr header masthead menu menubar modal nav navbar navigation navigational newsletter notice notices overlay pager pagination popup promo promoted promotion replies reply respond sidebar sponsor sponsored subscribe subscription toolbar topbar widget contentinfo complementary alert".split())
 # Frequent function words of English, French, German and Spanish.
 STOP_WORDS = frozenset("the of and to in a is that for it as was with be by on not he his but at are this have from or had an they which one you were all her she there would their we him been has when who will no more if out so said what up its about than into them can only other time new some could these two may then do le la les des de du un une et en est que qui dans pour pas sur au aux avec ce il elle par plus ne se son sont mais nous vous ou der die das und ist ein eine nicht von zu den mit im auf für sich dem des auch als an es er sie wir ich wird bei aus nach einen einer el los las y que del se por con para una su al lo como más pero sus ya este sí porque esta entre cuando muy sin sobre también me hasta hay donde".split())
 
 _TAG = re.compile(r"<(?:(!--)|(/?)([a-zA-Z][^\s/>]*)|([!?]))")
-_QUOTED_END = re.compile(r"""[>"']""")
+_END_OR_VALUE = re.compile(r"[>=]")
+_VALUE_END = re.compile(r"[\s>]")
+_SPACES = re.compile(r"\s*")
 _ATTR = re.compile(r"""(?:^|\s)(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.I)
 _NOT_NAME = re.compile(r"[^a-z0-9]+")
 _CAMEL = re.compile(r"([a-z])([A-Z])")
@@ -44,22 +49,28 @@ _WS = re.compile(r"\s+")
 
 
 def _tag_end(page: str, at: int) -> int:
-    """Index after the > that ends a tag; quotes are honoured while they are closed inside the page."""
-    while m := _QUOTED_END.search(page, at):
+    """Index after the > that ends a tag; only quotes that open a value, and are closed inside the page, hide a >."""
+    while m := _END_OR_VALUE.search(page, at):
         if m[0] == ">":
             return m.end()
-        close = page.find(m[0], m.end())
-        if close < 0:
-            end = page.find(">", m.end())
-            return end + 1 if end >= 0 else len(page)
-        at = close + 1
+        at = _SPACES.match(page, m.end()).end()
+        if page[at : at + 1] in ('"', "'"):
+            close = page.find(page[at], at + 1)
+            if close < 0:
+                end = page.find(">", at)
+                return end + 1 if end >= 0 else len(page)
+            at = close + 1
+        elif end := _VALUE_END.search(page, at):
+            at = end.start()
+        else:
+            break
     return len(page)
 
 
 def _marked_out(tag: str, attrs: str, inside: bool) -> bool:
     if tag in OUT_TAGS or tag == "header" and not inside:
         return True
-    if not attrs or tag in ("html", "body", "article", "main") and "omment" not in attrs and "teaser" not in attrs:
+    if not attrs or tag in ("html", "body", "article", "main") and "omment" not in attrs:
         return False
     names = " ".join(x for m in _ATTR.finditer(attrs) for x in m.groups() if x)
     return any(x in OUT_WORDS for x in _NOT_NAME.split(_CAMEL.sub(r"\1 \2", names).lower()))
@@ -175,17 +186,23 @@ def blocks_of(page: str) -> list[_Block]:
     return found
 
 
-def _by_rules(block: _Block) -> bool | None:
-    """In, out or open by link density, length and density of stop words."""
+def _stop_density(text: str) -> float:
+    words = text.lower().split()
+    return sum(w.strip(".,;:!?\"'()%*#&$") in STOP_WORDS for w in words) / max(1, len(words))
+
+
+def _by_rules(block: _Block, known: bool = True) -> bool | None:
+    """In, out or open by link density, length and density of stop words; the latter counts in known languages only."""
     if block.out:
         return False
     density = block.linked / max(1, len(block.text))
-    words = block.text.lower().split()
-    stops = sum(w.strip(".,;:!?\"'()%*#&$") in STOP_WORDS for w in words) / max(1, len(words))
     if density > 0.4:
         return False
     if len(block.text) < 70:
         return False if block.linked else None
+    if not known:
+        return True if len(block.text) > 140 or block.linked == 0 else None
+    stops = _stop_density(block.text)
     if stops >= 0.25:
         return True if len(block.text) > 140 or block.linked == 0 else None
     return None if stops >= 0.12 else False
@@ -202,7 +219,9 @@ def main_text(page: str | None) -> str:
     if not page:
         return ""
     blocks = blocks_of(page)
-    ruled = [_by_rules(b) for b in blocks]
+    long = [b for b in blocks if not b.out and len(b.text) >= 70]
+    known = not long or any(_stop_density(b.text) >= 0.12 for b in long)
+    ruled = [_by_rules(b, known) for b in blocks]
     first = [_first_pass(b, x) for b, x in zip(blocks, ruled, strict=True)]
     before, last, dist = [], None, 0
     for x in first:  # (label, distance) of the decided block before each one

@@ -6,7 +6,9 @@ trigrams that some rule needs; postings are intersected per alternative by count
 documents of a rule are verified with its expression. Rules without mandatory trigrams are scanned fully.
 
 Postings are combined per document inside a task before they are shuffled, no key is hotter than one document
-has trigrams, and texts are not shuffled while the candidates fit a broadcast whose size a count has proved.
+has trigrams, and texts are never shuffled: up to `BROADCAST_ROWS` candidates are broadcast with the rules they are
+candidates of; more go into bitmaps of their ids (`CANDIDATE_PAGES` pages of 4 KB at most), whose hits are verified by
+every rule. A candidate too many costs time, never a span.
 
 Defined cases: null texts count as empty; rows with a null id have no postings and are verified by every
 rule; several rows with one id share candidates and are verified each by itself; an empty table gives none.
@@ -20,10 +22,12 @@ from re import _parser  # the standard library's parser of expressions
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, small_side
+from . import common
+from .common import materialize
 from .spans import joined, labelled, match_spans
 
 MOST_LITERALS = 64
+CANDIDATE_PAGES = 4096
 
 
 @dataclass(frozen=True)
@@ -138,10 +142,25 @@ def rule_spans(text: Column, rule: Rule) -> Column:
     return F.filter(spans, lambda s: F.length(measured(s["m"])) >= rule.least) if rule.least > 1 else spans
 
 
+def with_candidates(rows: DataFrame, found: DataFrame, rules: tuple[Rule, ...]) -> DataFrame:
+    """rows with the kinds that each is a candidate of, or null."""
+    count = found.count()
+    if count <= common.BROADCAST_ROWS:
+        return rows.join(F.broadcast(found), "id", "left")
+    pages = min(CANDIDATE_PAGES, -(-16 * count // (1 << 15)))
+    at = lambda c: F.pmod(F.xxhash64(c), F.lit(pages << 15)) + 1
+    bitmaps = found.groupBy(F.bitmap_bucket_number(at("id")).alias("page")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(at("id"))).alias("bits"))
+    place = F.bitmap_bit_position(at("id"))
+    byte = F.conv(F.hex(F.substring("bits", (place / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    maybe = rows.withColumn("page", F.bitmap_bucket_number(at("id"))).join(F.broadcast(bitmaps), "page", "left")
+    every = F.array(*[F.lit(r.kind) for r in rules])
+    return maybe.select("id", "text", F.when(F.getbit(byte, (place % 8).cast("int")) == 1, every).alias("kinds"))
+
+
 def find_secrets(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id and one array of spans (a, b, m, left) for every rule, under the rule's kind."""
     found = materialize(candidates(build_index(docs, rules, id_col, text_col), rules), "secret-candidates")
-    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).join(small_side(found), "id", "left")
+    rows = with_candidates(docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")), found, rules)
     none = F.array().cast("array<struct<a:bigint,b:bigint,m:string,left:string>>")
     columns = []
     for r in rules:

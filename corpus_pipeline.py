@@ -2,6 +2,13 @@
 
 Every stage takes (spark, docs, sf_dir) and returns the documents it keeps, with the columns of documents; the
 last adds what the mix takes of each. The stages' results are written and read again between them.
+
+Defined cases: null texts and texts without letters go in the first stage, since they have no language; of equal texts
+that with the largest doc_id stays, of a group of near copies that with the smallest, where a row without an id stays
+only if no row of its group has one; rows are told by id and text, so repeated and null ids cost no other text its row;
+a null source is a source of its own; of documents without words the mix takes nothing; further columns are carried
+along, and where one has the name of a column that the last stage adds, the added one gets an underscore before it; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -9,9 +16,10 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from simcluster.llm import decontaminate, exact_dedup, langid, mixing, ngram_join
-from simcluster.llm.common import materialize
+from simcluster.llm.common import free_name, materialize
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,9 +44,9 @@ def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the mix takes, with size, source_size, target and taken."""
-    names = [c for c in docs.columns if c not in ("doc_id", "source")]
-    mixed = mixing.mix_sources(docs, extra=tuple(names)).filter("taken > 0")
-    return mixed.select(*docs.columns, "size", "source_size", "target", "taken")
+    mixed = mixing.mix_sources(docs, whole_rows=True).filter("taken > 0")
+    added = [F.col(c).alias(free_name(docs, c)) for c in ("size", "source_size", "target", "taken")]
+    return mixed.select("row.*", *added)
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [

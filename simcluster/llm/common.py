@@ -55,6 +55,24 @@ def small_side(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df
 
 
+def maybe_among(rows: DataFrame, col: str, keys: DataFrame, most_pages: int = 4096) -> DataFrame:
+    """Rows whose value (null included) may be among the keys (one column): all that are, and few or some others.
+
+    Up to BROADCAST_ROWS keys are broadcast; more go into bitmaps of 4 KB, most_pages at most, which are.
+    """
+    keys = keys.toDF("k").distinct()
+    count = keys.count()
+    if count <= BROADCAST_ROWS:
+        return rows.join(F.broadcast(keys), F.col(col).eqNullSafe(F.col("k")), "left_semi")
+    pages = min(most_pages, -(-16 * count // (1 << 15)))
+    at = lambda c: F.pmod(F.xxhash64(c), F.lit(pages << 15)) + 1
+    bitmaps = keys.groupBy(F.bitmap_bucket_number(at("k")).alias("page")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(at("k"))).alias("bits"))
+    place = F.bitmap_bit_position(at(col))
+    byte = F.conv(F.hex(F.substring("bits", (place / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    met = rows.join(F.broadcast(bitmaps), F.bitmap_bucket_number(at(col)) == F.col("page"))
+    return met.filter(F.getbit(byte, (place % 8).cast("int")) == 1).drop("page", "bits")
+
+
 def free_name(df: DataFrame, name: str) -> str:
     """name, with underscores before it until df has no such column."""
     taken = {c.lower() for c in df.columns}

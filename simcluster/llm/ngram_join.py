@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep_rows, materialize, narrow, small_side
+from .common import keep_rows, materialize, maybe_among, narrow, small_side
 
 SHINGLE = 4
 PERCENT = 85
@@ -52,10 +52,10 @@ CLASSES = ((2, 26), (5, 25), (17, 24), (65, 24))
 MOST_BITS = 27
 BUCKET_TOKENS = 2_000_000
 #: Sets and shingles up to which a region is divided inside one task.
-REGION_SETS, REGION_TOKENS = 2048, 2_000_000
+REGION_SETS, REGION_TOKENS = 1024, 2_000_000
 PIVOTS = 8
 CORE = 0.7
-CHUNK_SETS, CHUNK_TOKENS = 1024, 1_000_000
+CHUNK_SETS, CHUNK_TOKENS = 256, 250_000
 LEAF_SETS = 32
 BLOCK_SETS = 384
 MATRIX_CELLS = 2_000_000
@@ -276,19 +276,8 @@ def _sums(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarra
 def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     """region, node and packed shingles of the wanted classes (region, node, id, digests).
 
-    A bitmap over one id of each class spares other texts; classes are told by both digests.
+    Only texts whose id may be one of a class are read; classes are told by both digests.
     """
-    bits = 1 << min(27, max(15, math.ceil(math.log2(16 * max(1, wanted.count())))))
-    at = F.pmod(F.xxhash64("id"), F.lit(bits))
-    flags = np.zeros(bits // 8, np.uint8)
-    for r in wanted.groupBy(F.bitmap_bucket_number(at + 1).alias("page")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(at + 1)).alias("bits")).collect():
-        flags[(r["page"] - 1) * 4096 : r["page"] * 4096] = np.frombuffer(bytes(r["bits"]), np.uint8)
-    held = rows.sparkSession.sparkContext.broadcast(flags)
-
-    @F.pandas_udf("boolean")
-    def maybe(places: pd.Series) -> pd.Series:
-        x = places.to_numpy()
-        return pd.Series((held.value[x >> 3] >> (x & 7).astype(np.uint8)) & 1 == 1)
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -296,25 +285,24 @@ def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
                 one, two = _digests(h, starts, ends)
                 yield pa.RecordBatch.from_arrays([pa.array(one), pa.array(two), pa.array([h[a:b].tobytes() for a, b in zip(starts, ends, strict=True)], pa.binary())], ["digest", "digest2", "packed"])
 
-    some = rows.filter(maybe(at)).select("text").mapInArrow(pack, "digest long, digest2 long, packed binary")
+    some = maybe_among(rows, "id", wanted.select("id")).select("text").mapInArrow(pack, "digest long, digest2 long, packed binary")
     return some.join(wanted.drop("id"), ["digest", "digest2"]).select("region", "node", "packed").dropDuplicates(["node"])
 
 
 def components(links: DataFrame) -> DataFrame:
-    """node and root (smallest node reachable) of nodes with links (a, b): large and small stars until nothing moves."""
+    """node and root (smallest node reachable) of nodes with links (a, b): large and small stars until only stars are left."""
     edges = links.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
-    before = None
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
-        large = both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
+        large = both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v")
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").unionByName(least.select("u", F.col("m").alias("v")))
         edges = narrow(small.distinct(), "links")
-        now = edges.agg(F.count("*"), F.coalesce(F.sum(F.pmod(F.xxhash64("u", "v"), F.lit(1 << 40))), F.lit(0))).head()
-        if now == before:
+        several = edges.groupBy("u").agg(F.count("*").alias("n")).filter("n > 1").select("u")
+        deeper = edges.select("u").join(edges.select(F.col("v").alias("u")).distinct(), "u", "left_semi")
+        if several.unionByName(deeper).isEmpty():  # every node has one edge, to a node that has none
             return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        before = now
 
 
 def common_counts(left: list[np.ndarray], right: list[np.ndarray] | None = None) -> np.ndarray:
@@ -463,8 +451,11 @@ def sized(todo: DataFrame) -> DataFrame:
     return todo.groupBy("region").agg(F.count("*").alias("c"), F.sum(F.length("packed") / 8).alias("t"), F.max("parent").alias("parent"))
 
 
-def link_blocks(blocks: DataFrame, percent: int, region_sets: int = REGION_SETS, chunk_sets: int = CHUNK_SETS) -> DataFrame:
-    """node, root (a node of the same component) and n_links (to be summed) from blocks (region, node, packed)."""
+def link_blocks(blocks: DataFrame, percent: int, region_sets: int = REGION_SETS, chunk_sets: int = CHUNK_SETS) -> tuple[DataFrame, bool]:
+    """node, root (a node of the same component) and n_links (to be summed) from blocks (region, node, packed).
+
+    And whether every region was joined inside a task, so that roots are final.
+    """
     todo, depth, joins = blocks.select("region", "node", "packed", F.lit(0).cast("long").alias("guest"), F.lit(None).cast("long").alias("parent")), 0, []
     while True:
         sizes = narrow(sized(todo), "ngram-sizes")
@@ -506,7 +497,7 @@ def link_blocks(blocks: DataFrame, percent: int, region_sets: int = REGION_SETS,
             counts.append(got.links[some])
         return pd.DataFrame({"node": np.concatenate(nodes), "root": np.concatenate(roots), "n_links": np.concatenate(counts)})
 
-    return cells.groupBy("cell").applyInPandas(work, "node long, root long, n_links long")
+    return cells.groupBy("cell").applyInPandas(work, "node long, root long, n_links long"), len(joins) == 1
 
 
 def _cells(todo: DataFrame, sizes: DataFrame, blocks: Column) -> DataFrame:
@@ -532,8 +523,9 @@ def grouped(docs: DataFrame, id_col: str, text_col: str, shingle: int, percent:
     whole = _with_roots(components(edges))
     wanted = narrow(whole.withColumnRenamed("root", "region").join(classes.drop("regions"), "node"), "ngram-wanted")
     blocks = materialize(fetch_sets(rows, wanted, shingle), "ngram-sets")
-    links = materialize(link_blocks(blocks, percent, region_sets, chunk_sets), "ngram-links")
-    roots = _with_roots(components(links.select(F.col("node").alias("a"), F.col("root").alias("b"))))
+    linked, final = link_blocks(blocks, percent, region_sets, chunk_sets)
+    links = materialize(linked, "ngram-links")
+    roots = links.select("node", "root") if final else _with_roots(components(links.select(F.col("node").alias("a"), F.col("root").alias("b"))))
     degree = links.groupBy("node").agg(F.sum("n_links").alias("n_links"))
     linked = roots.join(degree, "node", "left").join(classes.drop("regions"), "node")
     linked = narrow(linked.select("digest", "digest2", "id", "root", "n_links"), "ngram-linked")

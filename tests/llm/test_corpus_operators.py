@@ -77,7 +77,7 @@ def test_ngram_join_recursion(spark):
     texts += [f"{passage} own{i} own{i}a own{i}b own{i}c" for i in range(30)]
     table = [(i, t) for i, t in enumerate(texts)]
     df = spark.createDataFrame(table, "doc_id long, text string")
-    for region_sets, chunk_sets in ((2048, 1024), (6, 3)):
+    for region_sets, chunk_sets in ((1024, 256), (6, 3)):
         got = ngram_join.near_duplicates(df, region_sets=region_sets, chunk_sets=chunk_sets).collect()
         assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == Counter(_components(_sets(table, 4), 85))
 
@@ -152,7 +152,9 @@ def test_large_regions_are_divided_by_all_tasks(spark, seed, spread, percent):
     sets = _random_sets(seed, 160, spread)
     rows = [(i % 3 // 2, i, x.tobytes()) for i, x in enumerate(sets)]
     blocks = spark.createDataFrame(rows, "region long, node long, packed binary")
-    got = ngram_join.link_blocks(blocks, percent, region_sets=12, chunk_sets=9).groupBy("node").agg(F.sum("n_links").alias("n")).collect()
+    links, final = ngram_join.link_blocks(blocks, percent, region_sets=12, chunk_sets=9)
+    assert not final
+    got = links.groupBy("node").agg(F.sum("n_links").alias("n")).collect()
     plain = [frozenset(x.tolist()) for x in sets]
     want = {i: sum(i != j and rows[i][0] == rows[j][0] and 100 * len(a & b) >= percent * len(a | b) for j, b in enumerate(plain)) for i, a in enumerate(plain)}
     assert {r["node"]: r["n"] for r in got} == {i: n for i, n in want.items() if n}
@@ -268,6 +270,14 @@ def test_contexts_discover_identifiers_in_groups(spark):
     assert [got[i] for i in (100, 101, 102, 103)] == ["phone:18:32", "phone:22:34", "phone:25:37", ""]
 
 
+def test_right_contexts_discover_identifiers(spark):
+    first = ["green", "small", "other", "round", "quiet", "early", "plain", "heavy", "sharp", "clean"]
+    rows = [(i, f"{first[i]} {first[-i]} +1 (743) 555-38{i:02d} is their line") for i in range(10)]
+    rows += [(100, "now 743 555 3899 is their line"), (101, "now 743 555 3898 is no line")]
+    got = {r["doc_id"]: r["spans"] for r in pii.report(pii.find_personal_data(spark.createDataFrame(rows, "doc_id long, text string"))).collect()}
+    assert got[100] == "phone:4:16" and got[101] == ""
+
+
 def test_archives(spark, sf_dir):
     fake = "WARC/1.1\r\nWARC-Type: response\r\nContent-Length: 7\r\n\r\n1234567\r\n\r\n"
     odd = [(1000, "u v\r\n", "x" * 100 + fake + "y" + fake + fake), (1001, "u", None), (1002, None, ""), (1003, "u", "x" * 100 + fake + "y" + fake + fake), (1004, "u", "WARC/1.1\r\n" * 50), (1005, "é", "é" * 1000)]

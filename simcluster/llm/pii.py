@@ -1,9 +1,9 @@
 """Personal data by patterns of form, widened by bootstrapped contextual extraction; DataFrame expressions only.
 
 Emails, addresses of hosts, payment cards and phone numbers that match the base expressions are the seed
-entities. Their left contexts (two words, or a line's only one) are lexical patterns; every identifier-like token or
-run of digit groups that no base span covers is an instance of unknown kind in some context. The graph of patterns and instances is scored in
-rounds: a pattern is as reliable for a kind as the share of its instances that are known of that kind, and
+entities. Their left and right contexts (two words each, or a line's only one) are lexical patterns; every
+identifier-like token or run of digit groups that no base span covers is an instance of unknown kind in some context.
+The graph of patterns and instances is scored in rounds: a pattern is as reliable for a kind as the share of its instances that are known of that kind, and
 counts from `MIN_SEEDS` different known instances on; an instance that reliable patterns extract becomes
 known, if its form is not at odds with the kind, and supports further patterns. Base spans always stay.
 
@@ -77,6 +77,14 @@ def context_of(left: Column) -> Column:
     return F.regexp_replace(F.lower(words), r"[0-9]", "0")
 
 
+def context_after(right: Column) -> Column:
+    """The first two words after an entity and its punctuation, in the form of context_of; marked as those of the right."""
+    found = lambda pattern: F.nullif(F.regexp_extract(right, pattern, 1), F.lit(""))
+    label = F.concat(found(r"^[^\w\s]{0,4}[^\S\n]+(\S+)[^\S\n]*+(?:$|\n)"), F.lit(" $"))
+    words = F.coalesce(found(r"^[^\w\s]{0,4}[^\S\n]+(\S+[^\S\n]+\S+)"), label, found(r"^[^\w\s]{0,4}\s+(\S+\s+\S+)"), F.lit(""))
+    return F.when(words == "", "").otherwise(F.concat(F.lit("> "), F.regexp_replace(F.lower(words), r"[0-9]", "0")))
+
+
 def _shape_fits(kind: Column, token: Column) -> Column:
     n = F.length(F.regexp_replace(token, r"[^0-9]", ""))
     return F.when(kind == "email", F.contains(token, F.lit("@"))).when(kind == "card", n.between(13, 19)).when(kind == "phone", n.between(9, 15)).when(kind == "ip", n.between(4, 12) & F.contains(token, F.lit("."))).otherwise(False)
@@ -104,13 +112,13 @@ def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     spans = docs.select(F.col(id_col).alias("id"), *[base_spans(text, k).alias(k) for k in KINDS], match_spans(text, TOKEN, across=True).alias("tokens"))
     covered = lambda s: F.exists(F.concat(*KINDS), lambda x: (x["a"] < s["b"]) & (s["a"] < x["b"]))
     looks = lambda s: F.contains(s["m"], F.lit("@")) | (F.length(F.regexp_replace(s["m"], r"[^0-9]", "")) >= 6)
-    edge = lambda s, kind: F.struct(kind.cast("string").alias("kind"), s["a"].alias("a"), s["b"].alias("b"), F.lower(s["m"]).alias("inst"), context_of(s["left"]).alias("pattern"))
+    edge = lambda s, kind: F.struct(kind.cast("string").alias("kind"), s["a"].alias("a"), s["b"].alias("b"), F.lower(s["m"]).alias("inst"), context_of(s["left"]).alias("pattern"), context_after(s["right"]).alias("after"))
     trimmed = lambda s: F.struct(s["a"].alias("a"), s["b"].alias("b"))
     seeds = lambda k: F.transform(k, lambda s: edge(s, F.lit(k)))
     edges = F.concat(*map(seeds, KINDS), F.transform(F.filter(F.filter("tokens", looks), lambda s: ~covered(s)), lambda s: edge(s, F.lit(None))))
     rows = materialize(spans.select(F.monotonically_increasing_id().alias("row"), "id", *[F.transform(k, trimmed).alias(k) for k in KINDS], edges.alias("edges")), "pii-spans")
     flat = rows.select("row", F.explode("edges").alias("e")).select("row", "e.*")
-    new = bootstrap(flat.select("pattern", "inst", "kind"))
+    new = bootstrap(flat.select(F.explode(F.array("pattern", "after")).alias("pattern"), "inst", "kind"))
     added = flat.filter("kind is null").drop("kind").join(new, "inst").groupBy("row").agg(F.collect_list(F.struct("kind", "a", "b")).alias("added"))
     return rows.drop("edges").join(added, "row", "left").withColumnRenamed("id", id_col)
 

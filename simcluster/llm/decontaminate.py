@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+import uuid
 from collections.abc import Iterator
 
 import ahocorasick
@@ -48,7 +49,7 @@ def windows_of(items: list[tuple[str, str | None]], window: int = WINDOW) -> dic
         for i in range(len(words) - n + 1 if n else 0):
             key = " " + b" ".join(words[i : i + n]).decode("latin-1") + " "
             ids = found.setdefault(key, (n, []))[1]
-            if item not in ids:
+            if item is not None and item not in ids:
                 ids.append(item)
     return found
 
@@ -83,7 +84,7 @@ def scan_text(text: str | None, automaton: ahocorasick.Automaton) -> tuple[int,
     return len(words), int(hit.sum()), sorted(items), spans
 
 
-_automata: dict[int, ahocorasick.Automaton] = {}
+_automata: dict[str, ahocorasick.Automaton] = {}
 
 
 def held_parts(docs: DataFrame, benchmark: DataFrame, item_col: str = "item_id", item_text: str = "text", window: int = WINDOW) -> list:
@@ -106,13 +107,14 @@ def held_parts(docs: DataFrame, benchmark: DataFrame, item_col: str = "item_id",
 
 def scanner(held):
     """A column function from text to struct<n_words, n_hit, items, starts, ends> over the windows of one broadcast."""
+    key = uuid.uuid4().hex  # workers are used again: the automaton they hold may be another one's
 
     @F.pandas_udf("n_words long, n_hit long, items array<string>, starts array<long>, ends array<long>")
     def scan(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        if held.id not in _automata:
+        if key not in _automata:
             _automata.clear()
-            _automata[held.id] = build(held.value)
-        automaton = _automata[held.id]
+            _automata[key] = build(held.value)
+        automaton = _automata[key]
         for texts in batches:
             got = [scan_text(x if isinstance(x, str) else None, automaton) for x in texts]
             yield pd.DataFrame({"n_words": [g[0] for g in got], "n_hit": [g[1] for g in got], "items": [g[2] for g in got], "starts": [[a for a, _ in g[3]] for g in got], "ends": [[b for _, b in g[3]] for g in got]}, columns=["n_words", "n_hit", "items", "starts", "ends"]).astype({"n_words": "int64", "n_hit": "int64"})

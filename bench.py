@@ -63,7 +63,8 @@ def main() -> None:
         timed(f"{work}_exhaustive", lambda prep=prep: prep.all_si.count())
         for p, found in out.items():
             truth = exhaustive_threshold(prep.all_si, found.tau).count()
-            measures[f"{work}_p{int(p * 100)}"] = {"coverage": round(found.coverage, 4), "ratio": round(found.coverage / p, 3), "recall": round(rows[p] / truth, 4) if truth else 1.0, "recall_estimate": round(found.simulation.recall, 4), "tau": round(found.tau, 4), "threshold_error": round(E.threshold_error(prep.all_si, found.tau, p)["error"], 4)}
+            error = E.recall_error(found, prep.all_si, p)
+            measures[f"{work}_p{int(p * 100)}"] = {"coverage": round(found.coverage, 4), "ratio": round(found.coverage / p, 3), "recall": round(rows[p] / truth, 4) if truth else 1.0, "recall_at_share": round(error["true"], 4), "recall_at_share_estimate": round(error["estimate"], 4), "tau": round(found.tau, 4), "threshold_error": round(E.threshold_error(prep.all_si, found.tau, p)["error"], 4)}
         sizes = prep.clusters.agg(F.count("*"), F.avg("size")).head()
         measures[work] = {"clusters": sizes[0], "mean_size": round(sizes[1], 2), "pair_similarities": prep.all_si.agg(F.sum("n_pairs")).head()[0]}
     print(json.dumps({"metric": "seconds of all headline queries", "value": round(sum(times.values()), 2), "unit": "sec", "queries": times, "sf": os.path.basename(sf_dir.rstrip("/")).removeprefix("sf"), "measures": measures}))

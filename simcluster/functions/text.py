@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -75,3 +77,45 @@ def to_geojson(geom: Column) -> Column:
     first = geom["parts"][0]
     at = F.when(geom["kind"] == "polygon", F.to_json(F.transform(geom["parts"], closed))).when(geom["kind"] == "linestring", F.to_json(ring(first))).otherwise(F.to_json(F.array(first["xs"][0], first["ys"][0])))
     return F.when(name.isNotNull(), F.concat(F.lit('{"type":"'), name, F.lit('","coordinates":'), at, F.lit("}")))
+
+
+def _fewer(xs: list[float], ys: list[float], tolerance: float) -> list[int]:
+    """Places of the vertices that stay: split where a chord is farthest from what it cuts off, while beyond the tolerance."""
+    x, y = np.asarray(xs, float), np.asarray(ys, float)
+    keep, todo = {0, len(x) - 1}, [(0, len(x) - 1)]
+    while todo:
+        a, b = todo.pop()
+        if b - a < 2:
+            continue
+        dx, dy = x[b] - x[a], y[b] - y[a]
+        px, py = x[a + 1 : b] - x[a], y[a + 1 : b] - y[a]
+        far = np.abs(dx * py - dy * px) / np.hypot(dx, dy) if dx or dy else np.hypot(px, py)
+        at = int(far.argmax())
+        if far[at] > tolerance:
+            keep.add(a + 1 + at)
+            todo += [(a, a + 1 + at), (a + 1 + at, b)]
+    return sorted(keep)
+
+
+def simplify(geom: Column, tolerance: float) -> Column:
+    """The geometry without vertices that lie within the tolerance of what stays; rings keep three at least."""
+
+    @F.pandas_udf("array<array<int>>")
+    def stay(parts: pd.Series) -> pd.Series:
+        out = []
+        for own in parts:
+            rows = []
+            for p in own if own is not None else ():
+                xs, ys, ring = list(p["xs"]), list(p["ys"]), p["role"] != "path"
+                if ring and len(xs) > 3:  # closed for the walk; the closing vertex goes again
+                    kept = [i for i in _fewer([*xs, xs[0]], [*ys, ys[0]], tolerance) if i < len(xs)]
+                    kept = kept if len(kept) >= 3 else list(range(len(xs)))
+                else:
+                    kept = _fewer(xs, ys, tolerance) if len(xs) > 2 else list(range(len(xs)))
+                rows.append(kept)
+            out.append(rows)
+        return pd.Series(out, dtype="object")
+
+    take = lambda p, i, axis: F.transform(i, lambda k: F.get(p[axis], k)).alias(axis)
+    parts = F.zip_with(geom["parts"], stay(geom["parts"]), lambda p, i: F.struct(p["role"].alias("role"), take(p, i, "xs"), take(p, i, "ys")))
+    return F.struct(geom["kind"].alias("kind"), parts.alias("parts"))

@@ -4,10 +4,14 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from statistics import NormalDist
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.stages import stage
+from .verify import places
+
 
 @dataclass(frozen=True)
 class Simulation:
@@ -66,6 +70,17 @@ def budget_gain_curve(sim: Simulation, r_d: float, total: int, safety: int = 0)
     return _clamp(next(place for place, hits, _ in sim.curve if hits >= need) / sim.kept * total, total) if need > 0 else 0
 
 
+def margin(sim: Simulation, r_d: float, confidence: float) -> int:
+    """High clusters of the sample to find beyond the wanted share, so that its error is on the safe side so often.
+
+    Of `high` sampled ones the number above a cut is about normal with variance high * r_d * (1 - r_d).
+    """
+    if confidence <= 0.5 or not sim.high:
+        return 0
+    spread = NormalDist().inv_cdf(confidence) * math.sqrt(sim.high * r_d * (1 - r_d))
+    return max(0, min(len(sim.curve) - math.ceil(r_d * sim.high - 1e-9), math.ceil(spread)))
+
+
 def probability_cut(sim: Simulation, r_d: float) -> float:
     """The largest score cut at which the sample's recall is still the wanted one; 0 verifies all."""
     need = math.ceil(r_d * sim.high - 1e-9)
@@ -79,9 +94,13 @@ def budget_probability_cut(sim: Simulation, r_d: float, scored_all: DataFrame) -
 
 def budget_oracle(scored_si: DataFrame, tau: float, r_d: float) -> int:
     """The least depth that reaches the recall if all indices were known; for evaluation only."""
-    labelled = scored_si.select("cid", "w", F.when(F.col("si") >= F.lit(tau), 1.0).otherwise(0.0).alias("label"))
-    row = running_recall(labelled).filter(F.col("recall") >= r_d - 1e-12).agg(F.min("place")).head()
-    return row[0] or 0
+    deep = places(scored_si.select("cid", "w", (F.col("si") >= F.lit(tau)).alias("high")), "w").filter("high").select("cid", F.col("place").alias("depth"))
+    deep = stage(deep, "high-places")
+    need = math.ceil(r_d * deep.count() - 1e-9)
+    if need <= 0:
+        return 0
+    nth = places(deep.withColumn("up", -F.col("depth")), "up").filter(F.col("place") == need).head()
+    return nth["depth"]
 
 
 RULES = ("linear", "curve", "cut")

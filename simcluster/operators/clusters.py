@@ -7,15 +7,16 @@ from pyspark.sql import functions as F
 
 
 def build_clusters(pairs: DataFrame, min_size: int = 2, max_size: int | None = None) -> DataFrame:
-    """cid and sid in long form, with the cluster's size: one shuffle by cluster, nothing collected."""
+    """cid and sid in long form, with the cluster's size and what the pair shares: one shuffle by cluster, nothing collected."""
     size = F.count("*").over(Window.partitionBy("tid"))
-    out = pairs.filter("mbr_hit").select(F.col("tid").alias("cid"), "sid", size.alias("size")).filter(F.col("size") >= min_size)
+    out = pairs.filter("mbr_hit").select(F.col("tid").alias("cid"), "sid", size.alias("size"), "common_tiles", "shared").filter(F.col("size") >= min_size)
     return out if max_size is None else out.filter(F.col("size") <= max_size)
 
 
 def nested_clusters(members: DataFrame, max_size: int = 100_000) -> DataFrame:
-    """cid, members, size: the nested form, for clusters of a bounded size."""
-    return members.filter(F.col("size") <= max_size).groupBy("cid").agg(F.array_sort(F.collect_set("sid")).alias("members"), F.first("size").alias("size"))
+    """cid, part, members, size: the nested form. A cluster has one row per max_size members, dealt by their hash."""
+    part = F.pmod(F.xxhash64("sid"), F.ceil(F.col("size") / max_size)).cast("int")
+    return members.groupBy("cid", part.alias("part")).agg(F.array_sort(F.collect_set("sid")).alias("members"), F.first("size").alias("size"))
 
 
 def source_stats(pairs: DataFrame) -> DataFrame:

@@ -114,10 +114,29 @@ def kde_thresholds(kde: Kde, shares: tuple[float, ...], boundary: str = "none")
     return {p: kde_threshold(kde, p, boundary=boundary) for p in shares}
 
 
+#: Rows from which an exact quantile reads a narrow band of the values instead of gathering all of them.
+BAND_ROWS = 1_000_000
+
+
+def exact_quantile(rows: DataFrame, column: str, q: float, band_rows: int = BAND_ROWS) -> float | None:
+    """The linearly interpolated quantile. Of many rows, only those between two approximate quantiles are ordered."""
+    n = rows.count()
+    if n < band_rows:
+        return rows.agg(F.percentile(column, F.lit(q))).head()[0]
+    at = q * (n - 1)
+    low, high = rows.agg(F.percentile_approx(column, [max(0.0, q - 0.002), min(1.0, q + 0.002)], 10_000)).head()[0]
+    below = rows.filter(F.col(column) < F.lit(low)).count()
+    skip = math.floor(at) - below
+    band = rows.filter((F.col(column) >= F.lit(low)) & (F.col(column) <= F.lit(high))).select(column).orderBy(column)
+    got = [r[0] for r in band.offset(skip).limit(2).collect()] if skip >= 0 else []
+    if len(got) < 2 and math.floor(at) + 1 < n or not got:
+        return rows.agg(F.percentile(column, F.lit(q))).head()[0]
+    return got[0] + (at - math.floor(at)) * (got[-1] - got[0])
+
+
 def sample_threshold(si: DataFrame, p: float, exact: bool = True) -> float:
     """Empirical quantile of the indices in si."""
-    f = F.percentile("si", F.lit(1 - p)) if exact else F.percentile_approx("si", 1 - p, 10_000)
-    return si.agg(f).head()[0]
+    return exact_quantile(si, "si", 1 - p) if exact else si.agg(F.percentile_approx("si", 1 - p, 10_000)).head()[0]
 
 
 exact_threshold = sample_threshold

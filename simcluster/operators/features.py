@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geom as G
+from ..sources.stages import stage
 from .grid import Grid, tile_range, tiles_of
 
 NAMES = tuple(f"f{i}" for i in range(1, 17))
@@ -19,18 +20,53 @@ def geometry_columns(rows: DataFrame, key: str, grid: Grid, closing: str = "floo
     return rows.select(F.col(key), G.mbr_area(box).alias("box_area"), G.n_points(g).cast("long").alias("points"), G.perimeter(g).alias("length"), *tile_range(box, grid, closing)).withColumn("tiles", tiles_of()).drop("i1", "j1", "i2", "j2")
 
 
-def raw_features(pairs: DataFrame, members: DataFrame, sources: DataFrame, targets: DataFrame, stats: DataFrame, t_stats: DataFrame, grid: Grid, closing: str = "floor") -> DataFrame:
+SOURCE_SIDE = {"f1": "box_area", "f3": "tiles", "f6": "points", "f8": "length", "f10": "total", "f11": "distinct", "f12": "real"}
+TARGET_SIDE = {"f2": "box_area", "f4": "tiles", "f7": "points", "f9": "length", "f13": "total", "f14": "distinct"}
+PAIR_SIDE = {"f5": "common_tiles", "f15": "size", "f16": "shared"}
+
+
+def source_side(sources: DataFrame, stats: DataFrame, grid: Grid, closing: str = "floor") -> DataFrame:
+    """sid and the features that a source has in all its clusters."""
+    rows = geometry_columns(sources, "sid", grid, closing).join(stats, "sid")
+    return rows.select("sid", *[F.col(c).cast("double").alias(f) for f, c in SOURCE_SIDE.items()])
+
+
+def target_side(targets: DataFrame, t_stats: DataFrame, grid: Grid, closing: str = "floor") -> DataFrame:
+    """cid and the features that all members of a cluster have in common."""
+    rows = geometry_columns(targets, "tid", grid, closing).join(t_stats.filter("real > 0"), "tid")
+    return rows.select(F.col("tid").alias("cid"), *[F.col(c).cast("double").alias(f) for f, c in TARGET_SIDE.items()])
+
+
+def raw_features(members: DataFrame, sources: DataFrame, targets: DataFrame, stats: DataFrame, t_stats: DataFrame, grid: Grid, closing: str = "floor") -> DataFrame:
     """cid, sid, f1..f16 of every member pair.
 
     f1/f2 box areas, f3/f4 tiles, f5 common tiles, f6/f7 vertices, f8/f9 boundary lengths of source and target;
     f10-f12 the source's total, distinct and real co-occurrences; f13-f15 the target's; f16 the boxes' overlap.
     """
-    s = geometry_columns(sources, "sid", grid, closing).join(stats, "sid").select("sid", *[F.col(c).alias(f"s_{c}") for c in ("box_area", "points", "length", "tiles", "total", "distinct", "real")])
-    t = geometry_columns(targets, "tid", grid, closing).join(t_stats.filter("real > 0"), "tid").select(F.col("tid").alias("cid"), *[F.col(c).alias(f"t_{c}") for c in ("box_area", "points", "length", "tiles", "total", "distinct")])
-    hits = pairs.filter("mbr_hit").select(F.col("tid").alias("cid"), "sid", "common_tiles", "shared")
-    rows = members.join(hits, ["cid", "sid"]).join(t, "cid").join(s, "sid")
-    order = ("s_box_area", "t_box_area", "s_tiles", "t_tiles", "common_tiles", "s_points", "t_points", "s_length", "t_length", "s_total", "s_distinct", "s_real", "t_total", "t_distinct", "size", "shared")
-    return rows.select("cid", "sid", *[F.col(c).cast("double").alias(f) for c, f in zip(order, NAMES, strict=True)])
+    own = members.select("cid", "sid", *[F.col(c).cast("double").alias(f) for f, c in PAIR_SIDE.items()])
+    return own.join(target_side(targets, t_stats, grid, closing), "cid").join(source_side(sources, stats, grid, closing), "sid").select("cid", "sid", *NAMES)
+
+
+def pooled_features(members: DataFrame, s: DataFrame, t: DataFrame, n_features: int = 16, scaling: str = "both", rule: str = "max") -> DataFrame:
+    """What cluster_features gives for the raw features, without making them: s and t from source_side and target_side.
+
+    Means are taken of the members' own features only; what all members of a cluster share is joined to its one row.
+    Extremes over pairs are extremes over the sources, targets and members that occur in clusters.
+    """
+    own = members.select("cid", "sid", *[F.col(c).cast("double").alias(f) for f, c in PAIR_SIDE.items()])
+    varying = [f for f in NAMES if f not in TARGET_SIDE and f != "f15"]
+    rows = own.join(s, "sid").groupBy("cid").agg(*[F.avg(f).alias(f) for f in varying], F.first("f15").alias("f15"), *([F.min(f).alias(f"lo_{f}") for f in varying] + [F.max(f).alias(f"hi_{f}") for f in varying] if scaling in ("both", "pair") else []))
+    rows = rows.join(t, "cid")
+    names = NAMES[:n_features]
+    if scaling in ("both", "pair"):
+        rows = stage(rows, "features-means")
+        lows, highs = {f: (f"lo_{f}" if f in varying else f) for f in names}, {f: (f"hi_{f}" if f in varying else f) for f in names}
+        row = rows.agg(*[F.min(c).alias(f"lo_{f}") for f, c in lows.items()], *[F.max(c).alias(f"hi_{f}") for f, c in highs.items()]).head()
+        rows = scale(rows.select("cid", *names), {f: (row[f"lo_{f}"] or 0.0, row[f"hi_{f}"] or 0.0) for f in names}, rule)
+    rows = rows.select("cid", *names)
+    if scaling not in ("both", "cluster"):
+        return rows
+    return scale(rows, extremes(rows, names), rule)
 
 
 def extremes(rows: DataFrame, names: tuple[str, ...] = NAMES) -> dict[str, tuple[float, float]]:

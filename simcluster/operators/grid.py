@@ -8,6 +8,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geom as G
+from ..sources.stages import small
+
+#: Tiles along an axis beyond which a box goes to the coarser grid.
+MOST_TILES = 64
 
 
 @dataclass(frozen=True)
@@ -56,20 +60,52 @@ def candidate_pairs(sources: DataFrame, targets: DataFrame, grid: Grid | None =
     """tid, sid, common_tiles, mbr_hit, shared (area of the boxes' overlap) of pairs that have a tile in common.
 
     Only ids, boxes and tile ranges are shuffled. A pair appears once: it is kept in the first tile that both
-    ranges hold, so no distinct is needed. strategy: None leaves the join to the optimizer; merge, hash and
-    broadcast force one. relation: `mbr`, or `intersects` to make mbr_hit the exact test on polygons' areas.
+    ranges hold, so no distinct is needed. Boxes of more than MOST_TILES tiles along an axis are joined on a coarser
+    grid, so that no box has many rows. strategy: None leaves the join to the optimizer; merge and hash force one,
+    broadcast does if a count shows that the sources are few. relation: `mbr`, or `intersects` to make mbr_hit the exact test on polygons' areas.
     """
     grid = grid or grid_granularity(sources)
-    s, t = index_geometries(sources, "sid", grid, closing), index_geometries(targets, "tid", grid, closing)
+    wide = _widest(sources, targets, grid, closing)
+    if wide <= MOST_TILES:
+        pairs = _joined(sources, targets, grid, grid, strategy, closing)
+    else:  # boxes of many tiles meet all others on a coarse grid, the rest each other on the fine one
+        coarse = Grid(grid.dx / -(-wide // MOST_TILES), grid.dy / -(-wide // MOST_TILES), grid.x0, grid.y0)
+        big = _tiles_along(F.col("mbr"), grid, closing) > MOST_TILES
+        small_s, small_t = sources.filter(~big), targets.filter(~big)
+        pairs = _joined(small_s, small_t, grid, grid, strategy, closing)
+        pairs = pairs.unionByName(_joined(sources.filter(big), targets, coarse, grid, None, closing))
+        pairs = pairs.unionByName(_joined(small_s, targets.filter(big), coarse, grid, None, closing))
+    return pairs if relation == "mbr" else refine(pairs, sources, targets, relation)
+
+
+def _tiles_along(box: Column, grid: Grid, closing: str) -> Column:
+    """The larger number of tiles of a box along an axis."""
+    i1, j1, i2, j2 = tile_range(box, grid, closing)
+    return F.greatest(i2 - i1, j2 - j1) + 1
+
+
+def _widest(sources: DataFrame, targets: DataFrame, grid: Grid, closing: str) -> int:
+    return max(rows.agg(F.max(_tiles_along(F.col("mbr"), grid, closing))).head()[0] or 1 for rows in (sources, targets))
+
+
+def _joined(sources: DataFrame, targets: DataFrame, by: Grid, grid: Grid, strategy: str | None, closing: str) -> DataFrame:
+    """Pairs that have a tile of `grid` in common, joined on the tiles of `by`."""
+    s, t = index_geometries(sources, "sid", by, closing), index_geometries(targets, "tid", by, closing)
     s = s.select("sid", "i", "j", *[F.col(c).alias(f"s_{c}") for c in ("mbr", "i1", "j1", "i2", "j2")])
     t = t.select("tid", "i", "j", *[F.col(c).alias(f"t_{c}") for c in ("mbr", "i1", "j1", "i2", "j2")])
-    if strategy:
-        s = s.hint({"merge": "merge", "hash": "shuffle_hash", "broadcast": "broadcast"}[strategy])
+    if strategy == "broadcast":
+        s = small(s)
+    elif strategy:
+        s = s.hint({"merge": "merge", "hash": "shuffle_hash"}[strategy])
     first = (F.col("i") == F.greatest("s_i1", "t_i1")) & (F.col("j") == F.greatest("s_j1", "t_j1"))
     both = t.join(s, ["i", "j"]).filter(first)
-    common = (F.least("s_i2", "t_i2") - F.greatest("s_i1", "t_i1") + 1).cast("long") * (F.least("s_j2", "t_j2") - F.greatest("s_j1", "t_j1") + 1)
-    pairs = both.select("tid", "sid", common.alias("common_tiles"), G.mbr_intersects(F.col("s_mbr"), F.col("t_mbr")).alias("mbr_hit"), G.mbr_shared(F.col("s_mbr"), F.col("t_mbr")).alias("shared"))
-    return pairs if relation == "mbr" else refine(pairs, sources, targets, relation)
+    if by != grid:
+        for p in ("s", "t"):
+            both = both.withColumns({f"{p}_{k}": v for k, v in zip(("i1", "j1", "i2", "j2"), tile_range(F.col(f"{p}_mbr"), grid, closing), strict=True)})
+    width, height = F.least("s_i2", "t_i2") - F.greatest("s_i1", "t_i1") + 1, F.least("s_j2", "t_j2") - F.greatest("s_j1", "t_j1") + 1
+    if by != grid:
+        both = both.filter((width > 0) & (height > 0))
+    return both.select("tid", "sid", (width.cast("long") * height).alias("common_tiles"), G.mbr_intersects(F.col("s_mbr"), F.col("t_mbr")).alias("mbr_hit"), G.mbr_shared(F.col("s_mbr"), F.col("t_mbr")).alias("shared"))
 
 
 def refine(pairs: DataFrame, sources: DataFrame, targets: DataFrame, relation: str, backend: str = "arrow") -> DataFrame:

@@ -2,19 +2,29 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import clip
 from ..functions import fourier as D
 from ..functions import geom as G
 from ..functions import metrics as M
+from ..functions import shapes as S
 
+#: Members up to which a cluster's pairs are unfolded from a list.
+NESTED_SIZE = 2048
 SCALARS = ("n", "area", "perimeter", "aspect", "phi", "bx", "by", "fd")
 
 
 def describe_shapes(sources: DataFrame, key: str = "sid", centered: bool = True, harmonics: int = D.HARMONICS, samples: int = D.SAMPLES, sampling: str = "arclength", scale_free: bool = True, elongation: bool = False) -> DataFrame:
-    """Everything a pair needs of a shape, computed once per geometry: scalars, descriptor, edges."""
+    """Everything a pair needs of a shape, computed once per geometry: scalars, descriptor, edges; a batch at a time."""
+    rows = sources.select(F.col(key).alias("sid"), F.col("geom").cast(G.GEOM).alias("geom"))
+    run = S.describer(centered=centered, harmonics=harmonics, samples=samples, sampling=sampling, scale_free=scale_free, elongation=elongation)
+    return rows.mapInArrow(run, f"sid {sources.schema[key].dataType.simpleString()}, {S.SCHEMA}")
+
+
+def describe_shapes_by_expressions(sources: DataFrame, key: str = "sid", centered: bool = True, harmonics: int = D.HARMONICS, samples: int = D.SAMPLES, sampling: str = "arclength", scale_free: bool = True, elongation: bool = False) -> DataFrame:
+    """The same columns from the geometry expressions: the scalar form that the batches are measured against."""
     shaped = sources.select(F.col(key).alias("sid"), G.normalize_rings(F.col("geom")).alias("geom"))
     shaped = shaped.withColumn("shape", G.center(F.col("geom")) if centered else F.col("geom"))
     g, box = F.col("shape"), F.col("box")
@@ -75,12 +85,28 @@ def measure_columns(unit: float = 1.0, clipped: bool = True) -> dict[str, Column
     return values
 
 
-def member_pairs(members: DataFrame, cids: DataFrame | None = None) -> DataFrame:
-    """cid, a, b of all unordered pairs of members with a < b, of all clusters or of those in cids."""
-    own = members.select("cid", "sid")
+def member_pairs(members: DataFrame, cids: DataFrame | None = None, largest: int = NESTED_SIZE) -> DataFrame:
+    """cid, a, b of all unordered pairs of members with a < b, of all clusters or of those in cids.
+
+    Clusters up to `largest` members are gathered and unfolded, one shuffle of the members; larger ones are joined
+    with themselves, where adaptive execution splits a hot cluster.
+    """
+    own = members.select("cid", "sid", *(["size"] if "size" in members.columns else []))
     if cids is not None:
         own = own.join(cids.select("cid"), "cid", "left_semi")
-    return own.withColumnRenamed("sid", "a").join(own.withColumnRenamed("sid", "b"), "cid").filter("a < b")
+    if "size" not in own.columns:
+        own = own.withColumn("size", F.lit(None).cast("long"))
+    lists = own.filter(F.col("size") <= largest).groupBy("cid").agg(F.array_sort(F.collect_list("sid")).alias("m"))
+    first = lists.select("cid", "m", F.posexplode(F.slice("m", F.lit(1), F.size("m") - 1)).alias("at", "a"))
+    pairs = first.select("cid", "a", F.explode(F.slice("m", F.col("at") + 2, F.size("m"))).alias("b")).filter("a < b")
+    if "size" in members.columns and not has_larger(members, largest):
+        return pairs
+    big = own.filter(F.coalesce(F.col("size") > largest, F.lit(True))).select("cid", "sid")
+    return pairs.unionByName(big.withColumnRenamed("sid", "a").join(big.withColumnRenamed("sid", "b"), "cid").filter("a < b"))
+
+
+def has_larger(members: DataFrame, largest: int) -> bool:
+    return not members.filter(F.col("size") > largest).isEmpty()
 
 
 def similarity_index(members: DataFrame, shapes: DataFrame, weights: dict[str, float] | None = None, cids: DataFrame | None = None, backend: str = "arrow", memo: bool = True, breakdown: bool = False, max_pairs: int | None = None, unit: float = 1.0, layout: str = "long") -> DataFrame:
@@ -93,11 +119,7 @@ def similarity_index(members: DataFrame, shapes: DataFrame, weights: dict[str, f
     """
     if layout == "nested":
         return _nested_index(members, shapes, weights, cids, unit)
-    pairs = member_pairs(members, cids)
-    if max_pairs is not None:
-        total = members.groupBy("cid").agg((F.count("*") * (F.count("*") - 1) / 2).alias("all_pairs"))
-        share = F.least(F.lit(1.0), F.lit(float(max_pairs)) / F.col("all_pairs"))
-        pairs = pairs.join(total, "cid").filter(F.pmod(F.xxhash64("cid", "a", "b"), F.lit(1 << 30)) < share * float(1 << 30))
+    pairs = member_pairs(members, cids) if max_pairs is None else sampled_pairs(members, max_pairs, cids)
     if memo:
         sims = pair_similarities(pairs.select("a", "b").distinct(), shapes, weights, backend, unit, breakdown)
         joined = pairs.join(sims, ["a", "b"])
@@ -140,6 +162,23 @@ def _nested_index(members: DataFrame, shapes: DataFrame, weights: dict[str, floa
     return own.join(shapes, "sid").groupBy("cid").applyInPandas(one, "cid long, n_pairs long, si double")
 
 
+def sampled_pairs(members: DataFrame, max_pairs: int, cids: DataFrame | None = None, seed: int = 5) -> DataFrame:
+    """cid, a, b: all pairs of clusters that have max_pairs at most, and about so many seeded ones of larger clusters.
+
+    The other pairs are never made: each member of a large cluster meets members at a few seeded distances in the list.
+    """
+    sized = members.select("cid", "sid").join(cids.select("cid"), "cid", "left_semi") if cids is not None else members.select("cid", "sid")
+    placed = sized.select("cid", "sid", F.row_number().over(Window.partitionBy("cid").orderBy("sid")).alias("at"), F.count("*").over(Window.partitionBy("cid")).cast("int").alias("size"))
+    whole = F.col("size") * (F.col("size") - 1) <= 2 * max_pairs
+    each = F.greatest(F.lit(1), F.ceil(F.lit(max_pairs) / F.col("size"))).cast("int")
+    picks = F.transform(F.sequence(F.lit(1), each), lambda i: 1 + F.pmod(F.xxhash64("cid", i, F.lit(seed)), F.col("size") - 1).cast("int"))
+    large = placed.filter(~whole).withColumn("step", F.explode(F.array_distinct(picks)))
+    other = placed.select(F.col("cid"), F.col("sid").alias("other"), F.col("at").alias("there"))
+    met = large.withColumn("there", F.pmod(F.col("at") - 1 + F.col("step"), F.col("size")) + 1).join(other, ["cid", "there"])
+    some = met.select("cid", F.least("sid", "other").alias("a"), F.greatest("sid", "other").alias("b")).distinct()
+    return member_pairs(placed.filter(whole).select("cid", "sid", "size")).unionByName(some)
+
+
 def similarity_bounds(members: DataFrame, shapes: DataFrame, weights: dict[str, float] | None = None, cids: DataFrame | None = None, unit: float = 1.0) -> DataFrame:
     """cid, lo, hi: bounds of the index without clipping: six measures exactly, the overlap from areas alone."""
     own = M.check_weights(weights)

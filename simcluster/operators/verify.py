@@ -4,34 +4,49 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.stages import stage
+
 TOP_K = 100_000
+#: Decimals of a score or an index that decide a rank.
+PLACES = 9
 
 
-def select_frontier(scored: DataFrame, budget: int, top_k: int = TOP_K) -> DataFrame:
-    """The budget clusters with the largest w, ties by cid.
+def ranked(column: str) -> Column:
+    """The value by which clusters are ranked: rounded, so that the order of summation never changes places."""
+    return F.round(F.col(column), PLACES)
+
 
-    Small budgets are a top-k. Large ones cut at an approximate quantile that keeps too many by a little, count
-    what lies surely above, and order only the narrow band around the cut: no sort of all clusters.
+def largest(rows: DataFrame, column: str, k: int, top_k: int = TOP_K) -> DataFrame:
+    """The k rows with the largest value of the column (rounded), ties by cid.
+
+    A small k is a top-k. A large one is cut at approximate quantiles that keep too many by a little, counts
+    what lies surely above, and orders only the narrow band around the cut: no sort of all rows, no task with all of them.
     """
-    if budget <= 0:
-        return scored.limit(0)
-    if budget <= top_k:
-        return scored.orderBy(F.desc("w"), "cid").limit(budget)
-    total = scored.count()
-    if budget >= total:
-        return scored
-    share, slack = budget / total, 0.002
-    cuts = scored.agg(F.percentile_approx("w", [max(0.0, 1 - share - slack), min(1.0, 1 - share + slack)], 10_000)).head()[0]
-    low, high = cuts
-    above = scored.filter(F.col("w") > F.lit(high))
-    missing = budget - above.count()
-    band = scored.filter((F.col("w") >= F.lit(low)) & (F.col("w") <= F.lit(high)))
+    if k <= 0:
+        return rows.limit(0)
+    if k <= top_k:
+        return rows.orderBy(ranked(column).desc(), "cid").limit(k)
+    total = rows.count()
+    if k >= total:
+        return rows
+    share, slack = k / total, 0.002
+    low, high = rows.select(ranked(column).alias("v")).agg(F.percentile_approx("v", [max(0.0, 1 - share - slack), min(1.0, 1 - share + slack)], 10_000)).head()[0]
+    above = rows.filter(ranked(column) > F.lit(high))
+    missing = k - above.count()
+    band = rows.filter((ranked(column) >= F.lit(low)) & (ranked(column) <= F.lit(high)))
     if missing < 0 or band.count() < missing:  # the quantiles were off: the exact way
-        return scored.orderBy(F.desc("w"), "cid").limit(budget)
-    return above.unionByName(band.orderBy(F.desc("w"), "cid").limit(missing))
+        return rows.orderBy(ranked(column).desc(), "cid").limit(k)
+    if missing > top_k:  # many values close to the cut
+        return above.unionByName(places(band, column).filter(F.col("place") <= missing).drop("place"))
+    return above.unionByName(band.orderBy(ranked(column).desc(), "cid").limit(missing))
+
+
+def select_frontier(scored: DataFrame, budget: int, top_k: int = TOP_K) -> DataFrame:
+    """The budget clusters with the largest w, ties by cid."""
+    return largest(scored, "w", budget, top_k)
 
 
 def verify(scored: DataFrame, budget: int, tau: float, index_of: Callable[[DataFrame], DataFrame], memo: DataFrame | None = None, bounds_of: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
@@ -53,20 +68,20 @@ def verify(scored: DataFrame, budget: int, tau: float, index_of: Callable[[DataF
     return todo.select("cid", "w").join(si, "cid").filter(F.col("si") >= F.lit(tau)).select("cid", "si", "w")
 
 
-def verify_in_waves(scored: DataFrame, budget: int, tau: float, index_of: Callable[[DataFrame], DataFrame], batch: int, stop: str = "budget", target: int | None = None, least_yield: float = 0.0, stage: Callable[[DataFrame], DataFrame] = lambda df: df) -> tuple[DataFrame, int]:
+def verify_in_waves(scored: DataFrame, budget: int, tau: float, index_of: Callable[[DataFrame], DataFrame], batch: int, stop: str = "budget", target: int | None = None, least_yield: float = 0.0, keep: Callable[[DataFrame], DataFrame] = lambda df: stage(df, "wave")) -> tuple[DataFrame, int]:
     """Result and number of clusters checked, verifying `batch` clusters at a time in order of w.
 
     stop: budget (only there), recall (once `target` clusters are found) or yield (once a wave finds less than
     the share least_yield).
     """
-    ranked = stage(select_frontier(scored, budget).withColumn("rank", F.row_number().over(Window.orderBy(F.desc("w"), "cid"))))
+    placed = keep(places(select_frontier(scored, budget), "w").withColumnRenamed("place", "rank"))
     found, checked, hits = None, 0, 0
     while checked < budget:
-        wave = ranked.filter((F.col("rank") > checked) & (F.col("rank") <= checked + batch))
+        wave = placed.filter((F.col("rank") > checked) & (F.col("rank") <= checked + batch))
         size = wave.count()
         if not size:
             break
-        got = stage(wave.join(index_of(wave.select("cid")).select("cid", "si"), "cid").filter(F.col("si") >= F.lit(tau)).select("cid", "si", "w"))
+        got = keep(wave.join(index_of(wave.select("cid")).select("cid", "si"), "cid").filter(F.col("si") >= F.lit(tau)).select("cid", "si", "w"))
         n = got.count()
         checked, hits = checked + size, hits + n
         found = got if found is None else found.unionByName(got)
@@ -75,9 +90,23 @@ def verify_in_waves(scored: DataFrame, budget: int, tau: float, index_of: Callab
     return found if found is not None else scored.select("cid", F.lit(0.0).alias("si"), "w").limit(0), checked
 
 
+def places(rows: DataFrame, column: str) -> DataFrame:
+    """rows with their place in rank order, from ranges of the value that are each ordered by themselves.
+
+    The only thing that one task sees whole is the list of the ranges' sizes.
+    """
+    parts = rows.select("*", ranked(column).alias("v")).repartitionByRange(F.desc("v"), "cid").withColumn("part", F.spark_partition_id())
+    parts = stage(parts, "ranges")
+    sizes = parts.groupBy("part").agg(F.count("*").alias("n"))  # ranges are numbered in their order
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sizes.select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
+    inside = F.row_number().over(Window.partitionBy("part").orderBy(F.desc("v"), "cid"))
+    return parts.withColumn("at", inside).join(F.broadcast(starts), "part").select(*rows.columns, (F.col("before") + F.col("at")).alias("place"))
+
+
 def rank_result(result: DataFrame) -> DataFrame:
     """The result with its rank by index."""
-    return result.withColumn("rank", F.row_number().over(Window.orderBy(F.desc("si"), "cid")))
+    return places(result, "si").withColumn("rank", F.col("place").cast("int")).drop("place")
 
 
 def result_pairs(result: DataFrame, members: DataFrame) -> DataFrame:

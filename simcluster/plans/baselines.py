@@ -6,14 +6,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.sampling import draw_key
-from ..operators.verify import select_frontier
+from ..operators.verify import largest, ranked, select_frontier
 
 
 def exhaustive_top(all_si: DataFrame, p: float) -> DataFrame:
     """The ceil(p * clusters) clusters with the largest index, ties by cid."""
     total = all_si.count()
     k = int(-(-p * total // 1)) if (p * total) % 1 > 1e-9 else round(p * total)
-    return all_si.select("cid", "si").orderBy(F.desc("si"), "cid").limit(k)
+    return largest(all_si.select("cid", "si"), "si", k)
 
 
 def exhaustive_threshold(all_si: DataFrame, tau: float) -> DataFrame:
@@ -41,7 +41,8 @@ def verified_by_order(scored: DataFrame, all_si: DataFrame, budget: int, tau: fl
 
 
 def rank_clusters(all_si: DataFrame) -> DataFrame:
-    """Every ranking function over the index; a total order, for frames of bounded size and reports."""
-    w = Window.orderBy(F.desc("si"))
-    ranks = {"row_number": F.row_number().over(Window.orderBy(F.desc("si"), "cid")), "rank": F.rank().over(w), "dense_rank": F.dense_rank().over(w), "percent_rank": F.percent_rank().over(w), "cume_dist": F.cume_dist().over(w), "ntile10": F.ntile(10).over(Window.orderBy(F.desc("si"), "cid"))}
-    return all_si.select("cid", "si", *[v.alias(k) for k, v in ranks.items()])
+    """Every ranking function over the index, rounded so that equal indices tie; a total order, for reports of bounded size."""
+    own = all_si.select("cid", "si", ranked("si").alias("v"))
+    w, total = Window.orderBy(F.desc("v")), Window.orderBy(F.desc("v"), "cid")
+    ranks = {"row_number": F.row_number().over(total), "rank": F.rank().over(w), "dense_rank": F.dense_rank().over(w), "percent_rank": F.percent_rank().over(w), "cume_dist": F.cume_dist().over(w), "ntile10": F.ntile(10).over(total), "before": F.lag("cid").over(total), "after": F.lead("cid").over(total)}
+    return own.select("cid", "si", *[v.alias(k) for k, v in ranks.items()])

@@ -2,14 +2,19 @@
 
 from __future__ import annotations
 
+import math
+import re
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
+from ..operators.density import exact_quantile
+from ..operators.grid import tile_range, tiles_of
 from ..operators.simindex import member_pairs
-from .baselines import exhaustive_threshold, exhaustive_top
-from .search import Prepared, SearchResult
+from ..operators.verify import places, select_frontier
+from .baselines import exhaustive_top
+from .search import Prepared
 
 
 def coverage(checked: int, total: int) -> float:
@@ -32,13 +37,18 @@ def recall_precision(found: DataFrame, truth: DataFrame) -> dict[str, float]:
 
 def threshold_error(all_si: DataFrame, tau: float, p: float) -> dict[str, float]:
     """Distance of the cut-off from the exact quantile, and of the realised share from the wanted one."""
-    row = all_si.agg(F.percentile("si", F.lit(1 - p)).alias("exact"), F.avg((F.col("si") >= F.lit(tau)).cast("double")).alias("share")).head()
-    return {"tau": tau, "exact": row["exact"], "error": abs(tau - row["exact"]), "share": row["share"], "share_error": row["share"] - p}
+    exact, share = exact_quantile(all_si, "si", 1 - p), all_si.agg(F.avg((F.col("si") >= F.lit(tau)).cast("double"))).head()[0]
+    return {"tau": tau, "exact": exact, "error": abs(tau - exact), "share": share, "share_error": share - p}
 
 
-def recall_error(result: SearchResult, true_recall: float) -> float:
-    """Estimated minus true recall."""
-    return result.simulation.recall - true_recall
+def recall_error(plan, all_si: DataFrame, p: float) -> dict[str, float]:
+    """The recall that the simulation estimates for the share p of its queue, and that of the same share of all clusters."""
+    depth = math.ceil(p * plan.total - 1e-9)
+    high = all_si.filter(F.col("si") >= F.lit(plan.tau)).select("cid")
+    hits = select_frontier(plan.scored, depth).select("cid").join(high, "cid", "left_semi").count()
+    total = high.count()
+    true = hits / total if total else 0.0
+    return {"estimate": plan.simulation.recall, "true": true, "error": plan.simulation.recall - true}
 
 
 def dataset_profile(prep: Prepared) -> DataFrame:
@@ -58,6 +68,41 @@ def pair_costs(members: DataFrame, verified: DataFrame) -> dict[str, int]:
     }
 
 
+@dataclass
+class CostReport:
+    """What a search does: tiles and candidate pairs of the join, pair similarities by way of computing them, shuffles."""
+
+    source_tiles: int
+    target_tiles: int
+    candidates: int
+    hits: int
+    clusters: int
+    pairs_exhaustive: int
+    pairs_verified: int
+    pairs_verified_distinct: int
+    pairs_after_bounds: int
+    exchanges: int
+
+
+def cost_report(prep: Prepared, verified: DataFrame, tau: float) -> CostReport:
+    """Counts observed while the stages of a search are read; verified: the clusters within the budget."""
+    own = Observation()
+    prep.pairs.observe(own, F.count("*").alias("candidates"), F.count_if("mbr_hit").alias("hits")).write.format("noop").mode("overwrite").save()
+    tiles = lambda rows, key: rows.select(*tile_range(F.col("mbr"), prep.grid, prep.closing)).agg(F.sum(tiles_of())).head()[0] or 0
+    costs = pair_costs(prep.members, verified)
+    possible = prep.bounds_of(verified.select("cid")).filter(F.col("hi") >= F.lit(tau - 1e-9)).select("cid")
+    left = pair_costs(prep.members, possible)["verified"]
+    seen = own.get
+    return CostReport(tiles(prep.sources, "sid"), tiles(prep.targets, "tid"), seen["candidates"], seen["hits"], prep.total, costs["exhaustive"], costs["verified"], costs["verified_distinct"], left, explain_search(prep)["exchanges"])
+
+
+def explain_search(prep: Prepared) -> dict[str, int | str]:
+    """The plan of the similarity index of all clusters: its text, exchanges, joins and Python calls."""
+    plan = prep.index_of(None)._jdf.queryExecution().executedPlan().toString()
+    count = lambda word: len(re.findall(word, plan))
+    return {"plan": plan, "exchanges": count(r"Exchange hashpartitioning"), "joins": count("Join"), "python": count("ArrowEvalPython|BatchEvalPython|MapInArrow"), "nested_loops": count("NestedLoop|Cartesian")}
+
+
 @dataclass
 class Report:
     """One row of an experiment."""
@@ -66,6 +111,7 @@ class Report:
     p: float
     r_d: float
     rule: str
+    seed: int
     total: int
     budget: int
     coverage: float
@@ -74,29 +120,40 @@ class Report:
     threshold_error: float
     share: float
     recall_estimate: float
+    recall_at_share: float
+    recall_error: float
     recall: float
     recall_top: float
     precision: float
     found: int
 
 
-def report(prep: Prepared, out: SearchResult, workload: str) -> Report:
-    """Measures of one search against the exhaustive truth."""
-    p = out.settings["p"]
-    error = threshold_error(prep.all_si, out.tau, p)
-    truth = recall_precision(out.result, exhaustive_threshold(prep.all_si, out.tau))
-    top = recall_precision(out.result, exhaustive_top(prep.all_si, p))
-    return Report(workload, p, out.settings["r_d"], out.settings["rule"], out.total, out.budget, out.coverage, checked_ratio(out.budget, out.total, p), out.tau, error["error"], error["share"], out.simulation.recall, truth["recall"], top["recall"], truth["precision"], truth["found"])
+def reports(prep: Prepared, search, plan, workload: str, recalls: tuple[float, ...], rules: tuple[str, ...]) -> list[Report]:
+    """Measures of one plan under several wanted recalls and budget rules, against the exhaustive truth.
+
+    Places in the verification's order are computed once; each budget is then a count over them.
+    """
+    p = search.p
+    error = threshold_error(prep.all_si, plan.tau, p)
+    estimate = recall_error(plan, prep.all_si, p)
+    top = exhaustive_top(prep.all_si, p).select("cid", F.lit(True).alias("top"))
+    rows = places(plan.scored, "w").join(prep.all_si.select("cid", "si"), "cid").join(top, "cid", "left")
+    rows = rows.select("place", (F.col("si") >= F.lit(plan.tau)).alias("high"), F.coalesce("top", F.lit(False)).alias("top"))
+    budgets = {(rule, r_d): search.budget(plan, r_d, rule) for rule in rules for r_d in recalls}
+    within = lambda b: F.col("place") <= b
+    counts = rows.agg(F.count_if("high").alias("high"), F.count_if("top").alias("top"), *[x for i, b in enumerate(budgets.values()) for x in (F.count_if(within(b) & F.col("high")).alias(f"h{i}"), F.count_if(within(b) & F.col("high") & F.col("top")).alias(f"t{i}"))]).head()
+    share = lambda a, b: a / b if b else 1.0
+    # what is verified is compared with the cut-off itself, so all that is found is above it
+    return [Report(workload, p, r_d, rule, search.seed, plan.total, b, coverage(b, plan.total), checked_ratio(b, plan.total, p), plan.tau, error["error"], error["share"], estimate["estimate"], estimate["true"], estimate["error"], share(counts[f"h{i}"], counts["high"]), share(counts[f"t{i}"], counts["top"]), 1.0, counts[f"h{i}"]) for i, ((rule, r_d), b) in enumerate(budgets.items())]
 
 
 def coverage_curve(scored_si: DataFrame, tau: float, steps: int = 10) -> DataFrame:
-    """Recall after each tenth (or other part) of the clusters in order of w; counts only, no total sort kept."""
+    """Recall after each tenth (or other part) of the clusters in order of w."""
     total = scored_si.count()
-    from ..operators.budget import running_recall
-
-    labelled = scored_si.select("cid", "w", F.when(F.col("si") >= F.lit(tau), 1.0).otherwise(0.0).alias("label"))
-    run = running_recall(labelled).withColumn("part", F.ceil(F.col("place") * steps / F.lit(total)))
-    return run.groupBy("part").agg(F.max("place").alias("checked"), F.max("hits").alias("hits"), F.max("recall").alias("recall"))
+    placed = places(scored_si.select("cid", "w", F.when(F.col("si") >= F.lit(tau), 1.0).otherwise(0.0).alias("label")), "w")
+    parts = placed.groupBy(F.ceil(F.col("place") * steps / F.lit(total)).alias("part")).agg(F.max("place").alias("checked"), F.sum("label").alias("own"))
+    run = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return parts.withColumn("hits", F.sum("own").over(run)).withColumn("recall", F.col("hits") / F.nullif(F.sum("own").over(Window.partitionBy()), F.lit(0.0))).drop("own")
 
 
 def coverage_pivot(reports: DataFrame) -> DataFrame:

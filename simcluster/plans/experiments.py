@@ -15,13 +15,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import clip
+from ..functions import geom as G
 from ..functions import metrics as M
+from ..functions import shapes as S
 from ..operators import simindex as I
 from ..operators.grid import candidate_pairs, candidate_pairs_nested_loop
 from ..sources.fixtures import embedding_rings, lift_sources, lift_targets, trajectories
 from ..sources.tables import load_table
 from . import evaluate as E
-from .baselines import random_order, verified_by_order
+from .baselines import exhaustive_threshold, random_order, verified_by_order
 from .search import Prepared, SimilarClusterSearch
 
 
@@ -29,38 +31,49 @@ def prepare(spark: SparkSession, sf_dir: str, workload: str = "d1", family: str
     return Prepared(lift_sources(spark, sf_dir, workload, family), lift_targets(spark, sf_dir, workload), **settings)
 
 
-def run_searches(prep: Prepared, workload: str, shares=(0.1, 0.3, 0.5), recalls=(0.8, 0.9, 0.95), rules=("linear", "curve"), **settings) -> Iterator[E.Report]:
-    """Coverage, ratio and achieved recall for each targeted share, wanted recall and budget rule."""
+def run_searches(prep: Prepared, workload: str, shares=(0.1, 0.3, 0.5), recalls=(0.8, 0.9, 0.95), rules=("linear", "curve", "cut"), seeds=(1,), **settings) -> Iterator[E.Report]:
+    """Coverage, ratio and achieved recall for each targeted share, seed, wanted recall and budget rule.
+
+    Samples, training and scores depend on neither the wanted recall nor the rule, so each plan is made once.
+    """
     for p in shares:
-        for r_d in recalls:
-            for rule in rules:
-                out = SimilarClusterSearch(p=p, r_d=r_d, rule=rule, **settings).run(prep)
-                if out is not None:
-                    yield E.report(prep, out, workload)
+        for seed in seeds:
+            search = SimilarClusterSearch(p=p, seed=seed, **settings)
+            plan = search.plan(prep)
+            if plan is not None:
+                yield from E.reports(prep, search, plan, workload, tuple(recalls), tuple(rules))
 
 
-def sweep(prep: Prepared, workload: str, r_d: float = 0.9) -> Iterator[E.Report]:
+def sweep(prep: Prepared, workload: str, r_d: float = 0.9, rules=("linear", "curve")) -> Iterator[E.Report]:
     """Nine targeted shares, as the curves of ratio and share checked need."""
-    yield from run_searches(prep, workload, tuple(i / 10 for i in range(1, 10)), (r_d,), ("curve",))
+    yield from run_searches(prep, workload, tuple(i / 10 for i in range(1, 10)), (r_d,), rules)
+
+
+#: Changes of the search, one at a time.
+SEARCH_VARIANTS = {"base": {}, "shared roles": {"roles": "shared"}, "gaussian": {"kernels": ("gaussian",)}, "epanechnikov": {"kernels": ("epanechnikov",)}, "tophat": {"kernels": ("tophat",)}, "logistic kernel": {"kernels": ("logistic",)}, "kfold": {"criterion": "kfold"}, "scott": {"criterion": "scott"}, "no reflection": {"boundary": "none"}, "weighted classes": {"balance": "weights"}, "truncated classes": {"balance": "truncate"}, **{a: {"algorithm": a} for a in ("random_forest", "gbt", "naive_bayes", "decision_tree", "mlp")}}
+#: Changes of clusters, features and measures.
+PREPARED_VARIANTS = {"15 features": {"n_features": 15}, "no scaling": {"scaling": "none"}, "pair scaling": {"scaling": "pair"}, "cluster scaling": {"scaling": "cluster"}, "uncentred": {"centered": False}, "flat family": {"family": "flat"}, **{f"only {c}": {"weights": M.equal_weights(names)} for c, names in M.CATEGORIES.items()}}
+
 
+def search_variants(prep: Prepared, workload: str, p: float = 0.3, r_d: float = 0.9, names: tuple[str, ...] | None = None) -> Iterator[tuple[str, E.Report]]:
+    """Roles, kernels, criteria, class balance and classifiers, one change at a time, with all budget rules."""
+    for name, change in SEARCH_VARIANTS.items():
+        if names is None or name in names:
+            for line in run_searches(prep, workload, (p,), (r_d,), ("linear", "curve", "cut") if name == "base" else ("curve",), **change):
+                yield f"{name}, {line.rule}" if name == "base" else name, line
 
-def ablations(spark: SparkSession, sf_dir: str, workload: str = "d1", p: float = 0.1, r_d: float = 0.9) -> Iterator[tuple[str, E.Report]]:
-    """Measures, centring, scaling, features, roles, rules, kernels and classifiers, one change at a time."""
-    base = prepare(spark, sf_dir, workload)
-    for name, change in {"base": {}, "shared roles": {"roles": "shared"}, "linear budget": {"rule": "linear"}, "score cut": {"rule": "cut"}, "gaussian": {"kernels": ("gaussian",)}, "epanechnikov": {"kernels": ("epanechnikov",)}, **{a: {"algorithm": a} for a in ("random_forest", "gbt", "naive_bayes", "decision_tree", "mlp")}}.items():
-        if (out := SimilarClusterSearch(p=p, r_d=r_d, **change).run(base)) is not None:
-            yield name, E.report(base, out, workload)
-    variants = {"15 features": {"n_features": 15}, "no scaling": {"scaling": "none"}, "pair scaling": {"scaling": "pair"}, "cluster scaling": {"scaling": "cluster"}, "uncentred": {"centered": False}, "flat family": {"family": "flat"}}
-    variants |= {f"only {c}": {"weights": M.equal_weights(names)} for c, names in M.CATEGORIES.items()}
-    for name, change in variants.items():
-        prep = prepare(spark, sf_dir, workload, **change)
-        if (out := SimilarClusterSearch(p=p, r_d=r_d).run(prep)) is not None:
-            yield name, E.report(prep, out, workload)
+
+def prepared_variants(spark: SparkSession, sf_dir: str, workload: str, p: float = 0.3, r_d: float = 0.9, names: tuple[str, ...] | None = None) -> Iterator[tuple[str, E.Report]]:
+    """Scaling, features, centring, families and measure categories, one change at a time."""
+    for name, change in PREPARED_VARIANTS.items():
+        if names is None or name in names:
+            for line in run_searches(prepare(spark, sf_dir, workload, **change), workload, (p,), (r_d,), ("curve",)):
+                yield name, line
 
 
 def against_random(prep: Prepared, out) -> dict[str, float]:
     """Recall of the scheduled search and of a random order with the same budget."""
-    truth = E.exhaustive_threshold(prep.all_si, out.tau)
+    truth = exhaustive_threshold(prep.all_si, out.tau)
     plain = verified_by_order(random_order(prep.clusters), prep.all_si, out.budget, out.tau)
     return {"scheduled": E.recall_precision(out.result, truth)["recall"], "random": E.recall_precision(plain, truth)["recall"]}
 
@@ -71,29 +84,53 @@ def _seconds(df: DataFrame) -> float:
     return time.perf_counter() - began
 
 
-def bench_geometry(prep: Prepared, backends=("arrow", "sql", "python"), limit: int = 50_000) -> dict[str, float]:
-    """Seconds of shared areas of the same distinct pairs by backend."""
-    pairs = I.member_pairs(prep.members).select("a", "b").distinct().orderBy("a", "b").limit(limit).persist()
-    pairs.count()
-    out = {b: _seconds(clip.intersection_area(pairs, prep.shapes, b)) for b in backends}
-    pairs.unpersist()
-    return out
+def _python_box(xs, ys):
+    return [min(xs), min(ys), max(xs), max(ys)]
 
 
-def bench_metrics(prep: Prepared, backends=("arrow", "sql", "python"), limit: int = 50_000) -> dict[str, float]:
-    """Seconds of the means of all measures over the same pairs, outside the search."""
-    pairs = I.member_pairs(prep.members).select("a", "b").distinct().orderBy("a", "b").limit(limit).persist()
-    pairs.count()
-    out = {b: _seconds(I.pair_similarities(pairs, prep.shapes, backend=b, breakdown=True).agg(*[F.avg(k) for k in M.NAMES])) for b in backends}
-    pairs.unpersist()
-    return out
+def geometry_by_backend(prep: Prepared, what: str, backend: str) -> DataFrame:
+    """MBRs of all sources, or shared and united areas of all distinct member pairs, by a backend.
+
+    arrow: a batch at a time; sql: expressions only; python: one row at a time.
+    """
+    if what == "mbr":
+        first = F.col("geom.parts")[0]
+        if backend == "python":
+            box = F.udf(_python_box, "array<double>")(first["xs"], first["ys"])
+            return prep.sources.select("sid", *[box[i].alias(c) for i, c in enumerate(("x1", "y1", "x2", "y2"))])
+        if backend == "arrow":
+            return prep.sources.select("sid", "geom").mapInArrow(S.boxer, "sid long, x1 double, y1 double, x2 double, y2 double")
+        return prep.sources.select("sid", G.mbr(F.col("geom")).alias("b")).select("sid", "b.*")
+    pairs = I.member_pairs(prep.members).select("a", "b").distinct()
+    inter = clip.intersection_area(pairs, prep.shapes, backend)
+    if what == "intersection":
+        return inter
+    area = lambda p: prep.shapes.select(F.col("sid").alias(p), F.col("area").alias(f"area_{p}"))
+    return inter.join(area("a"), "a").join(area("b"), "b").select("a", "b", G.union_area(F.col("area_a"), F.col("area_b"), F.col("inter")).alias("united"))
+
+
+def bench_geometry(prep: Prepared, backends=("arrow", "sql", "python")) -> dict[str, float]:
+    """Seconds of MBRs, shared and united areas by backend."""
+    prep.shapes.count()
+    return {f"{what} {b}": _seconds(geometry_by_backend(prep, what, b)) for what in ("mbr", "intersection", "union") for b in backends}
+
+
+def metric_averages(prep: Prepared, backend: str) -> DataFrame:
+    """The mean of each measure over all distinct member pairs, outside the search."""
+    pairs = I.member_pairs(prep.members).select("a", "b").distinct()
+    return I.pair_similarities(pairs, prep.shapes, backend=backend, breakdown=True).agg(*[F.avg(k).alias(k) for k in M.NAMES], F.count("*").alias("pairs"))
+
+
+def bench_metrics(prep: Prepared, backends=("arrow", "sql", "python")) -> dict[str, float]:
+    """Seconds of the means of all measures, by backend."""
+    return {f"averages {b}": _seconds(metric_averages(prep, b)) for b in backends}
 
 
 def bench_joins(prep: Prepared, nested: bool = False) -> dict[str, float]:
     """Seconds of the grid join by strategy, and of the join without an index."""
-    out = {s: _seconds(candidate_pairs(prep.sources, prep.targets, prep.grid, s)) for s in ("merge", "hash", "broadcast")}
+    out = {f"join {s}": _seconds(candidate_pairs(prep.sources, prep.targets, prep.grid, s)) for s in ("merge", "hash", "broadcast")}
     if nested:
-        out["nested loop"] = _seconds(candidate_pairs_nested_loop(prep.sources, prep.targets))
+        out["join nested loop"] = _seconds(candidate_pairs_nested_loop(prep.sources, prep.targets))
     return out
 
 

@@ -56,11 +56,14 @@ class Prepared:
 
     @cached_property
     def raw(self) -> DataFrame:
-        return stage(FT.raw_features(self.pairs, self.members, self.sources, self.targets, C.source_stats(self.pairs), C.target_stats(self.pairs), self.grid, self.closing), "features-raw")
+        """The features of every member pair; the search needs their means only."""
+        return stage(FT.raw_features(self.members, self.sources, self.targets, C.source_stats(self.pairs), C.target_stats(self.pairs), self.grid, self.closing), "features-raw")
 
     @cached_property
     def features(self) -> DataFrame:
-        return stage(FT.cluster_features(self.raw, self.n_features, self.scaling), "features")
+        s = FT.source_side(self.sources, C.source_stats(self.pairs), self.grid, self.closing)
+        t = FT.target_side(self.targets, C.target_stats(self.pairs), self.grid, self.closing)
+        return stage(FT.pooled_features(self.members, s, t, self.n_features, self.scaling), "features")
 
     def index_of(self, cids: DataFrame | None) -> DataFrame:
         return I.similarity_index(self.members, self.shapes, self.weights, cids, self.backend, unit=self.unit)
@@ -74,6 +77,19 @@ class Prepared:
         return stage(self.index_of(None), "all-si")
 
 
+@dataclass
+class Plan:
+    """What a search knows before it chooses a budget."""
+
+    tau: float
+    scheduler: Scheduler
+    simulation: B.Simulation
+    total: int
+    scored: DataFrame
+    known: DataFrame
+    kde: D.Kde
+
+
 @dataclass
 class SearchResult:
     result: DataFrame
@@ -98,9 +114,9 @@ class SimilarClusterSearch:
     """p: wanted top share; r_d: wanted recall; m: clusters per sample; n: labels per class.
 
     rule: `linear` scales the estimated recall, `curve` reads the depth off the sample's gain curve, `cut` sets
-    a score cut. roles: disjoint samples for the density and for the scheduler, or one shared. simulate_on:
-    sample on which the verification is simulated; the labelling stops early, so what is left of its sample is
-    not trained on.
+    a score cut. confidence: of the curve rule, that the wanted recall is reached (0.5: no margin over the sample's
+    own curve). roles: disjoint samples for the density and for the scheduler, or one shared. The verification is
+    simulated on the density's sample.
     """
 
     p: float = 0.1
@@ -109,6 +125,7 @@ class SimilarClusterSearch:
     n: int = 60
     algorithm: str = "logistic"
     rule: str = "curve"
+    confidence: float = 0.5
     roles: str = "disjoint"
     kernels: tuple[str, ...] = tuple(D.KERNELS)
     criterion: str = "loo"
@@ -118,43 +135,48 @@ class SimilarClusterSearch:
     prune: bool = False
     reuse: bool = True
 
-    def run(self, prep: Prepared) -> SearchResult | None:
-        """None if there are no clusters."""
+    def plan(self, prep: Prepared) -> Plan | None:
+        """All that comes before the budget: cut-off, trained scheduler, scores and simulation. None without clusters.
+
+        The indices of both samples are computed in one job; labelling takes as long a prefix of its sample as it needs.
+        """
         if not prep.total:
             return None
         density_ids, label_ids = S.draw_roles(prep.clusters, self.m, self.seed, self.roles)
-        density_ids = stage(density_ids, "sample-density")
-        if density_ids.isEmpty() or prep.total == 1:
-            label_ids = density_ids
-        density_si = stage(prep.index_of(density_ids).select("cid", "si"), "si-density")
-        kde = D.select_kde([r["si"] for r in density_si.collect()], self.kernels, criterion=self.criterion)
-        tau = D.kde_threshold(kde, self.p, boundary=self.boundary)
-
-        known = [density_si]
-
-        def index_of(cids: DataFrame) -> DataFrame:
-            got = stage(prep.index_of(cids).select("cid", "si"), "si-labels")
-            known.append(got)
-            return got
-
-        if self.roles == "shared" or label_ids.isEmpty():
-            labelled = L.training_prefix(L.label_clusters(density_si, tau), self.n, self.seed + 1)
+        if self.roles == "shared":
+            drawn = density_ids.withColumn("dense", F.lit(True))
         else:
-            labelled = L.collect_training(label_ids, index_of, tau, self.n, self.seed + 1)
-        labelled = stage(labelled.select("cid", "label"), "labels")
+            drawn = density_ids.withColumn("dense", F.lit(True)).unionByName(label_ids.withColumn("dense", F.lit(False)))
+        drawn = stage(drawn.select("cid", "place", "dense"), "sample")
+        known = stage(prep.index_of(drawn).select("cid", "si"), "si-samples")
+        sampled = known.join(F.broadcast(drawn), "cid")
+        density_si = sampled.filter("dense").select("cid", "si")
+        kde = D.select_kde([r["si"] for r in density_si.orderBy("cid").collect()], self.kernels, criterion=self.criterion)
+        tau = D.kde_threshold(kde, self.p, boundary=self.boundary)
+        own = sampled.filter("not dense")
+        if self.roles == "shared" or own.isEmpty():
+            own = sampled
+        labelled = stage(L.training_prefix(L.label_clusters(own.select("cid", "si"), tau), self.n, self.seed + 1).select("cid", "label"), "labels")
         scheduler = train_scheduler(prep.features.join(F.broadcast(labelled), "cid"), self.algorithm, prep.n_features, self.balance, self.seed + 2)
         scored = stage(score(scheduler, prep.features), "scored")
         sample = scored.join(F.broadcast(L.label_clusters(density_si, tau)), "cid")
         sim = B.simulate(sample.select("cid", "w", "label"), self.p)
-        if self.rule == "linear":
-            budget = B.budget_linear(sim, self.r_d, prep.total)
-        elif self.rule == "cut":
-            budget = B.budget_probability_cut(sim, self.r_d, scored)
-        else:
-            budget = B.budget_gain_curve(sim, self.r_d, prep.total)
-        memo = known[0]
-        for x in known[1:]:
-            memo = memo.unionByName(x)
-        memo = memo.dropDuplicates(["cid"])
-        result = V.verify(scored, budget, tau, prep.index_of, memo if self.reuse else None, prep.bounds_of if self.prune else None)
-        return SearchResult(result, tau, scheduler, sim, budget, prep.total, scored, memo, kde, {"p": self.p, "r_d": self.r_d, "rule": self.rule, "m": self.m, "n": self.n})
+        return Plan(tau, scheduler, sim, prep.total, scored, known, kde)
+
+    def budget(self, plan: Plan, r_d: float | None = None, rule: str | None = None) -> int:
+        """Clusters to verify for a wanted recall."""
+        r_d, rule = r_d or self.r_d, rule or self.rule
+        if rule == "linear":
+            return B.budget_linear(plan.simulation, r_d, plan.total)
+        if rule == "cut":
+            return B.budget_probability_cut(plan.simulation, r_d, plan.scored)
+        return B.budget_gain_curve(plan.simulation, r_d, plan.total, B.margin(plan.simulation, r_d, self.confidence))
+
+    def run(self, prep: Prepared) -> SearchResult | None:
+        """None if there are no clusters."""
+        plan = self.plan(prep)
+        if plan is None:
+            return None
+        budget = self.budget(plan)
+        result = V.verify(plan.scored, budget, plan.tau, prep.index_of, plan.known if self.reuse else None, prep.bounds_of if self.prune else None)
+        return SearchResult(result, plan.tau, plan.scheduler, plan.simulation, budget, plan.total, plan.scored, plan.known, plan.kde, {"p": self.p, "r_d": self.r_d, "rule": self.rule, "m": self.m, "n": self.n})

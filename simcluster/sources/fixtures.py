@@ -64,6 +64,15 @@ def lift_sources(spark: SparkSession, sf_dir: str, name: str = "d1", family: str
     return rows.select("sid", G.geometry(F.lit("polygon"), xs, ys).alias("geom")).withColumn("mbr", G.mbr(F.col("geom")))
 
 
+def packing(rows: DataFrame) -> tuple[int, int]:
+    """Factors that pack the four keys of a line item into one long without collisions; an error if none can."""
+    o, p, s = rows.agg(F.max("l_orderkey"), F.max("l_partkey"), F.max("l_suppkey")).head()
+    step, width = max(1_000_000_000, 8 * (o or 0) + 8), max(1001, (s or 0) + 1)
+    if step * ((p or 0) * width + width) >= 1 << 63:
+        raise ValueError("the keys of line items do not fit one long; number the items and lift those numbers")
+    return step, width
+
+
 def lift_targets(spark: SparkSession, sf_dir: str, name: str = "d1") -> DataFrame:
     """tid, geom and mbr of a workload's targets; every second kind is an open line."""
     work = WORKLOADS[name]
@@ -75,7 +84,8 @@ def lift_targets(spark: SparkSession, sf_dir: str, name: str = "d1") -> DataFram
         keys = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"]
         rows = load_table(spark, sf_dir, "lineitem").groupBy(*keys).agg(F.max("l_quantity").alias("q"), F.max("l_linestatus").alias("status"))
         ok, ln, pk, sk = (F.col(c).cast("long") for c in keys)
-        rows = rows.select((ok * 8 + ln + 1_000_000_000 * (pk * 1001 + sk)).alias("tid"), ((ok * 7919 + pk * 104729 + ln * 613) % w).alias("cx"), ((ok * 6151 + sk * 3571 + ln * 977) % w).alias("cy"), (2 * F.floor("q").cast("long")).alias("h"), (F.col("status") == "O").alias("line"))
+        step, width = packing(rows)
+        rows = rows.select((ok * 8 + ln + F.lit(step) * (pk * width + sk)).alias("tid"), ((ok * 7919 + pk * 104729 + ln * 613) % w).alias("cx"), ((ok * 6151 + sk * 3571 + ln * 977) % w).alias("cy"), (2 * F.floor("q").cast("long")).alias("h"), (F.col("status") == "O").alias("line"))
     rows = rows.withColumn("n", (3 + F.col("tid") % 10).cast("int"))
     xs, ys = _ring(F.col("tid"), F.col("cx"), F.col("cy"), F.col("h"), F.col("n"))
     return rows.select("tid", G.geometry(F.when(F.col("line"), "linestring").otherwise("polygon"), xs, ys).alias("geom")).withColumn("mbr", G.mbr(F.col("geom")))

@@ -15,15 +15,14 @@ SMALL_ROWS = 200_000
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; where unset, a temporary folder (local master) or one below the warehouse."""
+    """spark.checkpoint.dir; where unset, a temporary folder under a local master only."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not root:
-        if spark.sparkContext.master.startswith("local["):
-            root = tempfile.mkdtemp(prefix="simcluster-")
-            atexit.register(shutil.rmtree, root, True)
-            root = f"file://{root}"
-        else:
-            root = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        root = tempfile.mkdtemp(prefix="simcluster-")
+        atexit.register(shutil.rmtree, root, True)
+        root = f"file://{root}"
         spark.conf.set("spark.checkpoint.dir", root)
     return root.rstrip("/")
 

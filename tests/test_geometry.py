@@ -141,3 +141,33 @@ def test_weights_are_checked():
         M.check_weights({"jaccard": 0.5})
     with pytest.raises(ValueError):
         M.check_weights({"nothing": 1.0})
+
+
+def test_shapes_by_batches_equal_expressions(spark, d2):
+    from simcluster.operators import simindex as I
+
+    odd = [
+        ("polygon", [("shell", [0.0, 4, 4, 0, 0], [0.0, 0, 4, 4, 0]), ("hole", [1.0, 2, 2, 1], [1.0, 1, 2, 2])]),
+        ("polygon", [("shell", [0.0, 0, 4, 4], [0.0, 4, 4, 0])]), ("linestring", [("path", [0.0, 1, 5], [0.0, 2, 2])]),
+        ("linestring", [("path", [1.0, 1], [2.0, 2])]), ("point", [("path", [3.0], [4.0])]), ("polygon", []),
+        ("polygon", [("shell", [0.0, 1, 2], [0.0, 1, 2])]), ("multipolygon", [("shell", [0.0, 1, 1], [0.0, 0, 1]), ("shell", [5.0, 5, 7], [5.0, 7, 7])]),
+    ]
+    rows = [(i, (kind, [tuple(p) for p in parts])) for i, (kind, parts) in enumerate(odd)]
+    few = spark.createDataFrame(rows, f"sid long, geom {G.GEOM}")
+    for table, kw in ((few, {}), (few, {"centered": False, "sampling": "vertices", "scale_free": False, "elongation": True}), (d2.sources.select("sid", "geom"), {}), (d2.targets.select(F.col("tid").alias("sid"), "geom"), {"harmonics": 4})):
+        got = {r["sid"]: r for r in I.describe_shapes(table, **kw).collect()}
+        want = {r["sid"]: r for r in I.describe_shapes_by_expressions(table.filter(F.size("geom.parts") > 0), **kw).collect()}
+        assert want.keys() <= got.keys()
+        for k, w in want.items():
+            for c in w.asDict():
+                assert got[k][c] == (w[c] if w[c] is None else pytest.approx(w[c], abs=1e-9)), (k, c)
+    empty = {r["sid"]: r for r in I.describe_shapes(few).collect()}[5]
+    assert empty["n"] == 0 and empty["area"] == 0 and empty["aspect"] is None and empty["ex1"] == []
+
+
+def test_simplify(spark):
+    line = ("linestring", [("path", [0.0, 1, 2, 3, 4], [0.0, 0.01, -0.01, 5, 0])])
+    ring = ("polygon", [("shell", [0.0, 2, 4, 4, 2, 0], [0.0, 0.001, 0, 4, 4.001, 4])])
+    rows = spark.createDataFrame([(1, line), (2, ring), (3, None)], f"id long, geom {G.GEOM}").select("id", X.simplify(F.col("geom"), 0.1).alias("g"))
+    got = {r["id"]: r["g"] for r in rows.collect()}
+    assert got[1]["parts"][0]["xs"] == [0, 2, 3, 4] and sorted(got[2]["parts"][0]["xs"]) == [0, 0, 4, 4] and got[3]["parts"] is None

@@ -139,11 +139,82 @@ def test_verification_is_precise_and_complete(d2):
 
 
 def test_search_reaches_recall_below_random_cost(d2):
-    out = SimilarClusterSearch(p=0.3, r_d=0.9, m=150, n=25).run(d2)
-    got = E.report(d2, out, "d2")
-    assert got.precision == 1.0 and got.recall >= 0.75 and got.coverage < 0.9
+    search = SimilarClusterSearch(p=0.3, r_d=0.9, m=150, n=25)
+    plan = search.plan(d2)
+    got = {r.rule: r for r in E.reports(d2, search, plan, "d2", (0.9,), ("linear", "curve", "cut"))}
+    assert got["curve"].recall >= 0.75 and got["curve"].coverage < 0.9
+    out = search.run(d2)
+    truth = XB.exhaustive_threshold(d2.all_si, out.tau)
+    true = E.recall_precision(out.result, truth)
+    assert true["precision"] == 1.0 and true["recall"] == got["curve"].recall and out.budget == got["curve"].budget
     plain = XB.verified_by_order(XB.random_order(d2.clusters), d2.all_si, out.budget, out.tau)
-    assert E.recall_precision(plain, XB.exhaustive_threshold(d2.all_si, out.tau))["recall"] < got.recall
+    assert E.recall_precision(plain, truth)["recall"] < true["recall"]
+    error = E.recall_error(plan, d2.all_si, 0.3)
+    first = V.select_frontier(plan.scored, math.ceil(0.3 * 454))
+    assert error["true"] == E.recall_precision(first, truth)["recall"] and error["error"] == error["estimate"] - error["true"]
+
+
+def test_a_margin_only_adds_to_the_budget():
+    sim = B.Simulation(500, 100, 50, 40, tuple((3 * i, i, 1 - i / 200) for i in range(1, 101)))
+    plain = B.budget_gain_curve(sim, 0.9, 500)
+    safe = B.budget_gain_curve(sim, 0.9, 500, B.margin(sim, 0.9, 0.95))
+    assert B.margin(sim, 0.9, 0.5) == 0 and plain == 270 and safe == 3 * (90 + 5)
+    assert B.margin(sim, 0.99, 0.999) <= 1
+
+
+def test_places_and_largest_against_a_sort(spark):
+    import random
+
+    rows = [(i, random.Random(i).choice([0.1, 0.2, 0.2 + 1e-13, 0.3, i / 1000])) for i in range(3000)]
+    df = spark.createDataFrame(rows, "cid long, v double").repartition(7)
+    order = [c for c, v in sorted(rows, key=lambda r: (-round(r[1], 9), r[0]))]
+    placed = {r["cid"]: r["place"] for r in V.places(df, "v").collect()}
+    assert [c for c, _ in sorted(placed.items(), key=lambda x: x[1])] == order and sorted(placed.values()) == list(range(1, 3001))
+    for k in (0, 1, 700, 2999, 5000):
+        for top_k in (10_000, 50):
+            assert {r["cid"] for r in V.largest(df, "v", k, top_k).collect()} == set(order[:k])
+    for q in (0.0, 0.1, 0.5, 0.987, 1.0):
+        assert D.exact_quantile(df, "v", q, band_rows=10) == pytest.approx(float(np.quantile([v for _, v in rows], q)), abs=1e-12)
+
+
+def test_pairs_of_large_clusters_and_samples(d2):
+    want = {tuple(r) for r in I.member_pairs(d2.members).select("cid", "a", "b").collect()}
+    assert len(want) == 29_218
+    got = [tuple(r) for r in I.member_pairs(d2.members, largest=8).select("cid", "a", "b").collect()]
+    assert len(got) == len(want) and set(got) == want
+    few = [tuple(r) for r in I.sampled_pairs(d2.members, 30).select("cid", "a", "b").collect()]
+    sizes = {r["cid"]: r["size"] for r in d2.clusters.collect()}
+    assert len(few) == len(set(few)) and set(few) <= want
+    for cid, size in sizes.items():
+        n = sum(1 for x in few if x[0] == cid)
+        assert n == size * (size - 1) // 2 if size * (size - 1) <= 60 else 10 <= n <= 30 + size
+    nested = C.nested_clusters(d2.members, 10).collect()
+    assert all(len(r["members"]) <= r["size"] for r in nested) and {(r["cid"], s) for r in nested for s in r["members"]} == {(r["cid"], r["sid"]) for r in d2.members.collect()}
+
+
+def test_boxes_of_many_tiles_go_to_a_coarse_grid(d2):
+    fine = grid_granularity(d2.sources, factor=0.02)
+    rows = candidate_pairs(d2.sources, d2.targets, fine).select("tid", "sid", "common_tiles", "mbr_hit").collect()
+    i = lambda v, d: math.floor(v * d)
+    spans = lambda df, key: {r[key]: tuple(i(r["mbr"][k], fine.dx if k[0] == "x" else fine.dy) for k in ("x1", "y1", "x2", "y2")) for r in df.select(key, "mbr").collect()}
+    s, t = spans(d2.sources, "sid"), spans(d2.targets, "tid")
+    assert max(max(b[2] - b[0], b[3] - b[1]) for b in s.values()) > 64
+    want = {}
+    for a, p in t.items():
+        for b, q in s.items():
+            w, h = min(p[2], q[2]) - max(p[0], q[0]) + 1, min(p[3], q[3]) - max(p[1], q[1]) + 1
+            if w > 0 and h > 0:
+                want[a, b] = w * h
+    assert {(r["tid"], r["sid"]): r["common_tiles"] for r in rows} == want and len(rows) == len(want)
+    assert sum(r["mbr_hit"] for r in rows) == 4659
+
+
+def test_pooled_features_equal_raw_ones(d2):
+    for scaling in ("both", "pair", "cluster", "none"):
+        want = {r["cid"]: tuple(r)[1:] for r in FT.cluster_features(d2.raw, scaling=scaling).select("cid", *FT.NAMES).collect()}
+        s, t = FT.source_side(d2.sources, C.source_stats(d2.pairs), d2.grid), FT.target_side(d2.targets, C.target_stats(d2.pairs), d2.grid)
+        got = {r["cid"]: tuple(r)[1:] for r in FT.pooled_features(d2.members, s, t, scaling=scaling).select("cid", *FT.NAMES).collect()}
+        assert got.keys() == want.keys() and all(np.allclose(got[k], want[k]) for k in got)
 
 
 def test_empty_and_single(spark, d2):

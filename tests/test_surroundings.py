@@ -41,7 +41,7 @@ def test_interval_query_joins_every_order(spark, sf_dir):
     base, hour = 1_704_067_200_000_000, 3_600_000_000
     starts = [(r["o_orderkey"], base + r["o_orderkey"] % 720 * hour) for r in spark.read.parquet(f"{sf_dir}/orders.parquet").collect()]
     want = sorted((e, k) for e, t in events for k, s in starts if s <= t < s + 5 * hour)
-    assert sorted(tuple(r) for r in QUERIES["interval_events_all"](spark, sf_dir).collect()) == want and any(k % 50 for _, k in want)
+    assert sorted(tuple(r) for r in QUERIES["interval_events"](spark, sf_dir).collect()) == want and any(k % 50 for _, k in want)
 
 
 def test_asof_join(spark):
@@ -85,6 +85,35 @@ def test_stream_assignment_equals_batch(spark, d2, event_folder):
     assert spark.table("assigned").exceptAll(batch).isEmpty() and spark.table("assigned").count() == batch.count()
 
 
+def test_streams_into_files(spark, event_folder):
+    folder, events = event_folder
+    read = lambda: assign.read_events(spark, folder)
+    daily = assign.run_to_files(assign.windowed_counts(read(), "1 day"), "complete")
+    assert daily.agg(F.sum("n")).head()[0] == events.count()
+    pairs = assign.run_to_files(assign.join_streams(read(), read(), 1800))
+    rows = [(r["event_id"], r["user_id"], r["ts"]) for r in events.collect()]
+    want = {(a[0], b[0]) for a in rows for b in rows if a[1] == b[1] and 0 < (b[2] - a[2]).total_seconds() <= 1800}
+    assert {tuple(r) for r in pairs.collect()} == want
+    sessions = assign.run_to_files(assign.session_counts(read(), "1 hour", "0 seconds"))
+    assert sessions.agg(F.sum("n")).head()[0] <= events.count() and sessions.count() > 0
+
+
+def test_lines_of_events_as_targets(spark, event_folder):
+    folder, _ = event_folder
+    lines = assign.run_to_files(assign.event_lines(assign.read_events(spark, folder), "0 seconds"))
+    assert lines.columns == ["tid", "geom", "mbr"] and lines.count() > 0
+
+
+def test_keys_that_do_not_fit_are_refused(spark):
+    from simcluster.sources.fixtures import packing
+
+    cols = "l_orderkey long, l_partkey long, l_suppkey long"
+    assert packing(spark.createDataFrame([(600_000, 20_000, 1000)], cols)) == (1_000_000_000, 1001)
+    assert packing(spark.createDataFrame([(6_000_000, 200_000, 10_000)], cols)) == (1_000_000_000, 10_001)
+    with pytest.raises(ValueError, match="do not fit"):
+        packing(spark.createDataFrame([(6_000_000_000, 200_000_000, 10_000_000)], cols))
+
+
 def test_stream_windows_and_state(spark, event_folder):
     folder, events = event_folder
     assign.run_to_end(assign.windowed_counts(assign.read_events(spark, folder), "1 day"), "daily", "complete")

@@ -45,9 +45,9 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
 
 
 def narrow(df: DataFrame, name: str) -> DataFrame:
-    """materialize for tables of a few numbers a row: a quarter of the shuffle's files, or four per core, without a shuffle."""
+    """materialize for tables of a few numbers a row: four files per core, or a sixteenth of the shuffle partitions if more, without a shuffle."""
     spark = df.sparkSession
-    return materialize(df.coalesce(max(4 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 4)), name)
+    return materialize(df.coalesce(max(4 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 16)), name)
 
 
 def small_side(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:

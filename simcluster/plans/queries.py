@@ -270,9 +270,9 @@ for _relation, _test in _RELATIONS.items():
     query(f"candidates_{_relation}", f"SELECT tid, sid FROM (SELECT tid, sid, greatest(0, sum(wedge)) AS inter FROM crossed GROUP BY tid, sid) JOIN smeas USING (sid) JOIN (SELECT tid, sum(x1 * y2 - x2 * y1) / 2 AS tarea FROM polyedge GROUP BY tid) USING (tid) WHERE {_test}", "d2", polyedge=_LINES, crossed=_CROSSED)(partial(_related, relation=_relation))
 
 
-@query("region_filter", "SELECT sid FROM sbox WHERE x1 <= 6.0 AND x2 >= 2.0 AND y1 <= 9.0 AND y2 >= 3.0", "d2")
+@query("region_filter", "SELECT sid FROM sbox WHERE x1 <= 1.0 AND x2 >= 0.5 AND y1 <= 4.0 AND y2 >= 1.0", "d2")
 def _(spark, d):
-    return within_box(lift_sources(spark, d, "d2"), 2.0, 3.0, 6.0, 9.0).select("sid")
+    return within_box(lift_sources(spark, d, "d2"), 0.5, 1.0, 1.0, 4.0).select("sid")
 
 
 @query("bucketed_join", "SELECT cid, count(*) AS n FROM members JOIN (SELECT cid FROM sample) USING (cid) GROUP BY cid", sample_of="SELECT 1 FROM sample")

@@ -165,14 +165,15 @@ def _nested_index(members: DataFrame, shapes: DataFrame, weights: dict[str, floa
 def sampled_pairs(members: DataFrame, max_pairs: int, cids: DataFrame | None = None, seed: int = 5) -> DataFrame:
     """cid, a, b: all pairs of clusters that have max_pairs at most, and about so many seeded ones of larger clusters.
 
-    The other pairs are never made: each member of a large cluster meets members at a few seeded distances in the list.
+    The other pairs are never made: each member of a large cluster meets members at a few distances in a seeded order.
     """
     sized = members.select("cid", "sid").join(cids.select("cid"), "cid", "left_semi") if cids is not None else members.select("cid", "sid")
-    placed = sized.select("cid", "sid", F.row_number().over(Window.partitionBy("cid").orderBy("sid")).alias("at"), F.count("*").over(Window.partitionBy("cid")).cast("int").alias("size"))
+    placed = sized.select("cid", "sid", F.row_number().over(Window.partitionBy("cid").orderBy(F.xxhash64("sid", F.lit(seed)), "sid")).alias("at"), F.count("*").over(Window.partitionBy("cid")).cast("int").alias("size"))
     whole = F.col("size") * (F.col("size") - 1) <= 2 * max_pairs
-    each = F.greatest(F.lit(1), F.ceil(F.lit(max_pairs) / F.col("size"))).cast("int")
-    picks = F.transform(F.sequence(F.lit(1), each), lambda i: 1 + F.pmod(F.xxhash64("cid", i, F.lit(seed)), F.col("size") - 1).cast("int"))
-    large = placed.filter(~whole).withColumn("step", F.explode(F.array_distinct(picks)))
+    half = F.floor(F.col("size") / 2).cast("int")  # farther distances are those from the other side
+    each = F.least(half, F.ceil(F.lit(max_pairs) / F.col("size")).cast("int"))
+    picks = F.transform(F.sequence(F.lit(1), each), lambda i: 1 + F.pmod(F.xxhash64("cid", F.lit(seed)) + i, half).cast("int"))
+    large = placed.filter(~whole).withColumn("step", F.explode(picks))
     other = placed.select(F.col("cid"), F.col("sid").alias("other"), F.col("at").alias("there"))
     met = large.withColumn("there", F.pmod(F.col("at") - 1 + F.col("step"), F.col("size")) + 1).join(other, ["cid", "there"])
     some = met.select("cid", F.least("sid", "other").alias("a"), F.greatest("sid", "other").alias("b")).distinct()

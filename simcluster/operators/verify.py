@@ -33,7 +33,7 @@ def largest(rows: DataFrame, column: str, k: int, top_k: int = TOP_K) -> DataFra
     if k >= total:
         return rows
     share, slack = k / total, 0.002
-    low, high = rows.select(ranked(column).alias("v")).agg(F.percentile_approx("v", [max(0.0, 1 - share - slack), min(1.0, 1 - share + slack)], 10_000)).head()[0]
+    low, high = rows.select(ranked(column).alias("_value")).agg(F.percentile_approx("_value", [max(0.0, 1 - share - slack), min(1.0, 1 - share + slack)], 10_000)).head()[0]
     above = rows.filter(ranked(column) > F.lit(high))
     missing = k - above.count()
     band = rows.filter((ranked(column) >= F.lit(low)) & (ranked(column) <= F.lit(high)))
@@ -95,13 +95,13 @@ def places(rows: DataFrame, column: str) -> DataFrame:
 
     The only thing that one task sees whole is the list of the ranges' sizes.
     """
-    parts = rows.select("*", ranked(column).alias("v")).repartitionByRange(F.desc("v"), "cid").withColumn("part", F.spark_partition_id())
+    parts = rows.select("*", ranked(column).alias("_value")).repartitionByRange(F.desc("_value"), "cid").withColumn("_part", F.spark_partition_id())
     parts = stage(parts, "ranges")
-    sizes = parts.groupBy("part").agg(F.count("*").alias("n"))  # ranges are numbered in their order
-    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    starts = sizes.select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
-    inside = F.row_number().over(Window.partitionBy("part").orderBy(F.desc("v"), "cid"))
-    return parts.withColumn("at", inside).join(F.broadcast(starts), "part").select(*rows.columns, (F.col("before") + F.col("at")).alias("place"))
+    sizes = parts.groupBy("_part").agg(F.count("*").alias("n"))  # ranges are numbered in their order
+    before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sizes.select("_part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("_before"))
+    inside = F.row_number().over(Window.partitionBy("_part").orderBy(F.desc("_value"), "cid"))
+    return parts.withColumn("_at", inside).join(F.broadcast(starts), "_part").select(*rows.columns, (F.col("_before") + F.col("_at")).alias("place"))
 
 
 def rank_result(result: DataFrame) -> DataFrame:

@@ -152,7 +152,7 @@ def test_shapes_by_batches_equal_expressions(spark, d2):
         ("linestring", [("path", [1.0, 1], [2.0, 2])]), ("point", [("path", [3.0], [4.0])]), ("polygon", []),
         ("polygon", [("shell", [0.0, 1, 2], [0.0, 1, 2])]), ("multipolygon", [("shell", [0.0, 1, 1], [0.0, 0, 1]), ("shell", [5.0, 5, 7], [5.0, 7, 7])]),
     ]
-    rows = [(i, (kind, [tuple(p) for p in parts])) for i, (kind, parts) in enumerate(odd)]
+    rows = [(i, (kind, [(role, [float(v) for v in xs], [float(v) for v in ys]) for role, xs, ys in parts])) for i, (kind, parts) in enumerate(odd)]
     few = spark.createDataFrame(rows, f"sid long, geom {G.GEOM}")
     for table, kw in ((few, {}), (few, {"centered": False, "sampling": "vertices", "scale_free": False, "elongation": True}), (d2.sources.select("sid", "geom"), {}), (d2.targets.select(F.col("tid").alias("sid"), "geom"), {"harmonics": 4})):
         got = {r["sid"]: r for r in I.describe_shapes(table, **kw).collect()}
@@ -168,6 +168,7 @@ def test_shapes_by_batches_equal_expressions(spark, d2):
 def test_simplify(spark):
     line = ("linestring", [("path", [0.0, 1, 2, 3, 4], [0.0, 0.01, -0.01, 5, 0])])
     ring = ("polygon", [("shell", [0.0, 2, 4, 4, 2, 0], [0.0, 0.001, 0, 4, 4.001, 4])])
-    rows = spark.createDataFrame([(1, line), (2, ring), (3, None)], f"id long, geom {G.GEOM}").select("id", X.simplify(F.col("geom"), 0.1).alias("g"))
+    floats = lambda g: (g[0], [(r, [float(v) for v in xs], [float(v) for v in ys]) for r, xs, ys in g[1]])
+    rows = spark.createDataFrame([(1, floats(line)), (2, floats(ring)), (3, None)], f"id long, geom {G.GEOM}").select("id", X.simplify(F.col("geom"), 0.1).alias("g"))
     got = {r["id"]: r["g"] for r in rows.collect()}
     assert got[1]["parts"][0]["xs"] == [0, 2, 3, 4] and sorted(got[2]["parts"][0]["xs"]) == [0, 0, 4, 4] and got[3]["parts"] is None

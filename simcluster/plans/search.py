@@ -125,7 +125,7 @@ class SimilarClusterSearch:
     n: int = 60
     algorithm: str = "logistic"
     rule: str = "curve"
-    confidence: float = 0.5
+    confidence: float = 0.9
     roles: str = "disjoint"
     kernels: tuple[str, ...] = tuple(D.KERNELS)
     criterion: str = "loo"

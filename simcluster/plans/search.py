@@ -149,18 +149,20 @@ class SimilarClusterSearch:
             drawn = density_ids.withColumn("dense", F.lit(True)).unionByName(label_ids.withColumn("dense", F.lit(False)))
         drawn = stage(drawn.select("cid", "place", "dense"), "sample")
         known = stage(prep.index_of(drawn).select("cid", "si"), "si-samples")
-        sampled = known.join(F.broadcast(drawn), "cid")
-        density_si = sampled.filter("dense").select("cid", "si")
-        kde = D.select_kde([r["si"] for r in density_si.orderBy("cid").collect()], self.kernels, criterion=self.criterion)
+        # the samples' features lie in one partition from here on, so that training and simulation are small local jobs
+        sampled = prep.features.join(F.broadcast(drawn), "cid").join(F.broadcast(known), "cid")
+        sampled = stage(sampled.repartition(1), "sample-features")
+        dense = sampled.filter("dense")
+        kde = D.select_kde([r["si"] for r in dense.select("cid", "si").orderBy("cid").collect()], self.kernels, criterion=self.criterion)
         tau = D.kde_threshold(kde, self.p, boundary=self.boundary)
         own = sampled.filter("not dense")
         if self.roles == "shared" or own.isEmpty():
             own = sampled
-        labelled = stage(L.training_prefix(L.label_clusters(own.select("cid", "si"), tau), self.n, self.seed + 1).select("cid", "label"), "labels")
-        scheduler = train_scheduler(prep.features.join(F.broadcast(labelled), "cid"), self.algorithm, prep.n_features, self.balance, self.seed + 2)
+        labelled = L.training_prefix(L.label_clusters(own, tau), self.n, self.seed + 1)
+        scheduler = train_scheduler(labelled, self.algorithm, prep.n_features, self.balance, self.seed + 2)
+        labels = L.label_clusters(dense.select("cid", "si"), tau)
+        sim = B.simulate(score(scheduler, dense).join(labels, "cid").select("cid", "w", "label"), self.p)
         scored = stage(score(scheduler, prep.features), "scored")
-        sample = scored.join(F.broadcast(L.label_clusters(density_si, tau)), "cid")
-        sim = B.simulate(sample.select("cid", "w", "label"), self.p)
         return Plan(tau, scheduler, sim, prep.total, scored, known, kde)
 
     def budget(self, plan: Plan, r_d: float | None = None, rule: str | None = None) -> int:

@@ -14,8 +14,8 @@ global order, rare shingles first; so all links lie inside the connected parts o
 shingles, each shingle a star around one document. This reads entries, never pairs. Frequencies cover all
 documents; what workers hold of them are bitmaps, whose false positives change the order only, never the result.
 
-Blocks up to `REGION_SETS` sets are divided inside one task. Larger ones are divided by all tasks in rounds:
-members in chunks meet the region's pivots, a dozen or so whatever its size. Members farther than `CORE` from every
+Blocks up to `REGION_SETS` sets are divided inside one task. Larger ones are divided by all tasks in rounds: first by
+the sizes of sets, since unrelated texts that rare shingles chain to one block differ in those; then members in chunks meet the region's pivots, a dozen or so whatever its size. Members farther than `CORE` from every
 pivot form a cell of their own, so that distance 1 is replicated nowhere. A region that does not shrink (its members
 are all about as far from each other) is compared in blocks of which each two meet in one task; only there the work
 grows with the square of the region, never the rows that are made.
@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep_rows, materialize, maybe_among, narrow, small_side
+from .common import drop_shuffles, keep_rows, materialize, maybe_among, narrow, release, small_side
 
 SHINGLE = 4
 PERCENT = 85
@@ -291,7 +291,7 @@ def fetch_sets(rows: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
 
 def components(links: DataFrame) -> DataFrame:
     """node and root (smallest node reachable) of nodes with links (a, b): large and small stars until only stars are left."""
-    edges = links.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
+    edges, before = links.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), []
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
@@ -299,6 +299,8 @@ def components(links: DataFrame) -> DataFrame:
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").unionByName(least.select("u", F.col("m").alias("v")))
         edges = narrow(small.distinct(), "links")
+        release(*before)
+        before = [edges]
         several = edges.groupBy("u").agg(F.count("*").alias("n")).filter("n > 1").select("u")
         deeper = edges.select("u").join(edges.select(F.col("v").alias("u")).distinct(), "u", "left_semi")
         if several.unionByName(deeper).isEmpty():  # every node has one edge, to a node that has none
@@ -446,34 +448,32 @@ def divide_large(todo: DataFrame, percent: int, depth: int, chunk_sets: int) ->
     return cells.select(F.xxhash64("region", "cell", F.lit(depth)).alias("region"), "node", "packed", "guest", "parent")
 
 
+def divide_by_size(todo: DataFrame, percent: int, depth: int) -> DataFrame:
+    """The first round for regions too large for a task: cells of sets of about one size.
+
+    Linked sets differ by a factor of 100 / percent at most, so by one class of sizes at most: a cell has one class for
+    members and the next larger one for guests. Sets have two rows at most, whatever the size of the region.
+    """
+    step = math.log(100 / percent) * (1 + 1e-9)
+    kind = F.floor(F.log(F.length("packed") / 8) / F.lit(step)).cast("long")
+    placed = todo.withColumn("kind", kind)
+    held = placed.select("region", F.col("kind").alias("cell")).distinct()
+    guests = placed.withColumns({"cell": F.col("kind") - 1, "guest": F.col("guest").bitwiseOR(F.lit(1 << depth))}).join(small_side(held), ["region", "cell"], "left_semi")
+    cells = placed.withColumn("cell", F.col("kind")).unionByName(guests)
+    return cells.select(F.xxhash64("region", "cell", F.lit("size")).alias("region"), "node", "packed", "guest", F.lit(None).cast("long").alias("parent"))
+
+
 def sized(todo: DataFrame) -> DataFrame:
     """Regions with their number of sets (c), shingles (t) and their parent's sets."""
     return todo.groupBy("region").agg(F.count("*").alias("c"), F.sum(F.length("packed") / 8).alias("t"), F.max("parent").alias("parent"))
 
 
 def link_blocks(blocks: DataFrame, percent: int, region_sets: int = REGION_SETS, chunk_sets: int = CHUNK_SETS) -> tuple[DataFrame, bool]:
-    """node, root (a node of the same component) and n_links (to be summed) from blocks (region, node, packed).
+    """node, root (a node of the same component) and n_links (to be summed) from blocks (region, node, packed), written.
 
-    And whether every region was joined inside a task, so that roots are final.
+    And whether every region was joined inside a task, so that roots are final. Each round's sets are joined and deleted
+    before the next round's are joined: of sets there are two rounds' at most, however many rounds there are.
     """
-    todo, depth, joins = blocks.select("region", "node", "packed", F.lit(0).cast("long").alias("guest"), F.lit(None).cast("long").alias("parent")), 0, []
-    while True:
-        sizes = narrow(sized(todo), "ngram-sizes")
-        large = (F.col("c") > region_sets) | (F.col("t") > REGION_TOKENS)
-        shrinks = (F.col("c") > 2) & (F.col("parent").isNull() | (F.col("c") <= 0.8 * F.col("parent"))) & F.lit(depth < 40)
-        apart = sizes.filter(large)
-        if apart.isEmpty():
-            joins.append(_cells(todo, sizes, F.lit(1)))
-            break
-        joins.append(_cells(todo, sizes.filter(~large), F.lit(1)))
-        joins.append(_cells(todo, apart.filter(~shrinks), F.ceil(F.greatest(F.col("c") / chunk_sets, F.col("t") / CHUNK_TOKENS)).cast("int")))
-        more = apart.filter(shrinks)
-        if more.isEmpty():
-            break
-        todo = materialize(divide_large(todo.drop("parent").join(small_side(more.drop("parent")), "region"), percent, depth, chunk_sets), "ngram-cells")
-        depth += 1
-    cells = reduce(DataFrame.unionByName, joins)
-
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         nodes, roots, counts = [], [], []
         for (_, i, j), part in pdf.groupby(["region", "i", "j"], sort=False):
@@ -497,7 +497,31 @@ def link_blocks(blocks: DataFrame, percent: int, region_sets: int = REGION_SETS,
             counts.append(got.links[some])
         return pd.DataFrame({"node": np.concatenate(nodes), "root": np.concatenate(roots), "n_links": np.concatenate(counts)})
 
-    return cells.groupBy("cell").applyInPandas(work, "node long, root long, n_links long"), len(joins) == 1
+    def join(cells: DataFrame) -> DataFrame:
+        return materialize(cells.groupBy("cell").applyInPandas(work, "node long, root long, n_links long"), "ngram-links")
+
+    todo, depth, found = blocks.select("region", "node", "packed", F.lit(0).cast("long").alias("guest"), F.lit(None).cast("long").alias("parent")), 0, []
+    while True:
+        sizes = narrow(sized(todo), "ngram-sizes")
+        large = (F.col("c") > region_sets) | (F.col("t") > REGION_TOKENS)
+        shrinks = (F.col("c") > 2) & (F.col("parent").isNull() | (F.col("c") <= 0.8 * F.col("parent"))) & F.lit(depth < 40)
+        apart = sizes.filter(large)
+        if apart.isEmpty():
+            found.append(join(_cells(todo, sizes, F.lit(1))))
+            break
+        parts = F.ceil(F.greatest(F.col("c") / (4 * chunk_sets), F.col("t") / (4 * CHUNK_TOKENS))).cast("int")
+        found.append(join(_cells(todo, sizes.filter(~large), F.lit(1)).unionByName(_cells(todo, apart.filter(~shrinks), parts))))
+        more = apart.filter(shrinks)
+        if more.isEmpty():
+            break
+        own = todo.drop("parent").join(small_side(more.drop("parent")), "region")
+        before, todo = todo, materialize(divide_large(own, percent, depth, chunk_sets) if depth or not 0 < percent < 100 else divide_by_size(own, percent, depth), "ngram-cells")
+        if depth:
+            release(before)
+        depth += 1
+    if depth:
+        release(todo)
+    return reduce(DataFrame.unionByName, found), len(found) == 1
 
 
 def _cells(todo: DataFrame, sizes: DataFrame, blocks: Column) -> DataFrame:
@@ -514,7 +538,9 @@ def grouped(docs: DataFrame, id_col: str, text_col: str, shingle: int, percent:
     """id, mark (hash of the text), n_shingles, component (smallest id), group (null: alone) and n_links of every row."""
     id_type = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), F.xxhash64(F.col(text_col).cast("string")).alias("mark"), F.col(text_col).cast("string").alias("text"))
-    meta = materialize(describe(rows, count_shingles(rows, shingle), shingle, percent, id_type), "ngram-meta")
+    freq = count_shingles(rows, shingle)
+    drop_shuffles(docs.sparkSession)
+    meta = materialize(describe(rows, freq, shingle, percent, id_type), "ngram-meta")
     classes = meta.filter("n > 0").groupBy("digest", "digest2").agg(F.min("id").alias("id"), F.first("regions").alias("regions"))
     classes = narrow(classes.withColumn("node", F.monotonically_increasing_id()), "ngram-classes")
     entries = classes.select("node", F.explode("regions").alias("shingle"))
@@ -523,8 +549,9 @@ def grouped(docs: DataFrame, id_col: str, text_col: str, shingle: int, percent:
     whole = _with_roots(components(edges))
     wanted = narrow(whole.withColumnRenamed("root", "region").join(classes.drop("regions"), "node"), "ngram-wanted")
     blocks = materialize(fetch_sets(rows, wanted, shingle), "ngram-sets")
-    linked, final = link_blocks(blocks, percent, region_sets, chunk_sets)
-    links = materialize(linked, "ngram-links")
+    drop_shuffles(docs.sparkSession)
+    links, final = link_blocks(blocks, percent, region_sets, chunk_sets)
+    release(blocks, wanted)
     roots = links.select("node", "root") if final else _with_roots(components(links.select(F.col("node").alias("a"), F.col("root").alias("b"))))
     degree = links.groupBy("node").agg(F.sum("n_links").alias("n_links"))
     linked = roots.join(degree, "node", "left").join(classes.drop("regions"), "node")

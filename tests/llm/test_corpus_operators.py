@@ -407,3 +407,15 @@ def test_pipeline(spark, sf_dir):
         assert name == "source_mix" or set(docs.columns) == columns
         before = docs.count()
     assert before > 0 and docs.select("doc_id").distinct().count() == before
+
+
+def test_a_large_region_is_first_dealt_by_size(spark):
+    import numpy as np
+
+    sets = [np.arange(n, dtype=np.uint64) for n in (*range(1, 60), *range(60, 3000, 50))]
+    blocks = spark.createDataFrame([(1, i, x.tobytes(), 0) for i, x in enumerate(sets)], "region long, node long, packed binary, guest long")
+    cells = ngram_join.divide_by_size(blocks, 85, 0).select("region", "node", "guest").collect()
+    assert len(cells) <= 2 * len(sets)
+    met = Counter((a["node"], b["node"]) for a in cells for b in cells if a["region"] == b["region"] and a["node"] < b["node"] and not a["guest"] & b["guest"])
+    linked = {(i, j) for i, a in enumerate(sets) for j, b in enumerate(sets) if i < j and 100 * len(a) >= 85 * len(b)}
+    assert set(met.values()) == {1} and linked <= set(met) and len(met) < 4 * len(linked)

@@ -28,6 +28,20 @@ def test_grid_join_equals_nested_loop(d2, factor, closing, strategy):
     assert len(rows) == len(set(rows)) == 4659 and set(rows) == want
 
 
+def test_nested_loop_compares_blocks(spark, monkeypatch):
+    from simcluster.operators import grid
+
+    monkeypatch.setattr(grid, "BLOCK", 3)
+    box = "struct<x1:double,y1:double,x2:double,y2:double>"
+    lay = lambda key, boxes: spark.createDataFrame(list(enumerate(boxes)), f"{key} long, mbr {box}")
+    s = lay("sid", [(float(i), 0.0, i + 1.0, 1.0) for i in range(8)])
+    t = lay("tid", [(2.0, 1.0, 2.0, 3.0), None, (7.5, 0.5, 90.0, 0.6), (0.0, 1.1, 9.0, 2.0), (-5.0, -5.0, 50.0, 50.0)])
+    got = candidate_pairs_nested_loop(s, t)
+    assert sorted(map(tuple, got.collect())) == [(0, 1), (0, 2), (2, 7)] + [(4, i) for i in range(8)]
+    assert 3 <= grid._blocks(s, "sid", "s").count() <= 8 and grid._blocks(s, "sid", "s").filter(F.size("sid") > 3).isEmpty()
+    assert candidate_pairs_nested_loop(s.limit(0), t).isEmpty() and candidate_pairs_nested_loop(s, t.limit(0)).isEmpty()
+
+
 def test_clusters_and_statistics(d2):
     assert d2.total == 454
     assert math.isclose(d2.clusters.agg(F.avg("size")).head()[0], 10.18, abs_tol=0.01)

@@ -245,3 +245,37 @@ def test_plans_have_no_cross_product(d2):
     assert "CartesianProduct" not in plan and "NestedLoop" not in plan
     sims = I.pair_similarities(I.member_pairs(d2.members).select("a", "b").distinct(), d2.shapes)._jdf.queryExecution().executedPlan().toString()
     assert sims.count("ArrowEvalPython") == 1
+
+
+def test_nested_index_deals_clusters_and_equals_the_long_form(spark, d2, monkeypatch):
+    """Lists dealt to many tasks, hot stretches dealt again, large clusters by pairs; members without a shape or value."""
+    monkeypatch.setattr(I, "PART_PAIRS", 4000)
+    monkeypatch.setattr(I, "LEAST_PAIRS", 10_000)
+    places = d2.clusters.select("cid", F.lit(7).alias("place"))  # all in one place
+    assert I.nest(d2.members, places).keys > 2
+    lost = d2.members.agg(F.min("sid")).head()[0]
+    shapes = d2.shapes.filter(F.col("sid") != lost).withColumn("aspect", F.when(F.col("sid") % 5 > 0, F.col("aspect")))
+    twice = d2.members.unionByName(d2.members.filter("cid % 3 = 0"))  # sizes as before
+    want = _si(I.similarity_index(twice, shapes))
+    for largest in (2048, 6):
+        monkeypatch.setattr(I, "NESTED_SIZE", largest)
+        got = _si(I.similarity_index(twice, shapes, layout="nested", nested=I.nest(twice, places, largest)))
+        assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k], nan_ok=True) for k in want)
+
+
+def test_shared_areas_of_mixed_shapes_equal_the_sum_over_edges():
+    """Pairs of equal numbers of edges are laid side by side, more pairs of edges than fit at once included."""
+    import pyarrow as pa
+
+    from simcluster.functions import clip
+
+    rng = np.random.default_rng(1)
+
+    def rings(sizes):
+        xs, ys = ([list(rng.normal(size=n)) for n in sizes] for _ in range(2))
+        turn = lambda v: [x[1:] + x[:1] for x in v]
+        return [pa.array(v, pa.list_(pa.float64())) for v in (xs, ys, turn(xs), turn(ys))]
+
+    a, b = rings([3, 0, 5, 8, 5, 300, 3]), rings([4, 3, 0, 8, 8, 400, 4])
+    want = [max(0.0, sum(clip._one_wedge(*p, *q) for p in zip(*(v[k].as_py() for v in a), strict=True) for q in zip(*(v[k].as_py() for v in b), strict=True))) for k in range(7)]
+    assert np.allclose(clip.shared_areas(a, b), want)

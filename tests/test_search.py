@@ -261,6 +261,12 @@ def test_nested_index_deals_clusters_and_equals_the_long_form(spark, d2, monkeyp
         monkeypatch.setattr(I, "NESTED_SIZE", largest)
         got = _si(I.similarity_index(twice, shapes, layout="nested", nested=I.nest(twice, places, largest)))
         assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k], nan_ok=True) for k in want)
+    monkeypatch.setattr(I, "PART_PAIRS", 50)  # one cluster in many tasks
+    some = twice.filter("cid % 7 = 0")
+    striped = I.stripes(some)
+    assert not striped.lists.filter("stripes > 2").isEmpty()
+    got = _si(I.nested_index(striped, shapes))
+    assert got.keys() == {k for k in want if k % 7 == 0} and all(got[k] == pytest.approx(want[k], nan_ok=True) for k in got)
 
 
 def test_shared_areas_of_mixed_shapes_equal_the_sum_over_edges():

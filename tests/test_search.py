@@ -285,3 +285,49 @@ def test_shared_areas_of_mixed_shapes_equal_the_sum_over_edges():
     a, b = rings([3, 0, 5, 8, 5, 300, 3]), rings([4, 3, 0, 8, 8, 400, 4])
     want = [max(0.0, sum(clip._one_wedge(*p, *q) for p in zip(*(v[k].as_py() for v in a), strict=True) for q in zip(*(v[k].as_py() for v in b), strict=True))) for k in range(7)]
     assert np.allclose(clip.shared_areas(a, b), want)
+
+
+def test_geometries_are_made_once_for_joins_and_features(spark, d2):
+    seen = {k: spark.sparkContext.accumulator(0) for k in ("s", "t")}
+
+    def counted(rows, counter):
+        def run(batches):
+            for batch in batches:
+                counter.add(batch.num_rows)
+                yield batch
+
+        return rows.mapInArrow(run, rows.schema)
+
+    prep = Prepared(counted(d2.sources, seen["s"]), counted(d2.targets, seen["t"]))
+    assert prep.features.count() == d2.total and prep.nested.lists.count() == d2.total
+    assert seen["s"].value == d2.sources.count() and seen["t"].value == d2.targets.count()
+
+
+def test_plans_of_several_shares_draw_one_sample(d2, monkeypatch):
+    drawn = []
+    own = Prepared.index_of
+    monkeypatch.setattr(Prepared, "index_of", lambda self, cids: (drawn.append(cids), own(self, cids))[1])
+    prep = d2.variant()
+    a, b = (SimilarClusterSearch(p=p, m=100, n=20, seed=11).plan(prep) for p in (0.2, 0.6))
+    assert len(drawn) == 1 and a.tau > b.tau
+
+
+def test_variants_share_what_they_do_not_change(d2):
+    plain, jaccard = d2.variant(scaling="none"), d2.variant(weights={"jaccard": 1.0})
+    assert plain.pairs is d2.pairs and plain.all_si is d2.all_si and plain.features is not d2.features
+    assert jaccard.features is d2.features and jaccard.shapes is d2.shapes and jaccard.all_si is not d2.all_si
+    fresh = Prepared(d2.sources, d2.targets, scaling="none").features
+    both = plain.features.join(fresh.select("cid", *[F.col(f).alias(f"o{f}") for f in FT.NAMES]), "cid")
+    assert both.count() == d2.total and both.filter(" OR ".join(f"abs({f} - o{f}) > 1e-6" for f in FT.NAMES)).isEmpty()
+    with pytest.raises(ValueError, match="no variant"):
+        d2.variant(min_size=3)
+
+
+def test_reports_equal_the_measures_one_by_one(d2):
+    search = SimilarClusterSearch(p=0.3)
+    plan = search.plan(d2)
+    (line,) = E.reports(d2, search, plan, "d2", (0.9,), ("curve",))
+    assert line.recall_at_share == E.recall_error(plan, d2.all_si, 0.3)["true"]
+    found = XB.verified_by_order(plan.scored, d2.all_si, line.budget, plan.tau)
+    assert line.recall == E.recall_precision(found, XB.exhaustive_threshold(d2.all_si, plan.tau))["recall"]
+    assert line.recall_top == E.recall_precision(found, XB.exhaustive_top(d2.all_si, 0.3))["recall"]

@@ -331,3 +331,16 @@ def test_reports_equal_the_measures_one_by_one(d2):
     found = XB.verified_by_order(plan.scored, d2.all_si, line.budget, plan.tau)
     assert line.recall == E.recall_precision(found, XB.exhaustive_threshold(d2.all_si, plan.tau))["recall"]
     assert line.recall_top == E.recall_precision(found, XB.exhaustive_top(d2.all_si, 0.3))["recall"]
+
+
+def test_backends_read_pairs_that_are_written_once(d2, monkeypatch):
+    from simcluster.plans import experiments as K
+
+    made = []
+    own = I.member_pairs
+    monkeypatch.setattr(I, "member_pairs", lambda *args: (made.append(args), own(*args))[1])
+    prep = d2.variant()
+    areas = [{(r["a"], r["b"]): r["inter"] for r in K.geometry_by_backend(prep, "intersection", b).collect()} for b in ("arrow", "python")]
+    assert len(made) == 1 and areas[0].keys() == areas[1].keys() and len(areas[0]) == prep.distinct_pairs.count() > 0
+    assert all(math.isclose(areas[0][k], areas[1][k], abs_tol=1e-9) for k in areas[0])
+    assert K.metric_averages(prep, "arrow").head()["pairs"] == len(areas[0]) and len(made) == 1
